@@ -2,15 +2,21 @@
 
 from __future__ import annotations
 
-from . import bpe, packing
+from . import bpe, chat, packing, sharding, topk
 
 
 def queries() -> dict:
     return {
+        "op1_chat_formatting": chat.op1_chat_formatting,
         "op2_best_fit_packing": packing.op2_best_fit_packing,
+        "op3_exact_topk": topk.op3_exact_topk,
+        "op4_sharding": sharding.op4_sharding,
         "op10_bpe": bpe.op10_bpe,
     }
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {
+        "op1_chat_formatting": chat.OP1_SQL,
+        "op3_exact_topk": topk.OP3_SQL,
+    }
