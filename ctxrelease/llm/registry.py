@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, chat, packing, sharding, topk
+from . import bpe, chat, langid, media, packing, pii, sharding, topk, toxicity
 
 
 def queries() -> dict:
@@ -11,6 +11,10 @@ def queries() -> dict:
         "op2_best_fit_packing": packing.op2_best_fit_packing,
         "op3_exact_topk": topk.op3_exact_topk,
         "op4_sharding": sharding.op4_sharding,
+        "op5_language_id": langid.op5_language_id,
+        "op6_pii": pii.op6_pii,
+        "op7_toxicity": toxicity.op7_toxicity,
+        "op8_media": media.op8_media,
         "op10_bpe": bpe.op10_bpe,
     }
 
