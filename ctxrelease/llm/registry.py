@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import bpe, chat, langid, media, packing, pii, sharding, topk, toxicity
+from . import bpe, chat, langid, media, ngram_join, packing, pii, sharding, topk, toxicity
 
 
 def queries() -> dict:
@@ -15,6 +15,7 @@ def queries() -> dict:
         "op6_pii": pii.op6_pii,
         "op7_toxicity": toxicity.op7_toxicity,
         "op8_media": media.op8_media,
+        "op9_ngram_jaccard": ngram_join.op9_ngram_jaccard,
         "op10_bpe": bpe.op10_bpe,
     }
 
