@@ -8,8 +8,8 @@ Rules of the stages, all with the operators' production parameters:
 * pii replaces personal data in texts by its kind, and sets n_chars anew;
 * packing packs what is left; its rows are those of the packing operator.
 
-All stages but the last return the columns of documents. Extra columns pass through; rows with equal doc_id and
-equal text keep one row in near_duplicates.
+All stages but the last return the columns of documents. Extra columns pass through; rows that repeat
+a doc_id are one document and stay together.
 """
 
 from __future__ import annotations
