@@ -14,6 +14,7 @@ from __future__ import annotations
 import hashlib
 import json
 import os
+import re
 import tempfile
 import unicodedata
 import uuid
@@ -36,10 +37,13 @@ LEXICON_WORDS = 131_072
 #: Longer words (in UTF-8 bytes) are left to the merges.
 LEXICON_WORD_BYTES = 40
 #: Words whose encoding a task remembers at a time.
-MEMO_WORDS = 150_000
+MEMO_WORDS = 300_000
 NO_RANK = np.int32(1 << 30)
 
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
+_ASCII_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+")
+#: White space to str.split(), but not to the vocabulary file.
+_ODD_SPACE = "\x1c\x1d\x1e\x1f"
 _PLAIN = regex.compile(r"[\t-\r\x20-\x7e\xa1-ſ–—‘’“”…€]*")
 
 
@@ -92,9 +96,9 @@ class Vocabulary:
         hit = (self.keys[at] == key) & (a >= 0) & (b >= 0)
         return np.where(hit, self.rank[at], NO_RANK), self.made[at]
 
-    def merge(self, words: list[bytes]) -> list[np.ndarray]:
-        """Ids of words: in each round every word merges its best-ranked leftmost pair."""
-        out: list[np.ndarray | None] = [None] * len(words)
+    def merge(self, words: list[bytes]) -> list[bytes]:
+        """Ids of words, 4 bytes each: in each round every word merges its best-ranked leftmost pair."""
+        out: list[bytes | None] = [None] * len(words)
         order = sorted(range(len(words)), key=lambda i: len(words[i]))
         at = 0
         while at < len(order):
@@ -141,9 +145,13 @@ class Vocabulary:
                     r, m = self.ranks(part[k, s], part[k, s + 1])
                     part_rank[k[ok], s[ok]], part_made[k[ok], s[ok]] = r[ok], m[ok]
                 rank[live], made[live] = part_rank, part_made
-        count = (ids >= 0).sum(1)
-        for i, place in enumerate(places):
-            out[place] = ids[i, : count[i]].astype("<u4")
+        kept = ids >= 0
+        flat = ids[kept].astype("<u4").tobytes()
+        end = (4 * kept.sum(1).cumsum()).tolist()
+        start = 0
+        for place, e in zip(places, end):
+            out[place] = flat[start:e]
+            start = e
 
 
 def byte_alphabet() -> list[str]:
@@ -166,9 +174,23 @@ def pieces(voc: Vocabulary, text: str) -> list[str]:
     return _words(voc, text)
 
 
+def split(voc: Vocabulary, text: str) -> list[str]:
+    """Chunks that can be encoded one by one: between white space, or whole if the text holds what only the file's own splitter knows."""
+    if "<|" in text or any(c in text for c in _ODD_SPACE):
+        return [text]
+    if text.isascii() or _PLAIN.fullmatch(text):
+        return text.lower().split()  # fewer chunks to remember; lower case again changes nothing
+    return text.split()
+
+
 def _words(voc: Vocabulary, text: str) -> list[str]:
+    if text.isascii():  # the common chunks: a word, or a word and one sign
+        if text.isalpha():
+            return [text.lower()]
+        if text[:-1].isalpha() and text[-1] in ",.;:!?":
+            return [text[:-1].lower(), text[-1]]
     if text.isascii() and _PLAIN.fullmatch(text):
-        return _WORDS.findall(text.lower())
+        return _ASCII_WORDS.findall(text.lower())
     if _PLAIN.fullmatch(text):
         return _WORDS.findall(unicodedata.normalize("NFC", text).lower())
     lib = voc.library()
@@ -221,7 +243,7 @@ class Lexicon:
         return out
 
 
-def compile_lexicon(words: list[bytes], encode: Callable[[list[bytes]], list[np.ndarray]], path: str) -> int:
+def compile_lexicon(words: list[bytes], encode: Callable[[list[bytes]], list[bytes]], path: str) -> int:
     """Writes the minimal automaton of the distinct `words`; returns its number of states."""
     words = sorted({w for w in words if 0 < len(w) <= LEXICON_WORD_BYTES})
     known: dict[tuple, int] = {}
@@ -269,7 +291,7 @@ def compile_lexicon(words: list[bytes], encode: Callable[[list[bytes]], list[np.
     final = np.zeros(len(states), np.int64)
     for i, (is_final, *_) in enumerate(states):
         final[new[i]] = is_final
-    ids = encode(words)
+    ids = [np.frombuffer(x, "<u4") for x in encode(words)]
     offset = np.concatenate([[0], np.cumsum([len(x) for x in ids])]).astype(np.int64)
     sections = [table[:, 0], table[:, 1], table[:, 2], final, offset, np.concatenate([np.zeros(0, np.int64), *ids]).astype(np.int64)]
     with open(path, "wb") as f:
@@ -285,58 +307,76 @@ def mapped(name: str) -> Lexicon:
 
 
 class Encoder:
-    """Encodes texts word by word, remembering a bounded number of words."""
+    """Encodes texts chunk by chunk (chunks lie between white space, which no word crosses).
 
-    def __init__(self, voc: Vocabulary, lexicon: Lexicon | None = None):
-        self.voc, self.lexicon = voc, lexicon
+    A bounded number of chunks and words is remembered; words come from the automaton or, unseen, from the merges.
+    """
+
+    def __init__(self, voc: Vocabulary, lexicon: Lexicon | None = None, decoded: bool = False):
+        self.voc, self.lexicon, self.decoded = voc, lexicon, decoded
+        self.words: dict[str, bytes] = {t: np.array([i], "<u4").tobytes() for t, i in voc.special.items()}
         self.ids: dict[str, bytes] = {}
         self.shown: dict[str, bytes] = {}
 
     def learn(self, words: list[str]) -> None:
-        if len(self.ids) + len(words) > MEMO_WORDS:
-            self.ids.clear()
-            self.shown.clear()
-        plain = []
-        for w in words:
-            if w in self.voc.special:
-                self._put(w, np.array([self.voc.special[w]], "<u4"))
-            else:
-                plain.append(w)
-        raw = [w.encode() for w in plain]
-        if self.lexicon is not None:
+        raw = [w.encode() for w in words]
+        known = self.words
+        if self.lexicon is not None and words:
             number = self.lexicon.find(raw)
-            for k in np.flatnonzero(number >= 0):
-                a, b = self.lexicon.offset[number[k]], self.lexicon.offset[number[k] + 1]
-                self._put(plain[k], np.asarray(self.lexicon.ids[a:b]))
-            rest = np.flatnonzero(number < 0)
-            plain, raw = [plain[k] for k in rest], [raw[k] for k in rest]
-        for w, ids in zip(plain, self.voc.merge(raw)):
-            self._put(w, ids)
-
-    def _put(self, word: str, ids: np.ndarray) -> None:
-        tokens = self.voc.token_bytes
-        self.ids[word] = ids.astype("<u4").tobytes()
-        self.shown[word] = b" ".join([tokens[i] for i in ids.tolist()])
-
-    def words(self, texts: list[str]) -> Iterator[list[str]]:
-        """Lists of words of which all are known."""
+            hit = np.flatnonzero(number >= 0)
+            a, b = self.lexicon.offset[number[hit]].tolist(), self.lexicon.offset[number[hit] + 1].tolist()
+            for k, i, j in zip(hit.tolist(), a, b):
+                known[words[k]] = self.lexicon.ids[i:j].astype("<u4").tobytes()
+            rest = np.flatnonzero(number < 0).tolist()
+            words, raw = [words[k] for k in rest], [raw[k] for k in rest]
+        known.update(zip(words, self.voc.merge(raw)))
+
+    def _learn_chunks(self, chunks: list[str]) -> None:
+        if len(self.words) + len(chunks) > 1.5 * MEMO_WORDS:
+            self.words = {t: np.array([i], "<u4").tobytes() for t, i in self.voc.special.items()}
+        parts = [pieces(self.voc, c) for c in chunks]
+        self.learn(list(set().union(*parts).difference(self.words)))
+        get, tokens = self.words.__getitem__, self.voc.token_bytes
+        for c, p in zip(chunks, parts):
+            ids = get(p[0]) if len(p) == 1 else b"".join(map(get, p))
+            self.ids[c] = ids
+            if self.decoded:
+                # the token strings of decoding, each after a blank
+                self.shown[c] = b"".join([b" " + tokens[i] for i in np.frombuffer(ids, "<u4").tolist()])
+
+    def chunks(self, texts: list[str]) -> Iterator[list[str]]:
+        """Lists of chunks that are all known."""
         for i, j in slices(texts):
-            lists = [pieces(self.voc, t) for t in texts[i:j]]
+            lists = [split(self.voc, t) for t in texts[i:j]]
             wanted = set().union(*lists)
             new = wanted.difference(self.ids)
             if new:
                 if len(self.ids) + len(new) > MEMO_WORDS:
-                    self.ids.clear()
-                    self.shown.clear()
+                    self.ids, self.shown = {}, {}
                     new = wanted
-                self.learn(list(new))
+                self._learn_chunks(list(new))
             yield from lists
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
-        get = self.ids.__getitem__
-        for words in self.words(texts):
-            yield b"".join(map(get, words))
+        for chunks in self.chunks(texts):
+            yield b"".join(map(self.ids.__getitem__, chunks))
+
+    def encode_and_decode(self, texts: list[str]) -> Iterator[tuple[bytes, bytes]]:
+        for chunks in self.chunks(texts):
+            yield b"".join(map(self.ids.__getitem__, chunks)), b"".join(map(self.shown.__getitem__, chunks))[1:]
+
+
+_encoders: dict[tuple, Encoder] = {}
+
+
+def encoder(path: str, lexicon: str | None = None, decoded: bool = False) -> Encoder:
+    """This process's encoder: what it remembers serves the tasks that follow."""
+    key = (path, lexicon, decoded)
+    if key not in _encoders:
+        _encoders.clear()
+        _encoders[key] = Encoder(vocabulary(path), mapped(lexicon) if lexicon else None, decoded)
+    return _encoders[key]
 
 
 def decode(voc: Vocabulary, ids: np.ndarray) -> str:
@@ -349,8 +389,15 @@ def word_counts(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         voc = vocabulary(path)
+        chunks: Counter = Counter()
         seen: Counter = Counter()
 
+        def settle() -> None:
+            for c, n in chunks.items():
+                for w in pieces(voc, c):
+                    seen[w] += n
+            chunks.clear()
+
         def flush() -> pa.RecordBatch:
             out = pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
             seen.clear()
@@ -358,11 +405,13 @@ def word_counts(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame
 
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                seen.update(pieces(voc, text or ""))
-                if len(seen) > 2 * MEMO_WORDS:
+                chunks.update(split(voc, text or ""))
+                if len(chunks) > MEMO_WORDS:
+                    settle()
+                if len(seen) > MEMO_WORDS:
                     yield flush()
-        if seen:
-            yield flush()
+        settle()
+        yield flush()
 
     return docs.select(text_col).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 
@@ -390,15 +439,14 @@ def encode_documents(docs: DataFrame, path: str | None = None, size: int = LEXIC
     fields = [T.StructField("n_tokens", T.LongType()), T.StructField("ids_sha256", T.StringType()), T.StructField("decoded_sha256", T.StringType())]
 
     def maker():
-        coder = Encoder(vocabulary(path), mapped(name))
+        coder = encoder(path, name, True)
 
         def work(texts: list[str | None]) -> list[list]:
             out: list[list] = [[], [], []]
-            for words in coder.words([t or "" for t in texts]):
-                ids = b"".join(map(coder.ids.__getitem__, words))
+            for ids, shown in coder.encode_and_decode([t or "" for t in texts]):
                 out[0].append(len(ids) // 4)
                 out[1].append(hashlib.sha256(ids).hexdigest())
-                out[2].append(hashlib.sha256(b" ".join(map(coder.shown.__getitem__, words))).hexdigest())
+                out[2].append(hashlib.sha256(shown).hexdigest())
             return out
 
         return work

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 
 from ctxrelease.plans.runtime import bounded_broadcast, cut
 
-from .bpe import Encoder, default_path, vocabulary
+from .bpe import default_path, encoder
 
 CAPACITY = 2048
 END_ID = 0
@@ -170,7 +170,7 @@ def cut_pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACIT
     key_type = docs.schema[key].dataType.simpleString()
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        coder = Encoder(vocabulary(path))
+        coder = encoder(path)
         step = 4 * capacity
         for batch in batches:
             place: list[int] = []
