@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import gc
 import shutil
 import tempfile
 
@@ -39,3 +40,12 @@ def bounded_broadcast(df: DataFrame, rows: int, row_bytes: int = 64) -> DataFram
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
+
+
+def release(spark: SparkSession) -> None:
+    """Lets Spark's cleaner drop shuffles and checkpoints that no live DataFrame refers to any more.
+
+    The cleaner learns of them from the driver's garbage collections only, which may be far apart on an idle heap.
+    """
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
