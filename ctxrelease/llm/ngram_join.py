@@ -25,7 +25,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ctxrelease.plans.runtime import bounded_broadcast, cut
+from ctxrelease.plans.runtime import bounded_broadcast, cut, release
 
 from .common import slices
 
@@ -188,7 +188,10 @@ def links_of(pairs: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFrame:
     both = pairs.select("a", "b").join(left, "a").join(right, "b")
     common = F.size(F.array_intersect("cols_a", "cols_b"))
     union = F.size("cols_a") + F.size("cols_b") - common
-    return both.where(common * DENOMINATOR >= union * NUMERATOR).select("a", "b").distinct()
+    found = cut(both.where(common * DENOMINATOR >= union * NUMERATOR).select("a", "b").distinct())
+    del both, left, right, sets, ids
+    release(docs.sparkSession)
+    return found
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -211,30 +214,39 @@ def _near_sizes(x, y):
     return (x * DENOMINATOR >= y * NUMERATOR) & (y * DENOMINATOR >= x * NUMERATOR)
 
 
-def link_classes(classes: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFrame:
-    """(node, comp) over class representatives (rep, n, columns) that link with others."""
-    entries = classes.select("rep", "n", F.explode("columns").alias("column"))
-    held = entries.groupBy("column").agg(F.count(F.lit(1)).alias("m"), F.min(F.struct("rep", "n")).alias("lead")).where("m > 1")
-    shared = cut(entries.join(held.select("column", "lead"), "column"))
+def link_classes(rows: DataFrame, reps: DataFrame, many: int, docs: DataFrame, place: np.ndarray) -> DataFrame:
+    """(node, comp) over class representatives that link with others. rows: rows_of(); reps: (rep), many rows."""
+    spark = docs.sparkSession
+    entries = rows.join(bounded_broadcast(reps.withColumnRenamed("rep", "doc_id"), many, 16), "doc_id").select(F.col("doc_id").alias("rep"), "n", F.explode("columns").alias("column"))
+    held = entries.groupBy("column").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("leader")).where("m > 1").drop("m")
+    shared = cut(entries.join(held, "column"))
+    del entries, held
+    release(spark)
     # each row with the leader that most of its columns name
-    led = shared.where((F.col("rep") != F.col("lead.rep")) & _near_sizes(F.col("n"), F.col("lead.n"))).groupBy("rep", F.col("lead.rep").alias("leader")).agg(F.count(F.lit(1)).alias("c"))
-    first = cut(led.groupBy(F.col("rep").alias("a")).agg(F.max_by("leader", F.struct("c", -F.col("leader"))).alias("b")))
-    found = cut(links_of(first, docs, place))
+    led = shared.where("rep <> leader").groupBy("rep", "n", "leader").agg(F.count(F.lit(1)).alias("c"))
+    leader_size = shared.where("rep = leader").groupBy(F.col("rep").alias("leader")).agg(F.min("n").alias("leader_n"))
+    near = led.join(leader_size, "leader").where(_near_sizes(F.col("n"), F.col("leader_n")))
+    first = cut(near.groupBy(F.col("rep").alias("a")).agg(F.max_by("leader", F.struct("c", -F.col("leader"))).alias("b")))
+    found = links_of(first, docs, place)
     comps = components(found)
     # columns that span several components
-    placed = shared.drop("lead").join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    placed = shared.drop("leader").join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     spans = placed.groupBy("column", "comp").agg(F.count(F.lit(1)).alias("k")).groupBy("column").agg(F.count(F.lit(1)).alias("comps"), F.max_by("comp", F.struct("k", "comp")).alias("largest")).where("comps > 1")
     open_rows = cut(placed.join(spans.select("column", "largest"), "column"))
+    del shared, placed, spans
+    release(spark)
     x = open_rows.where("comp <> largest").select("column", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("comp").alias("cx"))
     y = open_rows.select("column", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("comp").alias("cy"), (F.col("comp") == F.col("largest")).alias("in_largest"))
     product = x.join(y, "column").where((F.col("cx") != F.col("cy")) & (F.col("in_largest") | (F.col("x") < F.col("y"))) & _near_sizes(F.col("nx"), F.col("ny")))
-    overlap = product.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count(F.lit(1)).alias("c"), F.first("nx").alias("nx"), F.first("ny").alias("ny"))
+    low, high = F.least("nx", "ny"), F.greatest("nx", "ny")
+    overlap = product.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count(F.lit(1)).alias("c"), F.min(low).alias("low"), F.min(high).alias("high"), F.max(high).alias("top"))
     # columns after the first ones of the row whose first ones end earlier can add at most ceil(0.8 n) - 1
-    rest = F.greatest(*[F.ceil(F.col(k) * NUMERATOR / DENOMINATOR) - 1 for k in ("nx", "ny")])
-    needed = (F.col("nx") + F.col("ny")) * NUMERATOR
-    possible = overlap.where((F.col("c") + rest) * (NUMERATOR + DENOMINATOR) >= needed)
+    rest = F.ceil(F.col("top") * NUMERATOR / DENOMINATOR) - 1
+    possible = overlap.where((F.col("c") + rest) * (NUMERATOR + DENOMINATOR) >= (F.col("low") + F.col("high")) * NUMERATOR)
     tried = first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     pairs = cut(possible.select("a", "b").join(tried, ["a", "b"], "left_anti"))
+    del open_rows, x, y, product, overlap, possible
+    release(spark)
     if pairs.isEmpty():
         return comps
     return components(found.select("a", "b").union(links_of(pairs, docs, place)))
@@ -244,12 +256,12 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row."""
     place = column_order(docs)
     rows = cut(rows_of(docs, place))
-    usable = rows.where("n > 0 and doc_id is not null")
-    classes = usable.groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep"), F.first("columns").alias("columns"))
-    reps = cut(classes)
-    comps = link_classes(reps, docs, place)
-    of_class = reps.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("s1", "s2", "n", F.coalesce("comp", "rep").alias("comp"))
-    same = rows.where("n > 0 and doc_id is not null").select("doc_id", "n", "s1", "s2").join(of_class, ["s1", "s2", "n"])
+    usable = "n > 0 and doc_id is not null"
+    classes = cut(rows.where(usable).groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")))
+    reps = cut(classes.select("rep").distinct())
+    comps = link_classes(rows, reps, reps.count(), docs, place)
+    of_class = classes.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("s1", "s2", "n", F.coalesce("comp", "rep").alias("comp"))
+    same = rows.where(usable).select("doc_id", "n", "s1", "s2").join(of_class, ["s1", "s2", "n"])
     alone = rows.where("n = 0 or doc_id is null")
     return same.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("comp").alias("component_id")).unionByName(
         alone.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"))
