@@ -28,7 +28,7 @@ RANK = 4
 TERMS = 4096
 #: A term is kept if its squared deviation from chance is at least this many times the variance.
 DEVIATION = 36.0
-SAMPLE_ROWS = 12_000
+SAMPLE_ROWS = 6_000
 MIN_ROWS = 3
 EPOCHS = 12
 MEMO = 200_000
@@ -95,8 +95,8 @@ def fit(rows: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, seed: i
     y = np.array(labels, np.float64)
     positives = y.sum()
     base = float(np.log((positives + 0.5) / (len(y) - positives + 0.5)))
-    flat = np.concatenate(rows) if rows else np.zeros(0, np.int64)
-    owner = np.repeat(np.arange(len(rows)), [len(r) for r in rows])
+    flat = np.concatenate(rows).astype(np.int32)
+    owner = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r in rows])
     seen, at = np.unique(flat, return_inverse=True)
     n = np.bincount(at, minlength=len(seen)).astype(np.float64)
     hit = np.bincount(at, weights=y[owner], minlength=len(seen))
@@ -162,8 +162,10 @@ def training_rows(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -
         terms = Terms()
         return lambda texts: [[sorted(terms.of(t)) for t in texts]]
 
-    found = append_columns(sample, "text", fields, maker, ["doc_id", "toxic"]).toPandas().sort_values("doc_id", kind="stable")
-    return [np.asarray(t, np.int64) for t in found["terms"]], [int(x != 0) for x in found["toxic"]]
+    found = append_columns(sample, "text", fields, maker, ["doc_id", "toxic"]).toArrow().sort_by("doc_id")
+    lists = found["terms"].combine_chunks()
+    values, ends = lists.values.to_numpy(), lists.offsets.to_numpy()
+    return [values[a:b] for a, b in zip(ends[:-1], ends[1:])], [int(x != 0) for x in found["toxic"].to_pylist()]
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Machine | None:
