@@ -2,10 +2,12 @@
 
 from __future__ import annotations
 
+from . import queries_core
+
 
 def queries() -> dict:
-    return {}
+    return dict(queries_core.QUERIES)
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return dict(queries_core.SQL)

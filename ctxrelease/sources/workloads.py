@@ -34,7 +34,7 @@ SCHEMAS: dict[str, ContextSchema] = {
         ContextSchema(
             "li12",
             (AttributeSpec("flag", "l_returnflag", ("A", "N", "R")), AttributeSpec("status", "l_linestatus", ("F", "O")), AttributeSpec("year", "year(l_shipdate)", _numbers(1995, 2002))),
-            "round(l_extendedprice / l_quantity, 4)", "record_id",
+            "floor(l_extendedprice / l_quantity * 10000 + 0.5) / 10000", "record_id",
         ),
         ContextSchema(
             "li16",
@@ -105,7 +105,7 @@ def load(spark: SparkSession, sf_dir: str, name: str, with_ids: bool = False) ->
     if name == "emb10":
         return table(spark, sf_dir, "embeddings")
     if name == "inc9":
-        return spark.createDataFrame(INCOME, "id long, job string, city string, district string, salary double")
+        return spark.createDataFrame(INCOME, "id long, job string, city string, district string, salary long")
     raise KeyError(name)
 
 
@@ -131,7 +131,7 @@ def top_records(df: DataFrame, schema: ContextSchema, k: int = 1) -> list:
 SQL = {
     "e14": ("events", ["event_type", "dayofweek(ts)::VARCHAR", "(hour(ts) >= 12)::INT::VARCHAR"], "value", "event_id"),
     "e25": ("events", ["event_type", "(hour(ts) // 3)::VARCHAR", "(user_id % 8)::VARCHAR"], "value", "event_id"),
-    "li12": ("(SELECT * FROM lineitem WHERE l_orderkey % 2 = 0)", ["l_returnflag", "l_linestatus", "year(l_shipdate)::VARCHAR"], "round(l_extendedprice / l_quantity, 4)", "l_orderkey"),
+    "li12": ("(SELECT * FROM lineitem WHERE l_orderkey % 2 = 0)", ["l_returnflag", "l_linestatus", "year(l_shipdate)::VARCHAR"], "floor(l_extendedprice / l_quantity * 10000 + 0.5) / 10000", "l_orderkey"),
     "li16": ("(SELECT * FROM lineitem JOIN part ON l_partkey = p_partkey WHERE l_orderkey % 5 = 0)", ["l_returnflag", "regexp_extract(p_type, '^(\\w+)', 1)", "least(year(l_shipdate), 2000)::VARCHAR"], "round(l_extendedprice / l_quantity / 1000)", "l_orderkey"),
     "doc13": ("(SELECT d.doc_id, lang, source, n_chars, quality FROM documents d LEFT JOIN labels l ON d.doc_id = l.doc_id)", ["lang", "(regexp_extract(source, '([0-9]+)', 1)::INT % 6)::VARCHAR", "coalesce(quality::VARCHAR, 'none')"], "n_chars", "doc_id"),
     "o13": ("(SELECT * FROM orders JOIN customer ON o_custkey = c_custkey)", ["o_orderstatus", "o_orderpriority[1:1]", "c_mktsegment"], "o_totalprice", "o_orderkey"),
