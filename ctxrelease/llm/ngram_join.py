@@ -7,9 +7,9 @@ the overlaps; only the part that can reach the threshold is formed:
 * columns have one global order, rare ones first by a count sketch over the whole corpus (any order is right, this
   one keeps frequent columns out); by the size bound a row needs only its first |A| - ceil(0.8 |A|) + 1 columns;
 * columns are dealt to blocks by hash; a column held by one class only is dropped;
-* first each row is multiplied with the best leader (smallest id) of its columns, which joins copies in clusters
-  without writing their pairs out; then only columns that still span several components are multiplied, and only
-  rows outside a column's largest component against the rest. Overlap counts add up over columns, and pairs whose
+* first each row is multiplied with the best leader of its columns (the smallest id, then the row with the commonest
+  columns), which joins copies in clusters without writing their pairs out; then only columns that still span several
+  components are multiplied, and only rows outside a column's largest component against the rest. Overlap counts add up over columns, and pairs whose
   count plus what their sizes leave can't reach the bound go before the full sets are compared.
 
 Links are 100 * intersection >= 80 * union, tested on full sets. Null texts and texts without words have an empty
@@ -214,26 +214,46 @@ def _near_sizes(x, y):
     return (x * DENOMINATOR >= y * NUMERATOR) & (y * DENOMINATOR >= x * NUMERATOR)
 
 
-def link_classes(rows: DataFrame, reps: DataFrame, many: int, docs: DataFrame, place: np.ndarray) -> DataFrame:
-    """(node, comp) over class representatives that link with others. rows: rows_of(); reps: (rep), many rows."""
+def best_leaders(led: DataFrame) -> DataFrame:
+    """(a, b): each row (a) with the leader (b) of near size that most of its columns name. led: (column, rep, n, leader)."""
+    counts = led.where("rep <> leader").groupBy("rep", "n", "leader").agg(F.count(F.lit(1)).alias("c"))
+    sizes = led.where("rep = leader").groupBy(F.col("rep").alias("leader")).agg(F.min("n").alias("leader_n"))
+    near = counts.join(sizes, "leader").where(_near_sizes(F.col("n"), F.col("leader_n")))
+    return near.groupBy(F.col("rep").alias("a")).agg(F.max_by("leader", F.struct("c", -F.col("leader"))).alias("b"))
+
+
+def spanning(rows: DataFrame, comps: DataFrame) -> DataFrame:
+    """(column, rep, n, comp, largest): rows of the columns that span several components, with the largest of each."""
+    placed = rows.select("column", "rep", "n").join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    spans = placed.groupBy("column", "comp").agg(F.count(F.lit(1)).alias("k")).groupBy("column").agg(F.count(F.lit(1)).alias("comps"), F.max_by("comp", F.struct("k", "comp")).alias("largest")).where("comps > 1")
+    return cut(placed.join(spans.select("column", "largest"), "column"))
+
+
+def popular_leaders(open_rows: DataFrame) -> DataFrame:
+    """(column, rep, n, leader): a column's leader is the row whose columns are held by most rows, for copies their common source."""
+    held = open_rows.groupBy("column").agg(F.count(F.lit(1)).alias("m"))
+    fame = open_rows.join(held, "column").groupBy("rep").agg((F.sum(F.log1p("m")) / F.max(F.sqrt("n"))).alias("fame"))
+    known = cut(open_rows.select("column", "rep", "n").join(fame, "rep"))
+    lead = known.groupBy("column").agg(F.max_by("rep", F.struct("fame", -F.col("rep"))).alias("leader"))
+    return known.join(lead, "column").select("column", "rep", "n", "leader")
+
+
+def link_rows(shared: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFrame:
+    """(node, comp) over class representatives that link with others. shared: (column, rep, n, leader), leader the smallest rep."""
     spark = docs.sparkSession
-    entries = rows.join(bounded_broadcast(reps.withColumnRenamed("rep", "doc_id"), many, 16), "doc_id").select(F.col("doc_id").alias("rep"), "n", F.explode("columns").alias("column"))
-    held = entries.groupBy("column").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("leader")).where("m > 1").drop("m")
-    shared = cut(entries.join(held, "column"))
-    del entries, held
-    release(spark)
-    # each row with the leader that most of its columns name
-    led = shared.where("rep <> leader").groupBy("rep", "n", "leader").agg(F.count(F.lit(1)).alias("c"))
-    leader_size = shared.where("rep = leader").groupBy(F.col("rep").alias("leader")).agg(F.min("n").alias("leader_n"))
-    near = led.join(leader_size, "leader").where(_near_sizes(F.col("n"), F.col("leader_n")))
-    first = cut(near.groupBy(F.col("rep").alias("a")).agg(F.max_by("leader", F.struct("c", -F.col("leader"))).alias("b")))
+    first = cut(best_leaders(shared))
     found = links_of(first, docs, place)
     comps = components(found)
-    # columns that span several components
-    placed = shared.drop("leader").join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
-    spans = placed.groupBy("column", "comp").agg(F.count(F.lit(1)).alias("k")).groupBy("column").agg(F.count(F.lit(1)).alias("comps"), F.max_by("comp", F.struct("k", "comp")).alias("largest")).where("comps > 1")
-    open_rows = cut(placed.join(spans.select("column", "largest"), "column"))
-    del shared, placed, spans
+    open_rows = spanning(shared, comps)
+    del shared
+    release(spark)
+    if open_rows.isEmpty():
+        return comps
+    again = cut(best_leaders(popular_leaders(open_rows)).join(first, ["a", "b"], "left_anti"))
+    found = cut(found.union(links_of(again, docs, place)))
+    comps = components(found)
+    tried = cut(first.union(again).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
+    open_rows = spanning(open_rows, comps)
     release(spark)
     x = open_rows.where("comp <> largest").select("column", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("comp").alias("cx"))
     y = open_rows.select("column", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("comp").alias("cy"), (F.col("comp") == F.col("largest")).alias("in_largest"))
@@ -243,7 +263,6 @@ def link_classes(rows: DataFrame, reps: DataFrame, many: int, docs: DataFrame, p
     # columns after the first ones of the row whose first ones end earlier can add at most ceil(0.8 n) - 1
     rest = F.ceil(F.col("top") * NUMERATOR / DENOMINATOR) - 1
     possible = overlap.where((F.col("c") + rest) * (NUMERATOR + DENOMINATOR) >= (F.col("low") + F.col("high")) * NUMERATOR)
-    tried = first.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
     pairs = cut(possible.select("a", "b").join(tried, ["a", "b"], "left_anti"))
     del open_rows, x, y, product, overlap, possible
     release(spark)
@@ -252,17 +271,29 @@ def link_classes(rows: DataFrame, reps: DataFrame, many: int, docs: DataFrame, p
     return components(found.select("a", "b").union(links_of(pairs, docs, place)))
 
 
+def shared_columns(docs: DataFrame, place: np.ndarray) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Sizes and signatures of all documents, their classes, and the columns that several classes hold."""
+    spark = docs.sparkSession
+    rows = cut(rows_of(docs, place))
+    sizes = cut(rows.select("doc_id", "n", "s1", "s2"))
+    classes = cut(sizes.where("n > 0 and doc_id is not null").groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")))
+    reps = cut(classes.select(F.col("rep").alias("doc_id")).distinct())
+    entries = rows.join(bounded_broadcast(reps, reps.count(), 16), "doc_id").select(F.col("doc_id").alias("rep"), "n", F.explode("columns").alias("column"))
+    held = cut(entries.groupBy("column").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("leader")).where("m > 1").drop("m"))
+    release(spark)
+    shared = cut(entries.join(held, "column"))
+    return sizes, classes, shared
+
+
 def near_duplicates(docs: DataFrame) -> DataFrame:
     """(doc_id, n_shingles, component_id) for every row."""
     place = column_order(docs)
-    rows = cut(rows_of(docs, place))
-    usable = "n > 0 and doc_id is not null"
-    classes = cut(rows.where(usable).groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")))
-    reps = cut(classes.select("rep").distinct())
-    comps = link_classes(rows, reps, reps.count(), docs, place)
+    sizes, classes, shared = shared_columns(docs, place)
+    release(docs.sparkSession)
+    comps = link_rows(shared, docs, place)
     of_class = classes.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("s1", "s2", "n", F.coalesce("comp", "rep").alias("comp"))
-    same = rows.where(usable).select("doc_id", "n", "s1", "s2").join(of_class, ["s1", "s2", "n"])
-    alone = rows.where("n = 0 or doc_id is null")
+    same = sizes.where("n > 0 and doc_id is not null").join(of_class, ["s1", "s2", "n"])
+    alone = sizes.where("n = 0 or doc_id is null")
     return same.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("comp").alias("component_id")).unionByName(
         alone.select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("doc_id").alias("component_id"))
     )
