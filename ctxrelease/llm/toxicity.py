@@ -31,7 +31,7 @@ DEVIATION = 36.0
 SAMPLE_ROWS = 6_000
 MIN_ROWS = 3
 EPOCHS = 12
-MEMO = 200_000
+MEMO = 60_000
 
 #: ASCII other than letters parts words; bytes of other characters belong to them.
 _PARTS = bytes(b if b >= 128 or chr(b).isalpha() else 32 for b in range(256))
@@ -76,6 +76,18 @@ class Terms:
         return out
 
 
+_kept: dict[bytes, Terms] = {}
+
+
+def _terms_of(machine: Machine | None) -> Terms:
+    """This process's terms for a machine: what they remember serves the tasks that follow."""
+    key = machine.buckets.tobytes() if machine else b""
+    if key not in _kept:
+        _kept.clear()
+        _kept[key] = Terms({int(b): k for k, b in enumerate(machine.buckets)} if machine else None)
+    return _kept[key]
+
+
 @dataclass
 class Machine:
     buckets: np.ndarray
@@ -159,7 +171,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -
     fields = [T.StructField("terms", T.ArrayType(T.IntegerType()))]
 
     def maker():
-        terms = Terms()
+        terms = _terms_of(None)
         return lambda texts: [[sorted(terms.of(t)) for t in texts]]
 
     found = append_columns(sample, "text", fields, maker, ["doc_id", "toxic"]).toArrow().sort_by("doc_id")
@@ -176,7 +188,7 @@ def score(docs: DataFrame, machine: Machine | None, keep: list[str] | None = Non
     """The columns in `keep` (all, if None) and the score."""
 
     def maker():
-        terms = Terms({int(b): k for k, b in enumerate(machine.buckets)} if machine else None)
+        terms = _terms_of(machine)
         return lambda texts: [score_texts(machine, terms, texts)]
 
     return append_columns(docs, "text", [T.StructField(name, T.DoubleType())], maker, keep)
