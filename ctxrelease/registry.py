@@ -2,12 +2,12 @@
 
 from __future__ import annotations
 
-from . import queries_core
+from . import queries_core, queries_ops
 
 
 def queries() -> dict:
-    return dict(queries_core.QUERIES)
+    return {**queries_core.QUERIES, **queries_ops.QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
-    return dict(queries_core.SQL)
+    return {**queries_core.SQL, **queries_ops.SQL}
