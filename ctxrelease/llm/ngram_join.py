@@ -9,8 +9,9 @@ the overlaps; only the part that can reach the threshold is formed:
 * columns are dealt to blocks by hash; a column held by one class only is dropped;
 * first each row is multiplied with the best leader of its columns (the smallest id, then the row with the commonest
   columns), which joins copies in clusters without writing their pairs out; then only columns that still span several
-  components are multiplied, and only rows outside a column's largest component against the rest. Overlap counts add up over columns, and pairs whose
-  count plus what their sizes leave can't reach the bound go before the full sets are compared.
+  components are multiplied, and only rows outside a column's largest component against the rest. The overlap that the two sizes ask for bounds where
+  in both rows a shared column must lie, so that most cells of the product never form. Overlap counts add up over
+  columns, and the pairs that are left are compared on their full sets.
 
 Links are 100 * intersection >= 80 * union, tested on full sets. Null texts and texts without words have an empty
 set and link with nothing. Rows with one doc_id are one document; a null doc_id links with nothing.
@@ -224,7 +225,7 @@ def best_leaders(led: DataFrame) -> DataFrame:
 
 def spanning(rows: DataFrame, comps: DataFrame) -> DataFrame:
     """(column, rep, n, comp, largest): rows of the columns that span several components, with the largest of each."""
-    placed = rows.select("column", "rep", "n").join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
+    placed = rows.select("column", "rep", "n", "pos").join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     spans = placed.groupBy("column", "comp").agg(F.count(F.lit(1)).alias("k")).groupBy("column").agg(F.count(F.lit(1)).alias("comps"), F.max_by("comp", F.struct("k", "comp")).alias("largest")).where("comps > 1")
     return cut(placed.join(spans.select("column", "largest"), "column"))
 
@@ -255,16 +256,16 @@ def link_rows(shared: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFram
     tried = cut(first.union(again).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
     open_rows = spanning(open_rows, comps)
     release(spark)
-    x = open_rows.where("comp <> largest").select("column", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("comp").alias("cx"))
-    y = open_rows.select("column", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("comp").alias("cy"), (F.col("comp") == F.col("largest")).alias("in_largest"))
-    product = x.join(y, "column").where((F.col("cx") != F.col("cy")) & (F.col("in_largest") | (F.col("x") < F.col("y"))) & _near_sizes(F.col("nx"), F.col("ny")))
-    low, high = F.least("nx", "ny"), F.greatest("nx", "ny")
-    overlap = product.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count(F.lit(1)).alias("c"), F.min(low).alias("low"), F.min(high).alias("high"), F.max(high).alias("top"))
-    # columns after the first ones of the row whose first ones end earlier can add at most ceil(0.8 n) - 1
-    rest = F.ceil(F.col("top") * NUMERATOR / DENOMINATOR) - 1
-    possible = overlap.where((F.col("c") + rest) * (NUMERATOR + DENOMINATOR) >= (F.col("low") + F.col("high")) * NUMERATOR)
+    x = open_rows.where("comp <> largest").select("column", F.col("rep").alias("x"), F.col("n").alias("nx"), F.col("comp").alias("cx"), F.col("pos").alias("px"))
+    y = open_rows.select("column", F.col("rep").alias("y"), F.col("n").alias("ny"), F.col("comp").alias("cy"), F.col("pos").alias("py"), (F.col("comp") == F.col("largest")).alias("in_largest"))
+    # sizes give the overlap that a link needs; two such rows share a column among the first n - needed + 1 of each
+    needed = F.ceil((F.col("nx") + F.col("ny")) * NUMERATOR / (NUMERATOR + DENOMINATOR))
+    early = (F.col("px") + needed <= F.col("nx")) & (F.col("py") + needed <= F.col("ny"))
+    apart = (F.col("cx") != F.col("cy")) & (F.col("in_largest") | (F.col("x") < F.col("y")))
+    product = x.join(y, (x["column"] == y["column"]) & apart & early & _near_sizes(F.col("nx"), F.col("ny")))
+    possible = product.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count(F.lit(1)).alias("overlap"))
     pairs = cut(possible.select("a", "b").join(tried, ["a", "b"], "left_anti"))
-    del open_rows, x, y, product, overlap, possible
+    del open_rows, x, y, product, possible
     release(spark)
     if pairs.isEmpty():
         return comps
@@ -278,7 +279,7 @@ def shared_columns(docs: DataFrame, place: np.ndarray) -> tuple[DataFrame, DataF
     sizes = cut(rows.select("doc_id", "n", "s1", "s2"))
     classes = cut(sizes.where("n > 0 and doc_id is not null").groupBy("s1", "s2", "n").agg(F.min("doc_id").alias("rep")))
     reps = cut(classes.select(F.col("rep").alias("doc_id")).distinct())
-    entries = rows.join(bounded_broadcast(reps, reps.count(), 16), "doc_id").select(F.col("doc_id").alias("rep"), "n", F.explode("columns").alias("column"))
+    entries = rows.join(bounded_broadcast(reps, reps.count(), 16), "doc_id").select(F.col("doc_id").alias("rep"), "n", F.posexplode("columns").alias("pos", "column"))
     held = cut(entries.groupBy("column").agg(F.count(F.lit(1)).alias("m"), F.min("rep").alias("leader")).where("m > 1").drop("m"))
     release(spark)
     shared = cut(entries.join(held, "column"))
