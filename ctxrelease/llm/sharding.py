@@ -45,14 +45,13 @@ def propagate(nodes: DataFrame, total: int, shards: int, rounds: int) -> DataFra
         held = cut(state.where("hub_size > 1").groupBy("hub", "part", "shard").agg(F.count(F.lit(1)).alias("n")))
         wanted = held.groupBy("hub", "part").agg(F.max_by("shard", F.struct("n", _share(F.col("hub"), F.col("part"), F.col("shard")))).alias("goal"), F.sum("n").alias("members"), F.max("n").alias("there"))
         moves = wanted.withColumn("coming", F.col("members") - F.col("there"))
-        load = {r[0]: (r[1], r[2]) for r in state.groupBy("shard").agg(F.count(F.lit(1)), F.count_if(F.col("hub_size") > 1)).collect()}  # one row per shard
         want = {r[0]: (r[1], r[2]) for r in moves.groupBy("goal").agg(F.sum("coming"), F.sum("members")).collect()}
         chance = []
         for s in range(shards):
             coming, members = want.get(s, (0, 0))
             # unlinked rows make room for linked ones in the last step, so the quota binds what is linked
             free = total // shards - (members - coming)
-            chance.append(1.0 if coming <= free else max(0.0, free / coming))
+            chance.append(1.0 if coming <= max(free, 0) else max(0.0, free / coming))
         p = F.element_at(F.array(*[F.lit(float(x)) for x in chance]), F.col("goal") + 1)
         go = moves.where(_share(F.col("hub"), F.col("part"), F.lit(turn)) < p).select("hub", "part", "goal")
         state = cut(state.join(go, ["hub", "part"], "left").withColumn("shard", F.coalesce("goal", "shard")).drop("goal"))
