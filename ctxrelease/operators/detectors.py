@@ -226,7 +226,19 @@ def ZScore(limit: float = 3.0) -> Plugin:
     return Plugin(lambda *a: _z_rule(*a, limit), f"zscore{limit:g}")
 
 
-DETECTORS: dict[str, Callable[[], Detector]] = {"grubbs": Grubbs, "histogram": Histogram, "lof": LOF, "zscore": ZScore}
+def _range_rule(n, mean, sd, lo, hi, x, share):
+    wide = np.where(n >= 3, hi - lo, 0)
+    with np.errstate(all="ignore"):
+        at = np.where(wide > 0, np.abs(x - mean) / np.maximum(wide, 1), 0.0)
+    return at > share, at
+
+
+def RangeShare(share: float = 0.75) -> Plugin:
+    """Far from the mean by a share of the whole range."""
+    return Plugin(lambda *a: _range_rule(*a, share), f"range{share:g}")
+
+
+DETECTORS: dict[str, Callable[[], Detector]] = {"grubbs": Grubbs, "histogram": Histogram, "lof": LOF, "zscore": ZScore, "range": RangeShare}
 
 
 def register_detector(name: str, make: Callable[[], Detector]) -> None:

@@ -6,6 +6,7 @@ Moves are arg max draws with noise keyed by (trial, step, mask), hence the same
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -30,7 +31,9 @@ class Outcome:
 
 
 class Search:
-    def __init__(self, schema: ContextSchema, part: Slice, detector: Detector, cell: int, x: int, start: int | None = None, overlap: bool = False):
+    def __init__(self, schema: ContextSchema, part: Slice, detector: Detector, cell: int, x: int, start: int | None = None, overlap: bool = False, utility: Callable[[dict], np.ndarray] | None = None, sensitivity: float = 1.0):
+        """utility: a caller's score of contexts' moments (n, s, ss, lo, hi), with its stated sensitivity."""
+        self.utility, self.sensitivity = utility, sensitivity
         self.schema, self.part, self.detector, self.cell, self.x = schema, part, detector, cell, x
         self.overlap, self.start = overlap, start
         self.free = schema.free_bits(cell)
@@ -42,10 +45,14 @@ class Search:
             ctxs = np.array(new[at : at + 2048], np.int64)
             flag, _ = self.detector.flags(self.part, ctxs, self.x)
             seen = ctxs & self.start if self.overlap else ctxs
-            for c, ok, u in zip(ctxs.tolist(), flag.tolist(), self.part.stats(seen)["n"].tolist()):
+            for c, ok, u in zip(ctxs.tolist(), flag.tolist(), self._scores(seen).tolist()):
                 self.memo[c] = float(u) if ok else None
         return [self.memo[c] for c in masks]
 
+    def _scores(self, ctxs: np.ndarray) -> np.ndarray:
+        stats = self.part.stats(ctxs)
+        return stats["n"] if self.utility is None else self.utility(stats)
+
     def require_start(self) -> int:
         if self.start is None or self.utilities([self.start])[0] is None:
             raise NoValidContext("the search needs a context in which the record is an outlier")
@@ -71,7 +78,7 @@ class Search:
             raise NoValidContext("the record is an outlier in no context")
         masks = list(valid)
         e1 = allocate("direct", eps, 0)
-        k = draw_local(masks, list(valid.values()), weight(e1, convention=convention), noise, trial, 0)
+        k = draw_local(masks, list(valid.values()), weight(e1, self.sensitivity, convention), noise, trial, 0)
         return Outcome(masks[k], valid[masks[k]], eps, 1 << len(self.free), 1, 0)
 
     def uniform(self, eps: float, n: int, noise, trial=0, p: float = 0.5, distinct: bool = True, max_trials: int = 2_000_000, force_bits: bool = True, inclusive: bool = False, convention: str = "eps1") -> Outcome:
@@ -99,7 +106,7 @@ class Search:
         if not got:
             raise NoValidContext("no valid context among the trials")
         e1 = allocate("uniform", eps, n)
-        k = draw_local(got, [self.memo[c] for c in got], weight(e1, convention=convention), noise, trial, "final")
+        k = draw_local(got, [self.memo[c] for c in got], weight(e1, self.sensitivity, convention), noise, trial, "final")
         return Outcome(got[k], self.memo[got[k]], eps, tried, 1, tried, got)
 
     def walk(self, eps: float, n: int, noise, trial=0, distinct: bool = False, inclusive: bool = False, convention: str = "eps1") -> Outcome:
@@ -120,13 +127,13 @@ class Search:
             path.append(at)
         pool = list(dict.fromkeys(path)) if distinct else path
         e1 = allocate("walk", eps, n)
-        k = draw_local(pool, [self.memo[c] for c in pool], weight(e1, convention=convention), noise, trial, "final")
+        k = draw_local(pool, [self.memo[c] for c in pool], weight(e1, self.sensitivity, convention), noise, trial, "final")
         return Outcome(pool[k], self.memo[pool[k]], eps, verified, 1, 0, path)
 
     def dfs(self, eps: float, n: int, noise, trial=0, final: str = "visited", inclusive: bool = False, convention: str = "eps1") -> Outcome:
         """A stack; each step draws among the unvisited valid neighbours of its top, or goes back."""
         at = self.require_start()
-        factor = weight(allocate("dfs", eps, n, final, inclusive), convention=convention)
+        factor = weight(allocate("dfs", eps, n, final, inclusive), self.sensitivity, convention)
         stack, visited, verified, draws = [at], [at], 0, 0
         while stack and len(visited) < n + inclusive:
             around = [c for b in self.free if (c := stack[-1] ^ b) not in visited]
@@ -149,7 +156,7 @@ class Search:
     def bfs(self, eps: float, n: int, noise, trial=0, inclusive: bool = False, convention: str = "eps1") -> Outcome:
         """A frontier; each step draws from all of it and adds the drawn one's unvisited valid neighbours."""
         at = self.require_start()
-        factor = weight(allocate("bfs", eps, n, inclusive=inclusive), convention=convention)
+        factor = weight(allocate("bfs", eps, n, inclusive=inclusive), self.sensitivity, convention)
         frontier: dict[int, float] = {at: self.memo[at]}
         visited: list[int] = []
         verified = draws = 0

@@ -213,3 +213,12 @@ def test_removed_records_change_moments_exactly():
     b = make_slice([r for k, r in enumerate(rows) if not 3 <= k < 9])
     for f in ("cell", "n", "s", "ss", "lo", "hi", "v_cell", "v_x", "v_cnt"):
         assert np.array_equal(getattr(a, f), getattr(b, f)), f
+
+
+def test_plug_in_utility_and_detector():
+    rows, (cell, x) = sample()
+    s = Search(SCHEMA, make_slice(rows), det.ZScore(2.0), cell, x, utility=lambda st: np.sqrt(st["n"]), sensitivity=0.5)
+    s.start = starting_context(s)
+    o = s.bfs(1.0, 4, mech.SeededNoise(2))
+    assert o.utility == math.sqrt(sum(c & o.ctx == c for c, _ in rows))
+    assert s.direct(1e6, mech.SeededNoise(2)).utility == max(s.valid().values())
