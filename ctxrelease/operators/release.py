@@ -114,10 +114,10 @@ def run_trials(spark, searches: dict[str, Search], grid: list[tuple[str, float,
             for rid, m, e, n, first in batch.itertuples(index=False):
                 base = searches[rid]
                 if rid not in best:
-                    own = Search(base.schema, base.part, base.detector, base.cell, base.x, base.start, base.overlap)
+                    own = Search(base.schema, base.part, base.detector, base.cell, base.x, base.start, base.overlap, base.utility, base.sensitivity)
                     best[rid] = max(own.valid().values(), default=0.0) if len(own.free) <= 14 else float("nan")
                 for trial in range(first, min(first + per_task, repetitions)):
-                    s = Search(base.schema, base.part, base.detector, base.cell, base.x, base.start, base.overlap)
+                    s = Search(base.schema, base.part, base.detector, base.cell, base.x, base.start, base.overlap, base.utility, base.sensitivity)
                     began = time.perf_counter()
                     try:
                         o = s.run(m, e, n, SeededNoise(seed), trial)
