@@ -10,8 +10,8 @@ the overlaps; only the part that can reach the threshold is formed:
 * first each row is multiplied with the best leader of its columns (the smallest id, then the row with the commonest
   columns), which joins copies in clusters without writing their pairs out; then only columns that still span several
   components are multiplied, and only rows outside a column's largest component against the rest. The overlap that the two sizes ask for bounds where
-  in both rows a shared column must lie, so that most cells of the product never form. Overlap counts add up over
-  columns, and the pairs that are left are compared on their full sets.
+  in both rows a shared column must lie, so that most cells of the product never form. Pairs whose overlap on the first
+  columns leaves the threshold out of reach are discarded, and those that are left are compared on their full sets.
 
 Links are 100 * intersection >= 80 * union, tested on full sets. Null texts and texts without words have an empty
 set and link with nothing. Rows with one doc_id are one document; a null doc_id links with nothing.
@@ -181,6 +181,22 @@ def full_sets(docs: DataFrame, ids: DataFrame, many: int, place: np.ndarray) ->
     return docs.select("doc_id", "text").join(wanted.withColumnRenamed("rep", "doc_id"), "doc_id").mapInArrow(run, "rep long, cols array<long>")
 
 
+def promising(pairs: DataFrame, entries: DataFrame) -> DataFrame:
+    """The pairs (a, b) that can still link, judged by their first columns. entries: (column, rep, n) with all columns the two may share.
+
+    A shared column is either among the first columns of both rows, or, for all such columns, beyond the first ones of
+    the same row; so the overlap is at most the shared first columns and what lies beyond them in either row.
+    """
+    ids = pairs.select(F.col("a").alias("rep")).union(pairs.select("b")).distinct()
+    first = entries.select("column", "rep", "n").join(ids, "rep").groupBy("rep", "n").agg(F.collect_list("column").alias("first"))
+    beyond = F.ceil(F.col("n") * NUMERATOR / DENOMINATOR) - 1
+    first = first.withColumn("beyond", beyond)
+    left, right = (first.select(F.col("rep").alias(side), *[F.col(c).alias(f"{c}_{side}") for c in ("n", "first", "beyond")]) for side in "ab")
+    most = F.size(F.array_intersect("first_a", "first_b")) + F.greatest("beyond_a", "beyond_b")
+    both = pairs.select("a", "b").join(left, "a").join(right, "b")
+    return cut(both.where(most * (NUMERATOR + DENOMINATOR) >= (F.col("n_a") + F.col("n_b")) * NUMERATOR).select("a", "b").distinct())
+
+
 def links_of(pairs: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFrame:
     """The pairs (a, b) whose full sets reach the threshold. `pairs` must be cheap to read again."""
     ids = cut(pairs.select(F.col("a").alias("rep")).union(pairs.select("b")).distinct())
@@ -243,7 +259,7 @@ def link_rows(shared: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFram
     """(node, comp) over class representatives that link with others. shared: (column, rep, n, leader), leader the smallest rep."""
     spark = docs.sparkSession
     first = cut(best_leaders(shared))
-    found = links_of(first, docs, place)
+    found = links_of(promising(first, shared), docs, place)
     comps = components(found)
     open_rows = spanning(shared, comps)
     del shared
@@ -251,7 +267,7 @@ def link_rows(shared: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFram
     if open_rows.isEmpty():
         return comps
     again = cut(best_leaders(popular_leaders(open_rows)).join(first, ["a", "b"], "left_anti"))
-    found = cut(found.union(links_of(again, docs, place)))
+    found = cut(found.union(links_of(promising(again, open_rows), docs, place)))
     comps = components(found)
     tried = cut(first.union(again).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct())
     open_rows = spanning(open_rows, comps)
@@ -264,7 +280,7 @@ def link_rows(shared: DataFrame, docs: DataFrame, place: np.ndarray) -> DataFram
     apart = (F.col("cx") != F.col("cy")) & (F.col("in_largest") | (F.col("x") < F.col("y")))
     product = x.join(y, (x["column"] == y["column"]) & apart & early & _near_sizes(F.col("nx"), F.col("ny")))
     possible = product.groupBy(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).agg(F.count(F.lit(1)).alias("overlap"))
-    pairs = cut(possible.select("a", "b").join(tried, ["a", "b"], "left_anti"))
+    pairs = promising(cut(possible.select("a", "b").join(tried, ["a", "b"], "left_anti")), open_rows)
     del open_rows, x, y, product, possible
     release(spark)
     if pairs.isEmpty():
