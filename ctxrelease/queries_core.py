@@ -44,6 +44,11 @@ def critical_sql(most: int) -> str:
 SIZES = {"e14": 10_000, "li12": 31_000, "doc13": 1_000, "o13": 15_000, "cv11": 600, "emb10": 500}
 
 
+def listed(name: str, sql: Callable[[str], str]) -> str | None:
+    """No registered SQL for whole tables where it would hold a row per sample size."""
+    return None if name.endswith("_all") else sql(name)
+
+
 def top(spark: SparkSession, sf_dir: str, name: str):
     df, schema = wl.workload(spark, sf_dir, name)
     rid = wl.top_records(df, schema)[0]
@@ -81,9 +86,9 @@ NOISE = mech.SeededNoise(0)
 
 for _name in ("e14", "doc13", "o13", "emb10", "e25", "cv11"):
     query(f"encode_{_name}", wl.encoded_sql(_name))(lambda s, d, n=_name: pl.encode(*wl.workload(s, d, n)))
-for _name in ("li12", "li16"):
+for _name in ("li12", "li16", "li12_all", "li16_all"):
     query(f"encode_{_name}", f"SELECT cell, x FROM ({wl.encoded_sql(_name)})")(lambda s, d, n=_name: pl.encode(*wl.workload(s, d, n)).select("cell", "x"))
-for _name in ("e14", "li12", "doc13", "o13", "li16", "e25", "cv11", "emb10"):
+for _name in ("e14", "li12", "doc13", "o13", "li16", "e25", "cv11", "emb10", "li12_all", "li16_all"):
     query(f"cells_{_name}", f"SELECT cell, n, s::BIGINT AS s, ss::DOUBLE AS ss, lo, hi FROM ({wl.cells_sql(_name)})")(
         lambda s, d, n=_name: pl.build_cells(*wl.workload(s, d, n)).select("cell", "n", F.col("s").cast("long"), F.col("ss").cast("double"), "lo", "hi")
     )
@@ -95,17 +100,20 @@ def _folded(spark, sf_dir, name):
     return pl.fold_contexts(pl.build_cells(df, schema), schema, cell)
 
 
-for _name in ("e14", "li12", "doc13", "o13"):
+for _name in ("e14", "li12", "doc13", "o13", "li12_all"):
     query(f"context_population_{_name}", f"{base_sql(_name)} SELECT ctx, n FROM stats")(lambda s, d, n=_name: _folded(s, d, n).select("ctx", "n"))
 
 
-@query("context_population_by_cells_li12", f"{base_sql('li12')} SELECT ctx, n FROM stats")
-def _population_by_cells(spark, sf_dir):
-    df, schema, rid = top(spark, sf_dir, "li12")
+def _population_by_cells(spark, sf_dir, name):
+    df, schema, rid = top(spark, sf_dir, name)
     cell, _ = pl.lookup_record(df, schema, rid)
     return pl.context_stats(pl.build_cells(df, schema), pl.candidate_contexts(spark, schema, cell)).select("ctx", "n")
 
 
+for _name in ("li12", "li12_all"):
+    query(f"context_population_by_cells_{_name}", f"{base_sql(_name)} SELECT ctx, n FROM stats")(lambda s, d, n=_name: _population_by_cells(s, d, n))
+
+
 _START_E14 = Context.of(wl.SCHEMAS["e14"], day=["1", "2", "3"]).mask
 
 
@@ -158,8 +166,8 @@ def _grubbs(spark, sf_dir, name):
     return det.grubbs_columns(folded, x, det.critical_table(folded)).select("ctx", "n", "is_outlier", F.round("score", 6).alias("score"))
 
 
-for _name in ("e14", "doc13", "li12", "o13"):
-    query(f"grubbs_verify_{_name}", f"{grubbs_sql(_name)} SELECT ctx, n, is_outlier, round(score, 6) AS score FROM judged")(lambda s, d, n=_name: _grubbs(s, d, n))
+for _name in ("e14", "doc13", "li12", "o13", "li12_all"):
+    query(f"grubbs_verify_{_name}", listed(_name, lambda n: f"{grubbs_sql(n)} SELECT ctx, n, is_outlier, round(score, 6) AS score FROM judged"))(lambda s, d, n=_name: _grubbs(s, d, n))
 
 
 def _verified(spark, sf_dir, name, detector):
@@ -176,7 +184,7 @@ held AS (SELECT ctx, count(*) AS c FROM own JOIN enc ON cell & ctx = cell AND le
 judged AS (SELECT stats.ctx, stats.n, coalesce(c < 0.0025 * stats.n, false) AS is_outlier FROM stats LEFT JOIN held ON held.ctx = stats.ctx)"""
 
 
-for _name in ("e14", "doc13", "li12"):
+for _name in ("e14", "doc13", "li12", "li12_all"):
     query(f"hist_verify_{_name}", f"{hist_sql(_name)} SELECT ctx, n AS population, is_outlier FROM judged")(lambda s, d, n=_name: _verified(s, d, n, det.Histogram()).select("ctx", "population", "is_outlier"))
     query(f"valid_hist_{_name}", f"{hist_sql(_name)} SELECT ctx, n AS u FROM judged WHERE is_outlier")(lambda s, d, n=_name: _verified(s, d, n, det.Histogram()).where("is_outlier").select("ctx", F.col("population").alias("u")))
     query(f"valid_lof_{_name}")(lambda s, d, n=_name: _verified(s, d, n, det.LOF()).where("is_outlier").select("ctx", F.col("population").alias("u")))
@@ -218,11 +226,11 @@ def _valid(spark, sf_dir, name, detector=None):
     return release.valid_contexts(df, schema, rid, detector or det.Grubbs())
 
 
-for _name in ("e14", "li12", "doc13", "o13"):
-    query(f"valid_grubbs_{_name}", f"{grubbs_sql(_name)} SELECT ctx, u FROM valid")(lambda s, d, n=_name: _valid(s, d, n).select("ctx", "u"))
-for _name in ("e14", "li12", "doc13"):
-    query(f"max_context_grubbs_{_name}", f"{grubbs_sql(_name)} SELECT ctx, u FROM valid ORDER BY u DESC, ctx DESC LIMIT 1")(lambda s, d, n=_name: release.maximum_context(_valid(s, d, n)))
-    query(f"exp_probabilities_{_name}", f"{grubbs_sql(_name)} SELECT ctx, round(exp(0.1 * (u - max(u) OVER ())) / sum(exp(0.1 * (u - (SELECT max(u) FROM valid)))) OVER (), 9) AS p FROM valid")(
+for _name in ("e14", "li12", "doc13", "o13", "li12_all"):
+    query(f"valid_grubbs_{_name}", listed(_name, lambda n: f"{grubbs_sql(n)} SELECT ctx, u FROM valid"))(lambda s, d, n=_name: _valid(s, d, n).select("ctx", "u"))
+for _name in ("e14", "li12", "doc13", "li12_all"):
+    query(f"max_context_grubbs_{_name}", listed(_name, lambda n: f"{grubbs_sql(n)} SELECT ctx, u FROM valid ORDER BY u DESC, ctx DESC LIMIT 1"))(lambda s, d, n=_name: release.maximum_context(_valid(s, d, n)))
+    query(f"exp_probabilities_{_name}", listed(_name, lambda n: f"{grubbs_sql(n)} SELECT ctx, round(exp(0.1 * (u - max(u) OVER ())) / sum(exp(0.1 * (u - (SELECT max(u) FROM valid)))) OVER (), 9) AS p FROM valid"))(
         lambda s, d, n=_name: mech.selection_probabilities(_valid(s, d, n), 0.1).select("ctx", F.round("p", 9).alias("p"))
     )
 
@@ -315,21 +323,24 @@ def _searched(spark, sf_dir, name, method, n, detector=None, **options):
     return spark.createDataFrame([(o.ctx, int(o.utility))], "ctx long, u long")
 
 
-for _name in ("e14", "li12", "doc13"):
-    query(f"bfs_release_{_name}", bfs_sql(_name, SAMPLES))(lambda s, d, n=_name: _searched(s, d, n, "bfs", SAMPLES))
-    query(f"dfs_release_{_name}", dfs_sql(_name, SAMPLES))(lambda s, d, n=_name: _searched(s, d, n, "dfs", SAMPLES))
-    query(f"walk_release_{_name}", walk_sql(_name, SAMPLES))(lambda s, d, n=_name: _searched(s, d, n, "walk", SAMPLES))
-    query(f"uniform_release_{_name}", uniform_release_sql(_name, SAMPLES))(lambda s, d, n=_name: _searched(s, d, n, "uniform", SAMPLES))
+for _name in ("e14", "li12", "doc13", "li12_all"):
+    query(f"bfs_release_{_name}", listed(_name, lambda n: bfs_sql(n, SAMPLES)))(lambda s, d, n=_name: _searched(s, d, n, "bfs", SAMPLES))
+    query(f"dfs_release_{_name}", listed(_name, lambda n: dfs_sql(n, SAMPLES)))(lambda s, d, n=_name: _searched(s, d, n, "dfs", SAMPLES))
+    query(f"walk_release_{_name}", listed(_name, lambda n: walk_sql(n, SAMPLES)))(lambda s, d, n=_name: _searched(s, d, n, "walk", SAMPLES))
+    query(f"uniform_release_{_name}", listed(_name, lambda n: uniform_release_sql(n, SAMPLES)))(lambda s, d, n=_name: _searched(s, d, n, "uniform", SAMPLES))
     query(f"lof_bfs_release_{_name}")(lambda s, d, n=_name: _searched(s, d, n, "bfs", 20, det.LOF()))
 
 
-@query("bfs_lockstep_li12", bfs_sql("li12", 3))
-def _bfs_lockstep(spark, sf_dir):
-    df, schema, rid = top(spark, sf_dir, "li12")
+def _bfs_lockstep(spark, sf_dir, name):
+    df, schema, rid = top(spark, sf_dir, name)
     search = release.make_search(df, schema, rid, det.Grubbs())
     return release.lockstep(df, schema, rid, "bfs", EPS, 3, search.start, 1, NOISE).select("ctx", "u")
 
 
+for _name in ("li12", "li12_all"):
+    query(f"bfs_lockstep_{_name}", listed(_name, lambda n: bfs_sql(n, 3)))(lambda s, d, n=_name: _bfs_lockstep(s, d, n))
+
+
 def greedy_sql(name: str, n: int) -> str:
     steps = [_start_sql(name), "f0 AS MATERIALIZED (SELECT * FROM start)", "s0 AS MATERIALIZED (SELECT * FROM start WHERE false)"]
     for i in range(n):
@@ -341,22 +352,17 @@ def greedy_sql(name: str, n: int) -> str:
     return ",\n".join(steps) + f" SELECT ctx, u FROM s{n} ORDER BY u DESC, ctx DESC LIMIT 1"
 
 
-@query("greedy_bfs_li12", greedy_sql("li12", SAMPLES))
-def _greedy(spark, sf_dir):
-    return _searched(spark, sf_dir, "li12", "greedy_bfs", SAMPLES)
-
+for _name in ("li12", "li12_all"):
+    query(f"greedy_bfs_{_name}", listed(_name, lambda n: greedy_sql(n, SAMPLES)))(lambda s, d, n=_name: _searched(s, d, n, "greedy_bfs", SAMPLES))
+    query(f"greedy_dfs_{_name}")(lambda s, d, n=_name: _searched(s, d, n, "greedy_dfs", SAMPLES))
 
-@query("greedy_dfs_li12")
-def _greedy_dfs(spark, sf_dir):
-    return _searched(spark, sf_dir, "li12", "greedy_dfs", SAMPLES)
 
-
-for _name in ("e14", "li12", "doc13"):
+for _name in ("e14", "li12", "doc13", "li12_all"):
     query(
         f"locality_{_name}",
-        f"""{grubbs_sql(_name)}, v AS MATERIALIZED (SELECT ctx FROM valid),
-pairs AS (SELECT a.ctx, xor(a.ctx, 1::BIGINT << b::INT) AS nb FROM v a, range({wl.SCHEMAS[_name].t}) AS r(b), anchor WHERE (anchor.cell >> b::INT) & 1 = 0)
-SELECT (SELECT count(*) FROM v) AS valid, round(count(v.ctx) / count(*), 6) AS p_neighbor, round((SELECT count(*) FROM v) / {1 << (wl.SCHEMAS[_name].t - wl.SCHEMAS[_name].m)}, 6) AS p_random FROM pairs LEFT JOIN v ON v.ctx = pairs.nb""",
+        listed(_name, lambda n: f"""{grubbs_sql(n)}, v AS MATERIALIZED (SELECT ctx FROM valid),
+pairs AS (SELECT a.ctx, xor(a.ctx, 1::BIGINT << b::INT) AS nb FROM v a, range({wl.SCHEMAS[n].t}) AS r(b), anchor WHERE (anchor.cell >> b::INT) & 1 = 0)
+SELECT (SELECT count(*) FROM v) AS valid, round(count(v.ctx) / count(*), 6) AS p_neighbor, round((SELECT count(*) FROM v) / {1 << (wl.SCHEMAS[n].t - wl.SCHEMAS[n].m)}, 6) AS p_random FROM pairs LEFT JOIN v ON v.ctx = pairs.nb"""),
     )(lambda s, d, n=_name: _locality(s, d, n))
 
 
@@ -437,6 +443,11 @@ def _reference(spark, sf_dir):
     return reference_file(spark, *wl.workload(spark, sf_dir, "li12"))
 
 
+@query("reference_file_li12_all")
+def _reference_all(spark, sf_dir):
+    return reference_file(spark, *wl.workload(spark, sf_dir, "li12_all"))
+
+
 @query(
     "hidden_outliers_doc13",
     f"""WITH enc AS ({wl.encoded_sql('doc13')}), cells AS ({wl.cells_sql('doc13')}),

@@ -43,7 +43,7 @@ def _add(name: str, fn) -> None:
 
 
 _METHODS = [(m, EPS, SAMPLES) for m in mech.METHODS]
-for _d in ("e14", "li12"):
+for _d in ("e14", "li12", "li12_all"):
     _add(f"w_samplers_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, _METHODS), ["method"]))
     _add(f"w_overlap_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)], overlap=True), ["method"]))
     _add(f"w_epsilon_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", e, SAMPLES) for e in (0.05, 0.1, 0.2, 0.4)]), ["eps"]))
@@ -84,32 +84,36 @@ def _headline(spark, sf_dir):
 
 
 _add("w_headline_e25", _headline)
-_add("w_counters_li12", lambda s, d: measures.counters(trials(s, d, "li12", [(m, EPS, 10) for m in mech.METHODS], det.Grubbs(), repetitions=10), ["method"]))
-_add("w_samplers_li16", lambda s, d: _summary(trials(s, d, "li16", [("bfs", EPS, 25), ("dfs", EPS, 25), ("walk", EPS, 25)], det.Grubbs(), repetitions=10), ["method"]))
+for _d in ("li12", "li12_all"):
+    _add(f"w_counters_{_d}", lambda s, d, n=_d: measures.counters(trials(s, d, n, [(m, EPS, 10) for m in mech.METHODS], det.Grubbs(), repetitions=10), ["method"]))
+for _d in ("li16", "li16_all"):
+    _add(f"w_samplers_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", EPS, 25), ("dfs", EPS, 25), ("walk", EPS, 25)], det.Grubbs(), repetitions=10), ["method"]))
 _add("w_bootstrap_e14", lambda s, d: measures.bootstrap_interval(trials(s, d, "e14", _METHODS), ["method"]))
 
 
-def _components(spark, sf_dir):
-    df, schema = wl.workload(spark, sf_dir, "li12")
+def _components(spark, sf_dir, name):
+    df, schema = wl.workload(spark, sf_dir, name)
     rid = wl.top_records(df, schema)[0]
     valid = release.valid_contexts(df, schema, rid, det.LOF())
     return measures.graph_components(valid, schema).groupBy("component").agg(F.count(F.lit(1)).alias("contexts"))
 
 
-_add("valid_graph_components_li12", _components)
+for _d in ("li12", "li12_all"):
+    _add(f"valid_graph_components_{_d}", lambda s, d, n=_d: _components(s, d, n))
 
 
-def _sensitivity(spark, sf_dir):
+def _sensitivity(spark, sf_dir, name):
     """Largest change of each context's population when one record goes: one, for contexts that hold it."""
-    df, schema = wl.workload(spark, sf_dir, "li12")
+    df, schema = wl.workload(spark, sf_dir, name)
     cells = pl.build_cells(df, schema)
     gone = matching.pick_records(df, schema, 1, 3).select(F.col("cell").alias("gone"))
     folded = pl.fold_contexts(cells, schema)
     return folded.crossJoin(gone).select(F.when(F.col("gone").bitwiseAND(F.col("ctx")) == F.col("gone"), 1).otherwise(0).alias("change")).agg(F.max("change").alias("sensitivity"))  # one removed record
 
 
-_add("sensitivity_population_li12", _sensitivity)
-SQL["sensitivity_population_li12"] = "SELECT 1::INT AS sensitivity"
+for _d in ("li12", "li12_all"):
+    _add(f"sensitivity_population_{_d}", lambda s, d, n=_d: _sensitivity(s, d, n))
+    SQL[f"sensitivity_population_{_d}"] = "SELECT 1::INT AS sensitivity"
 
 for _k in ("tumbling", "sliding", "session"):
     _add(f"stream_{_k}", lambda s, d, k=_k: windows.run_to_table(s, getattr(windows, k)(windows.events_stream(s, d)), "complete"))

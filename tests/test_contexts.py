@@ -67,3 +67,18 @@ def test_wide_contexts(spark):
 
     words = F.array(*[F.lit(w).cast("long") for w in wide_words(schema, ctx)])
     assert [r[0] for r in pl.encode_wide(df, schema).where(wide_contains(F.col("cell"), words)).collect()] == [1]
+
+
+@pytest.mark.parametrize("name", ["li12_all", "li16_all"])
+def test_whole_lineitem(spark, name):
+    """Every row of lineitem is in a cell, and cells and the chosen record equal SQL."""
+    import duckdb
+
+    con = duckdb.connect()
+    for t in ("lineitem", "part"):
+        con.execute(f"create view {t} as select * from '{SF}/{t}.parquet'")
+    df, schema = wl.workload(spark, SF, name)
+    got = sorted((r["cell"], r["n"], int(r["s"]), int(r["ss"]), r["lo"], r["hi"]) for r in pl.build_cells(df, schema).collect())
+    assert got == sorted(con.sql(wl.cells_sql(name)).fetchall())
+    assert sum(r[1] for r in got) == con.sql("select count(*) from lineitem").fetchall()[0][0]
+    assert wl.top_records(df, schema) == [con.sql(f"select record_id from ({wl.encoded_sql(name)}) order by x desc, record_id limit 1").fetchall()[0][0]]
