@@ -43,19 +43,30 @@ _LOOKALIKE = re.compile("[" + "".join(map(re.escape, LOOKALIKES)) + "]")
 _TABLE = str.maketrans(LOOKALIKES)
 #: Digits in words.
 DIGIT_WORDS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9"}
-_SURE_WORDS = ("zero", "one", "two", "three", "four", "five", "six", "seven", "eight", "nine")
 _INVISIBLE = "​‌‍⁠﻿­"
 _word = "(?:" + "|".join(DIGIT_WORDS) + ")"
 #: Endings that make bare "at" and "dot" a disguise.
 _ending = r"(?:com|org|net|edu|gov|io|info|biz|de|fr|es|uk|eu|us|co|at|ch|it|nl|example|test)(?![A-Za-z0-9])"
+#: Any ending will do after a full "at ... dot", unless the host would be a determiner, as in prose.
+_any_ending = r"[A-Za-z]{2,}(?![A-Za-z0-9])"
+_prose = r"(?!(?:the|a|an|this|that|these|those|each|every|any|some|my|your|his|her|its|our|their)\s)"
+_label = r"[A-Za-z0-9-]+"
+_box = r"[\[({<]\s*(?P<box>at|dot|punkt|arroba|arobase|punto|point)\s*[\])}>]"
 _REWRITE = re.compile(
     rf"(?P<gone>[{_INVISIBLE}]+)"
-    r"|\s*[\[({<]\s*(?P<box>at|dot|punkt|arroba|arobase|punto|point)\s*[\])}>]\s*"
-    rf"|(?<=[A-Za-z0-9])\s+(?P<at>at)\s+(?=[A-Za-z0-9-]+(?:\s+dot\s+[A-Za-z0-9-]+)*\s+dot\s+{_ending})"
-    rf"|(?<=[A-Za-z0-9])\s+(?P<dot>dot)\s+(?=(?:[A-Za-z0-9-]+\s+(?:at|dot)\s+)*{_ending})"
+    rf"|\s*{_box}\s*"
+    rf"|(?<=[A-Za-z0-9])\s+(?P<at>at)\s+(?=(?:{_label}(?:\s+dot\s+{_label})*\s+dot\s+{_ending}|{_prose}{_label}(?:\s+dot\s+{_label})*\s+dot\s+{_any_ending}))"
+    rf"|(?<=[A-Za-z0-9])\s+(?P<dot>dot)\s+(?={_label})"
     rf"|(?<![A-Za-z])(?P<digits>(?:plus[\s-]+)?(?:{_word}|[0-9]+)(?:[\s,-]+(?:{_word}|[0-9]+))+)(?![A-Za-z])",
     re.IGNORECASE,
 )
+# What may follow a bare "dot": before the "at" or with a known ending, and inside a host.
+_DOT_AHEAD = re.compile(rf"(?:{_label}\s+(?:at|dot)\s+)*{_ending}|(?:{_label}\s+dot\s+)*{_label}\s+at\s+{_prose}{_label}(?:\s+dot\s+{_label})*\s+dot\s+{_any_ending}", re.IGNORECASE)
+_HOST_AHEAD = re.compile(rf"{_any_ending}|{_label}\s+dot\s", re.IGNORECASE)
+_HOST = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789.-")
+# The gate, from the same parts: no text without one of these has a rewrite.
+_BOX = re.compile(_box, re.IGNORECASE)
+_BARE = re.compile(r"\sdot\s", re.IGNORECASE)
 _DIGIT_PART = re.compile(rf"plus|{_word}|[0-9]+", re.IGNORECASE)
 
 
@@ -98,12 +109,13 @@ def base_spans(text: str) -> dict[str, list[Span]]:
 
 
 def _disguised(text: str) -> bool:
-    if not text.isascii() and _LOOKALIKE.search(text):
+    """Whether the transducer may rewrite something: true of every text that it rewrites."""
+    if not text.isascii() and (_LOOKALIKE.search(text) or any(c in text for c in _INVISIBLE)):
         return True
     low = text.lower()
-    if " dot " in low or "at)" in low or "at]" in low or "dot)" in low or "dot]" in low or any(c in text for c in "{<") or (not text.isascii() and any(c in text for c in _INVISIBLE)):
+    if any(c in text for c in "[({<") and _BOX.search(text) or "dot" in low and _BARE.search(text):
         return True
-    return sum(map(low.count, _SURE_WORDS)) >= 3
+    return sum(map(low.count, DIGIT_WORDS)) >= 3
 
 
 class Transducer:
@@ -117,6 +129,7 @@ class Transducer:
         self.out_at: list[int] = []
         self.src: list[tuple[int, int, bool]] = []
         size = at = 0
+        host = -1  # where the host begins or goes on, after the last accepted sign
 
         def put(piece: str, a: int, b: int, copied: bool) -> None:
             nonlocal size
@@ -143,8 +156,19 @@ class Transducer:
                 continue
             elif m["box"]:
                 new = "@" if m["box"].lower() in ("at", "arroba", "arobase") else "."
+            elif m["at"]:
+                new = "@"
             else:
-                new = "@" if m["at"] else "."
+                new = "."
+            if new:
+                k = a
+                while k > max(host, 0) and even[k - 1] in _HOST:
+                    k -= 1
+                inside = new == "." and k < a and (k == host or even[k - 1 : k] == "@")
+                if m["dot"] and not _DOT_AHEAD.match(even, b) and not (inside and _HOST_AHEAD.match(even, b)):
+                    continue
+                if new == "@" or inside:
+                    host = b
             if a > at:
                 put(even[at:a], at, a, True)
             if new:
