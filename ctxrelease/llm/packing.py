@@ -2,9 +2,10 @@
 
 Only the histogram of piece lengths (at most `capacity` numbers) reaches the driver. There the covering program
 over configurations (multisets of lengths that fit one sequence) is solved by multiplicative weights: a knapsack
-dynamic program prices lengths by their weights and returns good configurations, each is run for a whole number
-of sequences, and the weights of what it covers shrink. The integral part of that solution is kept; what it
-leaves uncovered is placed by best fit, first into the room that the chosen configurations leave. All of this
+dynamic program prices configurations by the dual values of their lengths, steps along the best ones shrink the
+values of what they cover, and the steps average to a fractional cover. It is rounded down; what that leaves is
+placed by best fit, first into the room that the chosen configurations leave. Where best fit alone needs fewer
+sequences, as it may where nearly every length occurs and all fill up, its packing is returned. All of this
 works on counts, so its cost doesn't follow the number of documents. Pieces then find their places by a join of
 their rank among pieces of equal length with a table of slots of bounded size.
 
@@ -32,6 +33,8 @@ END_ID = 0
 ROUNDS = 48
 COLUMNS = 64
 RATE = 0.7
+#: Share of the scarcest length's demand that one step covers, and how far below the best price a configuration may be.
+STEP, NEAR = 0.25, 0.02
 SALTS = 64
 
 Template = tuple[tuple[int, int], ...]
@@ -80,37 +83,66 @@ def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS, column
     chosen: list[tuple[Template, int]] = []
     if left.get(capacity):
         chosen.append((((capacity, 1),), left.pop(capacity)))
-    demand = dict(left)
-    weight = {k: 1.0 for k in left}
     groups: list[tuple[Template, int]] = []
-    rng = np.random.default_rng(7)
+    # round the fractional cover down, then run what it leaves of each configuration once, where the pieces allow it
+    cover = fractional(left, capacity, rounds, columns, rate)
+    rest = dict(left)
+    for whole in (True, False):
+        for config, runs in sorted(cover.items(), key=lambda x: -(x[1] if whole else x[1] % 1)):
+            if not whole and runs % 1 < 0.5:
+                break
+            n = min([int(runs) if whole else 1, *(rest[x] // m for x, m in config)])
+            if n > 0:
+                groups.append((config, n))
+                for x, m in config:
+                    rest[x] -= m * n
+    rounded, plain = best_fit(rest, groups, capacity), best_fit(left, [], capacity)
+    return chosen + (rounded if sum(n for _, n in rounded) <= sum(n for _, n in plain) else plain)
+
+
+def fractional(demand: dict[int, int], capacity: int, rounds: int, columns: int, rate: float) -> dict[Template, float]:
+    """Configurations with fractions of sequences that cover the demand on average: multiplicative weights.
+
+    A length's price is its dual value: it starts in proportion to the length and shrinks with the share of the demand
+    covered so far. A round prices all configurations at once; those near the best price are run in small steps while
+    their price at the current weights stays there. The steps are averaged into one cover.
+    """
+    lengths = np.array(sorted(k for k, n in demand.items() if n > 0), np.int64)
+    if not len(lengths):
+        return {}
+    need = np.array([demand[int(x)] for x in lengths], np.float64)
+    place = {int(x): k for k, x in enumerate(lengths)}
+    covered = np.zeros(len(lengths))
+    cover: dict[Template, float] = {}
     for _ in range(rounds):
-        lengths = np.array(sorted(k for k, n in left.items() if n > 0), np.int64)
-        if not len(lengths):
-            break
-        w = np.array([weight[k] for k in lengths])
-        value = lengths / capacity * (w / w.mean()) ** 0.25 * (1 + 1e-4 * rng.random(len(lengths)))
+        value = lengths / capacity * np.exp(-rate * (covered - covered.min()))
         best, choice = price(lengths, value, capacity)
         worth = value + best[capacity - lengths]
-        worth[2 * worth < best[capacity]] = 0
-        ran = False
-        for k in np.argsort(-worth)[:columns]:
+        floor = float(worth.max()) * (1 - NEAR)
+        ran = 0
+        for k in np.argsort(-worth, kind="stable"):
+            if worth[k] < floor or ran == columns:
+                break
             first = int(lengths[k])
-            config = _counts([first, *_trace(choice, capacity - first)])
-            if sum(x * m for x, m in config.items()) < capacity * 0.995:
-                continue
-            runs = min(left.get(x, 0) // m for x, m in config.items())
-            runs = max(runs // 2, 1) if runs else 0
-            if not runs:
-                continue
-            ran = True
-            groups.append((tuple(sorted(config.items(), reverse=True)), runs))
-            for x, m in config.items():
-                left[x] -= m * runs
-                weight[x] *= float(np.exp(-rate * m * runs / demand[x]))
-        if not ran:
-            break
-    return chosen + best_fit(left, groups, capacity)
+            # no more of a length than there is of it
+            config = {x: min(m, demand[x]) for x, m in _counts([first, *_trace(choice, capacity - first)]).items()}
+            at = np.array([place[x] for x in config])
+            each = np.array(list(config.values()), np.float64)
+            step = STEP * float((need[at] / each).min())
+            key = tuple(sorted(config.items(), reverse=True))
+            while ran < columns and float(each @ value[at]) >= floor:
+                cover[key] = cover.get(key, 0.0) + step
+                covered[at] += step * each / need[at]
+                value[at] *= np.exp(-rate * step * each / need[at])
+                ran += 1
+        if not ran:  # what is worth most is scarce: run it as far as there is of it
+            k = int(worth.argmax())
+            key = ((int(lengths[k]), 1),)
+            cover[key] = cover.get(key, 0.0) + STEP * need[k]
+            covered[k] += STEP
+    tokens = lengths * need
+    mean = float(tokens @ covered / tokens.sum())
+    return {c: y / mean for c, y in cover.items()}
 
 
 def best_fit(left: dict[int, int], groups: list[tuple[Template, int]], capacity: int) -> list[tuple[Template, int]]:

@@ -65,6 +65,25 @@ def test_packing_is_tight_and_exact(spark):
     assert packing.solve({}, 2048) == []
 
 
+def test_packing_solves_histograms_with_little_choice():
+    """No configuration is full here: 1035 + 527 + 468 and 2 x 548 + 2 x 468 need 9 sequences, best fit opens 11."""
+    for n in (1, 10, 1000):
+        hist = {1035: 6 * n, 548: 6 * n, 527: 6 * n, 468: 12 * n}
+        solution = packing.solve(hist, 2048)
+        got: dict[int, int] = {}
+        for template, runs in solution:
+            assert sum(x * m for x, m in template) <= 2048
+            for x, m in template:
+                got[x] = got.get(x, 0) + m * runs
+        assert got == hist and sum(runs for _, runs in solution) == 9 * n
+    rng = np.random.default_rng(1)
+    for _ in range(3):
+        hist = {int(x): int(c) for x, c in zip(rng.integers(150, 1100, 8), rng.integers(1000, 9000, 8))}
+        cover = packing.fractional(hist, 2048, packing.ROUNDS, packing.COLUMNS, packing.RATE)
+        assert sum(n for _, n in packing.solve(hist, 2048)) < sum(n for _, n in packing.best_fit(hist, [], 2048))
+        assert all(sum(x * m for x, m in c) <= 2048 and y > 0 for c, y in cover.items())
+
+
 def test_packing_round_trip(spark, odd, empty):
     assert packing.pack_documents(empty).count() == 0
     rows = packing.pack_documents(odd).collect()
