@@ -51,12 +51,13 @@ op("join_anti", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o
 op("join_full_compare", "SELECT coalesce(a.user_id, b.user_id) AS user_id, a.n AS clicks, b.n AS views FROM (SELECT user_id, count(*) AS n FROM events WHERE event_type = 'click' GROUP BY 1) a FULL JOIN (SELECT user_id, count(*) AS n FROM events WHERE event_type = 'view' GROUP BY 1) b ON a.user_id = b.user_id",
    lambda s, d: t(s, d, "events").where("event_type = 'click'").groupBy("user_id").agg(F.count(F.lit(1)).alias("clicks")).join(t(s, d, "events").where("event_type = 'view'").groupBy("user_id").agg(F.count(F.lit(1)).alias("views")), "user_id", "full").select("user_id", "clicks", "views"))
 op("join_range_band", "SELECT o.o_orderkey, count(*) AS n FROM orders o JOIN customer c ON c_acctbal BETWEEN o_totalprice / 100 - 5 AND o_totalprice / 100 + 5 WHERE o_orderkey < 2000 GROUP BY 1",
-   lambda s, d: _band(s, d))
+   lambda s, d: _band(s, d, "o_orderkey < 2000"))
+op("join_range_band_all", None, lambda s, d: _band(s, d))  # quadratic in SQL; compared with brute force on a fixture
 
 
-def _band(s: SparkSession, d: str) -> DataFrame:
+def _band(s: SparkSession, d: str, which: str = "true") -> DataFrame:
     """Band join: equal buckets of the band's width (a bucket and its neighbours), then the exact test."""
-    o = t(s, d, "orders").where("o_orderkey < 2000").select("o_orderkey", (F.col("o_totalprice") / 100).alias("mid"))
+    o = t(s, d, "orders").where(which).select("o_orderkey", (F.col("o_totalprice") / 100).alias("mid"))
     o = o.withColumn("b", F.explode(F.sequence(F.floor((F.col("mid") - 5) / 10), F.floor((F.col("mid") + 5) / 10))))
     c = t(s, d, "customer").select("c_acctbal", F.floor(F.col("c_acctbal") / 10).alias("b"))
     return o.join(c, "b").where(F.col("c_acctbal").between(F.col("mid") - 5, F.col("mid") + 5)).groupBy("o_orderkey").agg(F.count(F.lit(1)).alias("n"))
@@ -126,6 +127,7 @@ op("scalar_hash", "SELECT event_id, md5('0|' || event_id::VARCHAR) AS h, ('0x' |
    lambda s, d: t(s, d, "events").select("event_id", F.md5(F.concat(F.lit("0|"), F.col("event_id").cast("string"))).alias("h")).withColumn("u", F.conv(F.substring("h", 1, 13), 16, 10).cast("long")))
 op("decimal_sum", "SELECT l_returnflag, sum(l_extendedprice::DECIMAL(18,4))::DOUBLE AS total FROM lineitem GROUP BY 1", lambda s, d: t(s, d, "lineitem").groupBy("l_returnflag").agg(F.sum(F.col("l_extendedprice").cast("decimal(18,4)")).cast("double").alias("total")))
 op("explode_posexplode", "SELECT vec_id, (i - 1)::INT AS pos, embedding[i] AS v FROM embeddings, range(1, 65) AS r(i) WHERE vec_id < 20", lambda s, d: t(s, d, "embeddings").where("vec_id < 20").select("vec_id", F.posexplode("embedding").alias("pos", "v")))
+op("explode_posexplode_all", "SELECT vec_id, (i - 1)::INT AS pos, embedding[i] AS v FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings)", lambda s, d: t(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("pos", "v")))
 
 
 def _sql(s: SparkSession, d: str, text: str, *names: str) -> DataFrame:
@@ -143,15 +145,16 @@ op("cte_sql", _CTE, lambda s, d: _sql(s, d, _CTE, "events"))
 op("sample_hash", "SELECT l_orderkey, l_linenumber FROM lineitem WHERE l_orderkey % 10 = 3", lambda s, d: t(s, d, "lineitem").where("l_orderkey % 10 = 3").select("l_orderkey", "l_linenumber"))
 
 
-def _udf_bits(s: SparkSession, d: str) -> DataFrame:
+def _udf_bits(s: SparkSession, d: str, which: str = "true") -> DataFrame:
     from ctxrelease.functions.udf import register
 
     register(s)
     t(s, d, "events").createOrReplaceTempView("events")
-    return s.sql("SELECT event_id, ctx_bits(event_id % 64, 6) AS bits FROM events WHERE event_id < 500")
+    return s.sql(f"SELECT event_id, ctx_bits(event_id % 64, 6) AS bits FROM events WHERE {which}")
 
 
-op("udf", "SELECT event_id, right('000000' || bin(event_id % 64), 6) AS bits FROM events WHERE event_id < 500", _udf_bits)
+op("udf", "SELECT event_id, right('000000' || bin(event_id % 64), 6) AS bits FROM events WHERE event_id < 500", lambda s, d: _udf_bits(s, d, "event_id < 500"))
+op("udf_all", "SELECT event_id, right('000000' || bin(event_id % 64), 6) AS bits FROM events", _udf_bits)
 
 
 def _udtf(s: SparkSession, d: str) -> DataFrame:
