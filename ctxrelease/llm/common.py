@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import ctypes
+import gc
 from collections.abc import Callable, Iterator
 from typing import Any
 
@@ -26,6 +28,29 @@ def slices(texts: list[str], limit: int = SLICE_CHARS) -> Iterator[tuple[int, in
         yield i, len(texts)
 
 
+#: What one operator keeps in a worker process between tasks; another operator's claim drops it.
+_held: dict[tuple, Any] = {}
+
+
+def remembered(key: tuple, make: Callable[[], Any]) -> Any:
+    """The process-wide object of a key (operator name first). A process holds one at a time, so memories don't add up over stages."""
+    if key not in _held:
+        _held.clear()
+        give_back()
+        _held[key] = make()
+    return _held[key]
+
+
+def give_back() -> None:
+    """Returns freed memory to the system at the end of a task: idle workers live on beside the next stage's."""
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], maker: Callable[[], Callable[[list[str | None]], list[list[Any]]]], keep: list[str] | None = None) -> DataFrame:
     """One pass over `df`: the columns in `keep` (all, if None) and new ones computed from whole texts.
 
@@ -48,5 +73,6 @@ def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], ma
                 columns = work(texts.slice(i, j - i).to_pylist())
                 arrays = [pa.array(c, type=f.type) for c, f in zip(columns, out)]
                 yield pa.RecordBatch.from_arrays([*(part.column(k) for k in range(len(names))), *arrays], names=[*names, *out.names])
+        give_back()
 
     return source.mapInArrow(run, schema)

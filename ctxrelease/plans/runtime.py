@@ -6,6 +6,8 @@ import atexit
 import gc
 import shutil
 import tempfile
+import uuid
+from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -15,18 +17,34 @@ BROADCAST_LIMIT_BYTES = 32 << 20
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The shared checkpoint folder of the session; a private one only where none is set (local tests)."""
+    """The shared checkpoint folder of the session; a private one only where none is set in local mode (tests)."""
     sc = spark.sparkContext
     found = sc.getCheckpointDir()
     if found is None:
         found = spark.conf.get("spark.checkpoint.dir", None)
         if not found:
+            if not sc.master.startswith("local"):
+                raise ValueError("a cluster needs spark.checkpoint.dir: a folder that the driver and all executors share")
             found = tempfile.mkdtemp(prefix="ctxrelease-")
             atexit.register(shutil.rmtree, found, ignore_errors=True)
         sc.setCheckpointDir(found)
     return found
 
 
+def stored(df: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
+    """Writes a table to the shared folder, for results of which later plans read few columns; the second value deletes it."""
+    spark = df.sparkSession
+    path = f"{shared_dir(spark)}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+
+    def forget() -> None:
+        jvm = spark.sparkContext._jvm
+        at = jvm.org.apache.hadoop.fs.Path(path)
+        at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+    return spark.read.schema(df.schema).parquet(path), forget
+
+
 def cut(df: DataFrame) -> DataFrame:
     """Reliable checkpoint: survives lost executors, ends the lineage."""
     shared_dir(df.sparkSession)
