@@ -9,7 +9,7 @@ from __future__ import annotations
 import hashlib
 import math
 import secrets
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -42,23 +42,24 @@ class SeededNoise:
         return -math.log(-math.log(self.uniform(*key)))
 
 
-@dataclass(frozen=True)
 class SecureNoise:
-    """Noise from the operating system, for releases. In columns it hashes with a key that is never kept."""
+    """Noise from the operating system, for releases: every use is a fresh number, and nothing to repeat it is kept.
 
-    key: str = field(default_factory=lambda: secrets.token_hex(32), repr=False)
+    In columns the numbers come from the JVM's secure generator in the tasks, so neither the plan nor its logs hold a
+    key. A column must be evaluated once (`exp_mechanism` and `lockstep` do): a recomputed task draws anew.
+    """
 
     def column(self, *key: Column) -> Column:
-        text = F.concat_ws("|", F.lit(self.key), *[k.cast("string") for k in key])
-        head = F.conv(F.substring(F.sha2(text.cast("binary"), 256), 1, 13), 16, 10).cast("double")
-        return -F.log(-F.log((head + 0.5) / F.lit(float(1 << 52))))
+        drawn = F.reflect(F.lit("java.util.UUID"), F.lit("randomUUID"))
+        # 13 of the random hex digits of a version-4 identifier; its fixed digits lie elsewhere
+        digits = F.concat(F.substring(drawn, 1, 8), F.substring(drawn, 10, 4), F.substring(drawn, 36, 1))
+        return -F.log(-F.log((F.conv(digits, 16, 10).cast("double") + 0.5) / F.lit(float(1 << 52))))
 
     def uniform(self, *key) -> float:
-        text = "|".join(map(str, (self.key, *key)))
-        return (int(hashlib.sha256(text.encode()).hexdigest()[:13], 16) + 0.5) / (1 << 52)
+        return (secrets.randbits(52) + 0.5) / (1 << 52)
 
     def gumbel(self, *key) -> float:
-        return -math.log(-math.log(self.uniform(*key)))
+        return -math.log(-math.log(self.uniform()))
 
 
 class NoNoise:
@@ -89,12 +90,16 @@ def selection_probabilities(cands: DataFrame, eps1: float, sensitivity: float =
     return e.withColumn("p", F.col("__e") / F.sum("__e").over(w)).drop("__e")
 
 
+def arg_max(cands: DataFrame, noise: Column, factor: float, by: list[str]) -> DataFrame:
+    """(.., best): the largest noisy score; the noise is a column of its own first, as aggregates take no random terms."""
+    scored = cands.withColumn("__score", F.col("u").cast("double") * factor + noise)
+    return scored.groupBy(*by).agg(F.max_by(F.struct("ctx", "u"), F.struct("__score", "ctx")).alias("best"))
+
+
 def exp_mechanism(cands: DataFrame, eps1: float, noise, sensitivity: float = 1.0, by: list[str] | None = None, tag=(), convention: str = "eps1") -> DataFrame:
     """One draw (ctx, u) for each group of (.., ctx, u); ties go to the larger mask."""
     key = [*[F.lit(x) for x in tag], *[F.col(c) for c in by or []], F.col("ctx")]
-    score = F.col("u").cast("double") * weight(eps1, sensitivity, convention) + noise.column(*key)
-    best = F.max_by(F.struct("ctx", "u"), F.struct(score, F.col("ctx"))).alias("best")
-    drawn = cands.groupBy(*(by or [])).agg(best)
+    drawn = arg_max(cands, noise.column(*key), weight(eps1, sensitivity, convention), by or [])
     return drawn.where("best is not null").select(*(by or []), "best.ctx", "best.u")
 
 
@@ -158,7 +163,24 @@ class BudgetLedger:
         return self.total - self.spent()
 
     def charge(self, record_id, mechanism: str, epsilon: float) -> None:
+        """Enters the charge first and checks afterwards, so that charges at the same time can't overdraw together.
+
+        An entry that takes the sum over the total is reversed and refused; two that meet may both be refused.
+        """
         if epsilon > self.remaining() + 1e-12:
             raise BudgetExceeded(f"{epsilon} is more than what is left of {self.total}")
+        self._enter(record_id, mechanism, epsilon)
+        if self.spent() > self.total + 1e-12:
+            self._enter(record_id, f"{mechanism} reversed", -epsilon)
+            raise BudgetExceeded(f"{epsilon} is more than what is left of {self.total}")
+
+    def _enter(self, record_id, mechanism: str, epsilon: float) -> None:
         row = self.spark.range(1).select(F.current_timestamp().alias("at"), F.lit(str(record_id)).alias("record_id"), F.lit(mechanism).alias("mechanism"), F.lit(float(epsilon)).alias("epsilon"))
         row.write.mode("append").parquet(self.path)
+
+
+def empirical_sensitivity(before: DataFrame, after: DataFrame) -> DataFrame:
+    """(sensitivity): the largest change of a utility (ctx, u) between two neighbouring datasets; a missing context has 0."""
+    both = before.select("ctx", F.col("u").alias("u1")).join(after.select("ctx", F.col("u").alias("u2")), "ctx", "full")
+    change = F.abs(F.coalesce(F.col("u1"), F.lit(0)) - F.coalesce(F.col("u2"), F.lit(0)))
+    return both.agg(F.coalesce(F.max(change), F.lit(0)).alias("sensitivity"))

@@ -17,9 +17,9 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ctxrelease.functions.student import critical_values
+from ctxrelease.functions.student import critical_column, critical_values
 from ctxrelease.plans.cells import build_cells, encode
-from ctxrelease.plans.runtime import BROADCAST_LIMIT_BYTES
+from ctxrelease.plans.runtime import BROADCAST_LIMIT_BYTES, bounded_broadcast, cut
 from ctxrelease.schema import ContextSchema
 
 
@@ -72,7 +72,7 @@ class Grubbs(Detector):
     """Largest-deviation test: the studentised deviation against a critical value from Student's distribution.
 
     mode `deviation`: the record's own deviation exceeds it; `extreme`: the record is the farthest one, too.
-    `iterative` (remove the farthest value while it is significant) is `iterative_outliers`.
+    Removing the farthest value while it is significant is `iterative_flags`, for whole populations.
     """
 
     alpha: float = 0.05
@@ -180,6 +180,15 @@ class LOF(Detector):
         return score > self.threshold, score
 
 
+    def reach(self, part: Slice, ctx: int, x: int) -> tuple[int, int]:
+        """The range of values that the factor of x in a context depends on; open where fewer values lie on a side."""
+        inside = (part.v_cell & ctx) == part.v_cell
+        xs = np.unique(part.v_x[inside])
+        p, wide = int(np.searchsorted(xs, x)), 3 * self.k + 1
+        big = np.iinfo(np.int64).max
+        return (int(xs[p - wide]) if p >= wide else -big), (int(xs[p + wide]) if p + wide < len(xs) else big)
+
+
 def local_factor(xs: np.ndarray, cnt: np.ndarray, p: int, k: int) -> float:
     """The factor of distinct value p among values with counts."""
     d = np.abs(xs[:, None] - xs[None, :]).astype(np.float64)
@@ -200,6 +209,35 @@ def local_factor(xs: np.ndarray, cnt: np.ndarray, p: int, k: int) -> float:
     return float((w[w > 0] * others[w > 0]).sum() / w.sum() / own)
 
 
+@dataclass(frozen=True)
+class IQR(Detector):
+    """Beyond the quartiles by a multiple of their distance. Quartiles are exact: the values of ranks ceil(n/4) and ceil(3n/4).
+
+    Needs the counts of all distinct values; `take_slice` refuses datasets whose counts don't fit.
+    """
+
+    reach: float = 1.5
+    name = "iqr"
+    wants_values = True
+
+    def values(self, encoded, cells, x):
+        return encoded.groupBy("cell", "x").agg(F.count(F.lit(1)).alias("cnt"))
+
+    def flags(self, part, ctxs, x):
+        flag, score = np.zeros(len(ctxs), bool), np.zeros(len(ctxs))
+        for i, c in enumerate(ctxs):
+            inside = (part.v_cell & c) == part.v_cell
+            total = np.cumsum(part.v_cnt[inside])
+            if not len(total):
+                continue
+            n, xs = int(total[-1]), part.v_x[inside]
+            low, high = (int(xs[np.searchsorted(total, -(-q * n // 4))]) for q in (1, 3))
+            wide = high - low
+            away = max(low - x, x - high, 0)
+            flag[i], score[i] = away > self.reach * wide, away / wide if wide else float(away > 0)
+        return flag, score
+
+
 @dataclass(frozen=True)
 class Plugin(Detector):
     """A caller's rule on moments: fn(n, mean, sd, lo, hi, x) -> (is an outlier, score), all arrays but x."""
@@ -238,7 +276,7 @@ def RangeShare(share: float = 0.75) -> Plugin:
     return Plugin(lambda *a: _range_rule(*a, share), f"range{share:g}")
 
 
-DETECTORS: dict[str, Callable[[], Detector]] = {"grubbs": Grubbs, "histogram": Histogram, "lof": LOF, "zscore": ZScore, "range": RangeShare}
+DETECTORS: dict[str, Callable[[], Detector]] = {"grubbs": Grubbs, "histogram": Histogram, "lof": LOF, "iqr": IQR, "zscore": ZScore, "range": RangeShare}
 
 
 def register_detector(name: str, make: Callable[[], Detector]) -> None:
@@ -275,28 +313,29 @@ def verify(contexts: DataFrame, part: Slice, detector: Detector, x: int) -> Data
     return contexts.select("ctx").mapInPandas(run, "ctx long, population long, is_outlier boolean, score double")
 
 
-def grubbs_columns(stats: DataFrame, x: int, critical: DataFrame) -> DataFrame:
-    """Grubbs over a DataFrame of folded contexts, without Python in the plan: `critical` holds (n, crit), one row per size."""
+def grubbs_columns(stats: DataFrame, x: int, alpha: float = 0.05, sides: int = 2) -> DataFrame:
+    """Adds score and is_outlier to a DataFrame of folded contexts, by built-in expressions only."""
     n, s, ss = F.col("n").cast("double"), F.col("s").cast("double"), F.col("ss").cast("double")
     mean = s / n
-    score = F.abs(F.lit(float(x)) - mean) / F.sqrt((ss - s * mean) / (n - 1))
-    return stats.join(critical, "n").withColumn("score", score).withColumn("is_outlier", F.coalesce(F.col("score") > F.col("crit"), F.lit(False)))
-
+    var = (ss - s * mean) / (n - 1)
+    score = F.when((F.col("n") >= 3) & (var > 0), F.abs(F.lit(float(x)) - mean) / F.sqrt(var)).otherwise(0.0)
+    return stats.withColumn("score", score).withColumn("is_outlier", F.coalesce(F.col("score") > critical_column(F.col("n"), alpha, sides), F.lit(False)))
 
-def critical_table(sizes: DataFrame, alpha: float = 0.05, sides: int = 2) -> DataFrame:
-    """(n, crit) for the distinct sizes in column n."""
 
-    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        for b in batches:
-            yield pd.DataFrame({"n": b["n"], "crit": critical_values(b["n"].to_numpy(), alpha, sides)})
+def grubbs_bounds(stats: DataFrame, alpha: float = 0.05, sides: int = 2) -> DataFrame:
+    """(ctx, n, mean, reach) of contexts in which some value may be an outlier: those farther than `reach` from the mean."""
+    n, s, ss = F.col("n").cast("double"), F.col("s").cast("double"), F.col("ss").cast("double")
+    mean = s / n
+    return stats.where("n >= 3").select("ctx", "n", mean.alias("mean"), (critical_column(F.col("n"), alpha, sides) * F.sqrt(F.greatest((ss - s * mean) / (n - 1), F.lit(0.0)))).alias("reach")).where("reach > 0")
 
-    return sizes.where("n >= 3").select("n").distinct().mapInPandas(run, "n long, crit double")
 
+def iterative_outliers(values: np.ndarray, counts: np.ndarray, alpha: float = 0.05, moments: tuple[int, int, int] | None = None) -> set[int]:
+    """Values removed one by one while the farthest is significant. values: distinct, sorted whole numbers.
 
-def iterative_outliers(values: np.ndarray, counts: np.ndarray, alpha: float = 0.05) -> set[int]:
-    """Values removed one by one while the farthest is significant. values: distinct, sorted whole numbers."""
+    moments: (n, sum, sum of squares) of the population where `values` holds its ends only.
+    """
     lo, hi, left = 0, len(values) - 1, counts.astype(np.int64).copy()
-    n, s, ss = int(left.sum()), sum(int(v) * int(c) for v, c in zip(values, left)), sum(int(v) ** 2 * int(c) for v, c in zip(values, left))
+    n, s, ss = moments or (int(left.sum()), sum(int(v) * int(c) for v, c in zip(values, left)), sum(int(v) ** 2 * int(c) for v, c in zip(values, left)))
     gone: set[int] = set()
     while n >= 3 and lo <= hi:
         mean = Fraction(s, n)
@@ -316,6 +355,35 @@ def iterative_outliers(values: np.ndarray, counts: np.ndarray, alpha: float = 0.
     return gone
 
 
+def iterative_flags(df: DataFrame, schema: ContextSchema, ctx: int, alpha: float = 0.05, window: int = 1000) -> DataFrame:
+    """(record_id, x, is_outlier) of every record of a context, by Grubbs' test repeated without the farthest value.
+
+    Only extreme values can go, so the driver sees moments and the `window` lowest and highest distinct values; if all
+    of a side's go, the window doubles and the removal starts again. Ties with a removed value go with it.
+    """
+    rows = encode(df, schema).where(F.col("cell").bitwiseAND(F.lit(ctx)) == F.col("cell"))
+    d = F.col("x").cast("decimal(18,0)")
+    n, s, ss = rows.agg(F.count(F.lit(1)), F.sum(d.cast("decimal(28,0)")), F.sum((d * d).cast("decimal(36,0)"))).first()
+    counts = rows.groupBy("x").agg(F.count(F.lit(1)).alias("cnt"))
+    while n >= 3:
+        low, high = ([(r[0], r[1]) for r in counts.orderBy(order).limit(window).collect()] for order in (F.asc("x"), F.desc("x")))
+        ends = dict([*low, *high])
+        gone = iterative_outliers(np.array(sorted(ends)), np.array([ends[v] for v in sorted(ends)]), alpha, (n, int(s), int(ss)))
+        whole = len(low) < window
+        if whole or not (low[-1][0] in gone or high[-1][0] in gone):
+            break
+        window *= 2
+    else:
+        gone = set()
+    below, above = [v for v in gone if v < int(s or 0) / max(n, 1)], [v for v in gone if v >= int(s or 0) / max(n, 1)]
+    out = F.lit(False)
+    if below:
+        out = out | (F.col("x") <= max(below))
+    if above:
+        out = out | (F.col("x") >= min(above))
+    return rows.select("record_id", "x", out.alias("is_outlier"))
+
+
 def flag_all(df: DataFrame, schema: ContextSchema, detector: Detector, ctx: int) -> DataFrame:
     """(record_id, x, is_outlier) of every record of one context, as DataFrame plans."""
     rows = encode(df, schema).where(F.col("cell").bitwiseAND(F.lit(ctx)) == F.col("cell"))
@@ -345,13 +413,28 @@ def flag_all(df: DataFrame, schema: ContextSchema, detector: Detector, ctx: int)
     raise TypeError(f"{detector.name} has no plan for whole populations")
 
 
+def ranked_values(values: DataFrame, parts: int | None = None) -> DataFrame:
+    """Adds `rank` (from 0) to distinct x in rising order, in range partitions: counts of partitions come before ranks in them.
+
+    The cut points are checkpointed with the rows, so that both passes see the same partitions.
+    """
+    spark = values.sparkSession
+    parts = parts or int(spark.conf.get("spark.sql.shuffle.partitions"))
+    dealt = cut(values.repartitionByRange(parts, "x").withColumn("__part", F.spark_partition_id()))
+    sizes = sorted((r[0], r[1]) for r in dealt.groupBy("__part").agg(F.count(F.lit(1))).collect())  # a row per partition
+    starts, at = [], 0
+    for p, k in sizes:
+        starts.append((p, at))
+        at += k
+    base = bounded_broadcast(spark.createDataFrame(starts or [(0, 0)], "__part int, __start long"), parts, 16)
+    nth = F.row_number().over(Window.partitionBy("__part").orderBy("x")) - 1
+    return dealt.withColumn("__nth", nth).join(base, "__part").withColumn("rank", F.col("__start") + F.col("__nth")).drop("__part", "__start", "__nth")
+
+
 def _lof_all(rows: DataFrame, detector: LOF) -> DataFrame:
-    """LOF of all records: distinct values in range partitions, each with a margin of 3k values from its neighbours."""
+    """LOF of all records: distinct values in blocks by rank, each with copies of the 3k+1 values on either side."""
     k = detector.k
-    values = rows.groupBy("x").agg(F.count(F.lit(1)).alias("cnt"))
-    ends = Window.orderBy("x")
-    # blocks of distinct values by rank; a block's margin rows are copies of its neighbours' ends
-    ranked = values.withColumn("rank", F.row_number().over(ends) - 1)
+    ranked = ranked_values(rows.groupBy("x").agg(F.count(F.lit(1)).alias("cnt")))
     size = 4096
     margin = 3 * k + 1
     block = F.floor(F.col("rank") / size)

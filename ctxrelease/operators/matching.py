@@ -6,6 +6,7 @@ deltas are dealt to tasks with the base slice, and each task compares enumeratio
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Iterator
 from dataclasses import replace
 
@@ -16,9 +17,10 @@ from pyspark.sql import functions as F
 
 from ctxrelease.functions.mechanism import allocate
 from ctxrelease.plans.cells import encode
+from ctxrelease.plans.runtime import BROADCAST_LIMIT_BYTES
 from ctxrelease.schema import ContextSchema
 
-from .detectors import Detector, Slice
+from .detectors import IQR, LOF, Detector, Slice, SliceTooLarge, take_slice
 from .search import Search
 
 
@@ -30,6 +32,63 @@ def pick_records(df: DataFrame, schema: ContextSchema, k: int, seed: int, exclud
     return rows.orderBy(F.xxhash64(F.col("record_id"), F.col("x"), F.lit(seed)), "record_id").limit(k)
 
 
+def shared_slice(df: DataFrame, schema: ContextSchema, cells: DataFrame | None = None) -> Slice:
+    """A slice with the counts of all distinct values, for many records at once; refused where they don't fit.
+
+    Where they don't, give each record its own slice by take_slice.
+    """
+    return take_slice(df, schema, IQR(), 0, cells)
+
+
+def own_slice(part: Slice, detector: Detector, x: int, removals: int = 0) -> Slice:
+    """A record's part of a shared slice: for LOF the nearest distinct values of each cell, with spares for removals."""
+    if not isinstance(detector, LOF):
+        return part
+    wide = 3 * detector.k + 1 + removals
+    keep = np.zeros(len(part.v_x), bool)
+    for cell in part.cell:
+        own = np.flatnonzero(part.v_cell == cell)  # by rising x
+        p = int(np.searchsorted(part.v_x[own], x, "right"))
+        keep[own[max(0, p - wide - 1) : p + wide]] = True
+    return replace(part, v_cell=part.v_cell[keep], v_x=part.v_x[keep], v_cnt=part.v_cnt[keep])
+
+
+def random_outliers(spark: SparkSession, df: DataFrame, schema: ContextSchema, part: Slice, detector: Detector, many: int, seed: int = 11, tries: int = 4096) -> list[tuple[object, int, int]]:
+    """(id, cell, x) of up to `many` records with a non-empty valid set, in the order of a seeded hash.
+
+    Half of the tries are records drawn from all rows, half from those farther than two deviations from the whole
+    table's mean, where valid sets are less rare.
+    """
+    rows = encode(df, schema)
+    n, s, ss = (float(part.n.sum()), float(part.s.sum()), float(part.ss.sum()))
+    spread = max((ss - s * s / n) / n, 0.0) ** 0.5
+    order = (F.xxhash64(F.col("record_id"), F.col("x"), F.lit(seed)), "record_id")
+    found = rows.orderBy(*order).limit(tries // 2).unionByName(rows.where(F.abs(F.col("x") - s / n) > 2 * spread).orderBy(*order).limit(tries // 2))
+    picked = sorted({(r[1], r[2], str(r[0])): r[0] for r in found.collect()}.items(), key=lambda kv: zlib.crc32(f"{seed}|{kv[0][2]}".encode()))
+
+    def judge(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for batch in batches:
+            keep = []
+            for k, cell, x in batch.itertuples(index=False):
+                s = Search(schema, own_slice(part, detector, int(x)), detector, int(cell), int(x))
+                masks = s.all_candidates()
+                # small contexts first: most outliers show there, and one valid context is enough
+                if any(s.valid_among(masks[at : at + 64]) for at in range(0, len(masks), 64)):
+                    keep.append(k)
+            yield pd.DataFrame({"k": keep}, dtype="int64")
+
+    out: list[tuple[object, int, int]] = []
+    step = max(64, 2 * many)
+    for at in range(0, len(picked), step):
+        some = [(at + i, int(c), int(x)) for i, ((c, x, _), _) in enumerate(picked[at : at + step])]
+        frame = spark.createDataFrame(some, "k long, cell long, x long").repartition(4 * spark.sparkContext.defaultParallelism)
+        hits = sorted(r[0] for r in frame.mapInPandas(judge, "k long").collect())
+        out += [(picked[k][1], picked[k][0][0], picked[k][0][1]) for k in hits]
+        if len(out) >= many:
+            break
+    return out[:many]
+
+
 def remove_records(part: Slice, removed: list[tuple[int, int]], edges: dict[int, tuple[np.ndarray, np.ndarray]]) -> Slice:
     """The slice without some (cell, x). `edges`: each cell's smallest and largest values, more than are removed."""
     n, s, ss, lo, hi, cnt = (a.copy() for a in (part.n, part.s, part.ss, part.lo, part.hi, part.v_cnt))
@@ -58,13 +117,16 @@ def cell_edges(df: DataFrame, schema: ContextSchema, k: int) -> dict[int, tuple[
     """Each cell's k+1 smallest and largest values: enough to know its range after k removals."""
     from pyspark.sql import Window
 
-    rows = encode(df, schema).select("cell", "x")
+    rows = encode(df, schema).groupBy("cell", "x").agg(F.least(F.count(F.lit(1)), F.lit(k + 1)).cast("int").alias("c")).select("cell", "x", F.explode(F.array_repeat(F.lit(0), F.col("c"))).alias("copy"))
     out: dict[int, tuple[np.ndarray, np.ndarray]] = {}
     parts = []
     for side, order in (("low", F.asc("x")), ("high", F.desc("x"))):
         w = Window.partitionBy("cell").orderBy(order)
         parts.append(rows.withColumn("r", F.row_number().over(w)).where(F.col("r") <= k + 1).select("cell", "x", F.lit(side).alias("side")))
-    found = parts[0].unionByName(parts[1]).toPandas()
+    limit = BROADCAST_LIMIT_BYTES // 32
+    found = parts[0].unionByName(parts[1]).limit(limit + 1).toPandas()
+    if len(found) > limit:
+        raise SliceTooLarge(f"more than {limit} smallest and largest values of cells")
     for cell, g in found.groupby("cell"):
         out[int(cell)] = (g.loc[g["side"] == "low", "x"].to_numpy(), g.loc[g["side"] == "high", "x"].to_numpy())
     return out
@@ -73,44 +135,80 @@ def cell_edges(df: DataFrame, schema: ContextSchema, k: int) -> dict[int, tuple[
 MATCH_SCHEMA = "detector string, delta_size int, record_id string, pair int, exact boolean, jaccard double, max_ratio double"
 
 
-def match_pairs(spark: SparkSession, schema: ContextSchema, records: list[tuple[object, int, int, Slice]], detector: Detector, deltas: dict[int, list[list[tuple[int, int]]]], edges, eps: float = 0.2) -> DataFrame:
+class Enumeration:
+    """All candidate contexts of a record, judged on a slice, and judged anew after removals.
+
+    A removal can only change contexts that hold a removed record; for LOF, only those in which a removed value lies
+    among the values near the record that its factor depends on.
+    """
+
+    def __init__(self, schema: ContextSchema, part: Slice, detector: Detector, cell: int, x: int):
+        self.detector, self.part, self.cell, self.x = detector, part, cell, x
+        self.ctxs = np.array(Search(schema, part, detector, cell, x).all_candidates(), np.int64)
+        self.valid, self.size = self._judge(part, self.ctxs)
+        if isinstance(detector, LOF):
+            spans = [detector.reach(part, int(c), x) for c in self.ctxs]
+            self.low, self.high = np.array([a for a, _ in spans]), np.array([b for _, b in spans])
+
+    def _judge(self, part: Slice, ctxs: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        valid, size = np.zeros(len(ctxs), bool), np.zeros(len(ctxs))
+        for at in range(0, len(ctxs), 2048):
+            some = ctxs[at : at + 2048]
+            valid[at : at + 2048], size[at : at + 2048] = self.detector.flags(part, some, self.x)[0], part.stats(some)["n"]
+        return valid, size
+
+    def without(self, removed: list[tuple[int, int]], edges) -> tuple[np.ndarray, np.ndarray]:
+        """(valid, population) by context after a removal."""
+        part = remove_records(self.part, removed, edges)
+        touched = np.zeros(len(self.ctxs), bool)
+        size = self.size.copy()
+        for cell, x in removed:
+            held = (self.ctxs & cell) == cell
+            size[held] -= 1
+            touched |= held & (self.low <= x) & (x <= self.high) if isinstance(self.detector, LOF) else held
+        valid = self.valid.copy()
+        if touched.any():
+            valid[touched] = self._judge(part, self.ctxs[touched])[0]
+        return valid, size
+
+
+def _law(size: np.ndarray, valid: np.ndarray, eps1: float) -> np.ndarray:
+    """Logarithms of selection probabilities, minus infinity where a context isn't valid."""
+    score = np.where(valid, eps1 * size, -np.inf)
+    top = score.max()
+    return score - top - np.log(np.exp(score - top).sum())
+
+
+def match_pairs(spark: SparkSession, schema: ContextSchema, records: list[tuple[object, int, int]], part: Slice, detector: Detector, deltas: dict[int, list[list[tuple[int, int]]]], edges, eps: float = 0.2) -> DataFrame:
     """A row for each (record, neighbour): do the valid sets agree, and the largest probability ratio on their intersection.
 
-    records: (id, cell, x, slice); deltas: by size, lists of removed (cell, x).
+    records: (id, cell, x); part: a shared slice; deltas: by size, lists of removed (cell, x). A record's neighbours share one task and
+    one enumeration; records without a valid context give no rows.
     """
     eps1 = allocate("direct", eps, 0)
-    work = [(str(rid), size, k) for rid, *_ in records for size, sets in deltas.items() for k in range(len(sets))]
-    known = {str(rid): (cell, x, part) for rid, cell, x, part in records}
-
-    def probabilities(valid: dict[int, float]) -> dict[int, float]:
-        top = max(valid.values())
-        e = {c: np.exp(eps1 * (u - top)) for c, u in valid.items()}
-        total = sum(e.values())
-        return {c: v / total for c, v in e.items()}
+    known = {str(rid): (cell, x) for rid, cell, x in records}
+    most = max(deltas, default=0)
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        base: dict[str, dict[int, float]] = {}
         for batch in batches:
             out = []
-            for rid, size, k in batch.itertuples(index=False):
-                cell, x, part = known[rid]
-                if rid not in base:
-                    base[rid] = Search(schema, part, detector, cell, x).valid()
-                v1 = base[rid]
-                removed = [d for d in deltas[size][k] if d != (cell, x)]  # the record itself stays
-                v2 = Search(schema, remove_records(part, removed, edges), detector, cell, x).valid()
-                common = v1.keys() & v2.keys()
-                ratio = float("nan")
-                if common:
-                    p1, p2 = probabilities(v1), probabilities(v2)
-                    with np.errstate(all="ignore"):
-                        r = [max(p1[c] / p2[c], p2[c] / p1[c]) for c in common if p1[c] > 0 and p2[c] > 0]
-                    ratio = max(r, default=float("nan"))
-                union = len(v1.keys() | v2.keys())
-                out.append((detector.name, size, rid, k, v1.keys() == v2.keys(), len(common) / union if union else 1.0, ratio))
+            for (rid,) in batch.itertuples(index=False):
+                cell, x = known[rid]
+                base = Enumeration(schema, own_slice(part, detector, x, most), detector, cell, x)
+                if not base.valid.any():
+                    continue
+                law = _law(base.size, base.valid, eps1)
+                for size, sets in deltas.items():
+                    for k, gone in enumerate(sets):
+                        valid, left = base.without([d for d in gone if d != (cell, x)], edges)  # the record itself stays
+                        common, union = int((base.valid & valid).sum()), int((base.valid | valid).sum())
+                        ratio = float("nan")
+                        if common:
+                            ratio = float(np.exp(np.abs(law - _law(left, valid, eps1))[base.valid & valid].max()))
+                        out.append((detector.name, size, rid, k, bool((base.valid == valid).all()), common / union if union else 1.0, ratio))
             yield pd.DataFrame(out, columns=[c.split()[0] for c in MATCH_SCHEMA.split(", ")])
 
-    frame = spark.createDataFrame(work, "rid string, size int, k int").repartition(min(len(work), 4 * spark.sparkContext.defaultParallelism))
+    frame = spark.createDataFrame([(r,) for r in known], "rid string").repartition(min(max(1, len(known)), 4 * spark.sparkContext.defaultParallelism))
     return frame.mapInPandas(run, MATCH_SCHEMA)
 
 

@@ -10,12 +10,12 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ctxrelease.functions.mechanism import BudgetLedger, NoValidContext, SecureNoise, SeededNoise, allocate, exp_mechanism
+from ctxrelease.functions.mechanism import BudgetLedger, NoValidContext, SecureNoise, SeededNoise, allocate, arg_max, exp_mechanism
 from ctxrelease.plans.cells import build_cells, candidate_contexts, context_stats, fold_contexts, lookup_record, neighbors
 from ctxrelease.plans.runtime import cut
 from ctxrelease.schema import Context, ContextSchema
 
-from .detectors import DETECTORS, Detector, Grubbs, Slice, critical_table, grubbs_columns, take_slice, verify
+from .detectors import DETECTORS, Detector, Grubbs, Slice, grubbs_columns, take_slice, verify
 from .search import Outcome, Search, starting_context
 
 
@@ -49,7 +49,7 @@ def valid_contexts(df: DataFrame, schema: ContextSchema, record_id, detector: De
     cells = cut(build_cells(df, schema))
     if type(detector) is Grubbs and detector.mode == "deviation":
         folded = fold_contexts(cells, schema, cell)
-        found = grubbs_columns(folded, x, critical_table(folded, detector.alpha, detector.sides)).where("is_outlier").select("ctx", F.col("n").alias("population"), "score")
+        found = grubbs_columns(folded, x, detector.alpha, detector.sides).where("is_outlier").select("ctx", F.col("n").alias("population"), "score")
     else:
         part = take_slice(df, schema, detector, x, cells)
         found = verify(candidate_contexts(df.sparkSession, schema, cell), part, detector, x).where("is_outlier").select("ctx", "population", "score")
@@ -97,25 +97,30 @@ def direct_release(df: DataFrame, schema: ContextSchema, record_id, detector: De
 TRIAL_SCHEMA = "record_id string, trial int, method string, detector string, utility_name string, eps double, n int, seconds double, ctx long, utility double, ratio double, verified long, draws int, trials long"
 
 
-def run_trials(spark, searches: dict[str, Search], grid: list[tuple[str, float, int]], repetitions: int, seed: int = 0, timed: bool = True, per_task: int = 10) -> DataFrame:
+def best_utility(df: DataFrame, schema: ContextSchema, record_id, detector: Detector, start: int | None = None) -> float:
+    """The largest utility of a record's valid contexts, from one enumeration as a DataFrame plan; NaN if it has none."""
+    found = valid_contexts(df, schema, record_id, detector, start).agg(F.max("u")).first()[0]
+    return float("nan") if found is None else float(found)
+
+
+def run_trials(spark, searches: dict[str, Search], grid: list[tuple[str, float, int]], repetitions: int, seed: int = 0, timed: bool = True, per_task: int = 10, best: dict[str, float] | None = None, setup: dict[str, float] | None = None) -> DataFrame:
     """Trials of every (method, eps, n) for every record, in one job: a row each with time, utility and ratio.
 
-    `searches` go to the tasks with the code; each was checked to be small. The ratio's denominator is the best
-    utility over all valid contexts, or, where there are too many to enumerate, over those seen.
+    `searches` go to the tasks with the code; each was checked to be small. `best` has the ratio's denominators (see
+    best_utility); a record without one has no ratio. `setup` has the seconds of the scan, cells and slice of a record,
+    which every release needs and which count in its time.
     """
+    best, setup = best or {}, setup or {}
     rows = [(rid, m, float(e), int(n), t) for rid in searches for m, e, n in grid for t in range(0, repetitions, per_task)]
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         import time
 
-        best: dict[str, float] = {}
         for batch in batches:
             out = []
             for rid, m, e, n, first in batch.itertuples(index=False):
                 base = searches[rid]
-                if rid not in best:
-                    own = Search(base.schema, base.part, base.detector, base.cell, base.x, base.start, base.overlap, base.utility, base.sensitivity)
-                    best[rid] = max(own.valid().values(), default=0.0) if len(own.free) <= 14 else float("nan")
+                top = best.get(rid, float("nan"))
                 for trial in range(first, min(first + per_task, repetitions)):
                     s = Search(base.schema, base.part, base.detector, base.cell, base.x, base.start, base.overlap, base.utility, base.sensitivity)
                     began = time.perf_counter()
@@ -123,7 +128,8 @@ def run_trials(spark, searches: dict[str, Search], grid: list[tuple[str, float,
                         o = s.run(m, e, n, SeededNoise(seed), trial)
                     except NoValidContext:
                         continue
-                    out.append((rid, trial, m, base.detector.name, "overlap" if base.overlap else "population", e, n, time.perf_counter() - began if timed else 0.0, o.ctx, o.utility, o.utility / best[rid] if best[rid] else float("nan"), o.verified, o.draws, o.trials))
+                    took = time.perf_counter() - began + setup.get(rid, 0.0)
+                    out.append((rid, trial, m, base.detector.name, "overlap" if base.overlap else "population", e, n, took if timed else 0.0, o.ctx, o.utility, o.utility / top if top else float("nan"), o.verified, o.draws, o.trials))
             yield pd.DataFrame(out, columns=[c.split()[0] for c in TRIAL_SCHEMA.split(", ")])
 
     work = spark.createDataFrame(rows, "rid string, m string, e double, n int, t int").repartition(min(len(rows), 4 * spark.sparkContext.defaultParallelism))
@@ -132,7 +138,7 @@ def run_trials(spark, searches: dict[str, Search], grid: list[tuple[str, float,
 
 def _valid_of(cells: DataFrame, contexts: DataFrame, x: int, alpha: float, sides: int) -> DataFrame:
     stats = context_stats(cells, contexts.select("ctx").distinct())
-    return grubbs_columns(stats, x, critical_table(stats, alpha, sides)).where("is_outlier").select("ctx", F.col("n").alias("u"))
+    return grubbs_columns(stats, x, alpha, sides).where("is_outlier").select("ctx", F.col("n").alias("u"))
 
 
 def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps: float, n: int, start: int, trials: int, noise, detector: Grubbs | None = None) -> DataFrame:
@@ -167,8 +173,7 @@ def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps:
 
     def drawn(cands: DataFrame, step, factor: float) -> DataFrame:
         key = noise.column(F.col("trial"), F.lit(step), F.col("ctx"))
-        best = F.max_by(F.struct("ctx", "u"), F.struct(F.col("u").cast("double") * factor + key, F.col("ctx")))
-        return cands.groupBy("trial").agg(best.alias("b")).select("trial", "b.ctx", "b.u")
+        return arg_max(cands, key, factor, ["trial"]).select("trial", "best.ctx", "best.u")
 
     steps = 0
     while steps < (n if method == "bfs" else n - 1):
@@ -184,7 +189,7 @@ def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps:
         elif method == "walk":
             kids = expand(top)
             order = noise_uniform_column(noise, F.col("trial"), F.lit(steps + 1), F.col("ctx"))
-            top = cut(kids.groupBy("trial").agg(F.min_by(F.struct("ctx", "u"), F.struct(order, F.col("ctx"))).alias("b")).select("trial", "b.ctx", "b.u"))
+            top = cut(kids.withColumn("__order", order).groupBy("trial").agg(F.min_by(F.struct("ctx", "u"), F.struct("__order", "ctx")).alias("b")).select("trial", "b.ctx", "b.u"))
             if top.isEmpty():
                 break
             visited = cut(visited.unionByName(top.withColumn("step", F.lit(steps + 1))))
@@ -197,8 +202,7 @@ def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps:
                 break
             kids = expand(current).select("trial", "ctx", "u").join(visited.select("trial", "ctx"), ["trial", "ctx"], "left_anti").join(sizes, "trial")
             key = noise.column(F.col("trial"), F.col("k"), F.col("ctx"))
-            best = F.max_by(F.struct("ctx", "u"), F.struct(F.col("u").cast("double") * eps1 + key, F.col("ctx")))
-            pick = cut(kids.groupBy("trial").agg(best.alias("b")).select("trial", "b.ctx", "b.u"))
+            pick = cut(arg_max(kids, key, eps1, ["trial"]).select("trial", "best.ctx", "best.u"))
             stuck = current.join(pick.select("trial"), "trial", "left_anti")
             top = top.join(stuck.select("trial", "depth"), ["trial", "depth"], "left_anti")
             deeper = pick.join(current.select("trial", "depth"), "trial").select("trial", "ctx", "u", (F.col("depth") + 1).alias("depth"))

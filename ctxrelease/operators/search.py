@@ -17,6 +17,10 @@ from ctxrelease.schema import ContextSchema
 from .detectors import Detector, Slice
 
 
+#: Random contexts tried for each wanted sample before the uniform sampler settles for fewer.
+TRIALS_PER_SAMPLE = 400
+
+
 @dataclass
 class Outcome:
     """One search: the context (public), and what only the owner may see."""
@@ -49,6 +53,14 @@ class Search:
                 self.memo[c] = float(u) if ok else None
         return [self.memo[c] for c in masks]
 
+    def valid_among(self, masks: list[int]) -> list[int]:
+        """The valid ones, without remembering the others."""
+        out: list[int] = []
+        for at in range(0, len(masks), 2048):
+            ctxs = np.array(masks[at : at + 2048], np.int64)
+            out += ctxs[self.detector.flags(self.part, ctxs, self.x)[0]].tolist()
+        return out
+
     def _scores(self, ctxs: np.ndarray) -> np.ndarray:
         stats = self.part.stats(ctxs)
         return stats["n"] if self.utility is None else self.utility(stats)
@@ -81,12 +93,15 @@ class Search:
         k = draw_local(masks, list(valid.values()), weight(e1, self.sensitivity, convention), noise, trial, 0)
         return Outcome(masks[k], valid[masks[k]], eps, 1 << len(self.free), 1, 0)
 
-    def uniform(self, eps: float, n: int, noise, trial=0, p: float = 0.5, distinct: bool = True, max_trials: int = 2_000_000, force_bits: bool = True, inclusive: bool = False, convention: str = "eps1") -> Outcome:
-        """Independent random bits, kept if valid, until there are n; then one draw."""
-        want, got, seen, tried = n + inclusive, [], set(), 0
+    def uniform(self, eps: float, n: int, noise, trial=0, p: float = 0.5, distinct: bool = True, max_trials: int | None = None, force_bits: bool = True, inclusive: bool = False, convention: str = "eps1") -> Outcome:
+        """Independent random bits, kept if valid, until there are n; then one draw.
+
+        Sampling ends after `max_trials` random contexts (TRIALS_PER_SAMPLE for each wanted one, if not given), with as
+        many as were found: a record may have fewer valid contexts than n. Its counters are those of the sampling alone.
+        """
+        goal, got, seen, tried = n + inclusive, [], set(), 0
+        max_trials = TRIALS_PER_SAMPLE * goal if max_trials is None else max_trials
         bits = self.free if force_bits else [1 << k for k in range(self.schema.t)]
-        known = self.valid() if len(self.free) <= 12 else None
-        goal = min(want, len(known)) if known is not None and distinct else want
         while len(got) < goal and tried < max_trials:
             batch = []
             for i in range(tried, min(tried + 64, max_trials)):
@@ -202,12 +217,11 @@ def starting_context(search: Search, strategy: str = "minimal", noise=None, max_
         raise ValueError(strategy)
     layer = [search.cell]
     for _ in range(len(search.free) + 1):
-        found = [c for c, u in zip(layer, search.utilities(layer)) if u is not None]
+        found = [c for at in range(0, len(layer), 65_536) for c in search.valid_among(layer[at : at + 65_536])]
         if found:
             return min(found)
-        layer = sorted({c | b for c in layer for b in search.free if not c & b})
-        if len(layer) > 500_000:
-            raise ValueError("too many contexts to search one by one; give a starting context")
+        # a mask's set bits above its highest chosen one: every larger mask is made once, and in pieces when verified
+        layer = [c | b for c in layer for b in search.free if b > ((c ^ search.cell).bit_length() and 1 << ((c ^ search.cell).bit_length() - 1))]
     raise NoValidContext("the record is an outlier in no context")
 
 

@@ -106,6 +106,17 @@ def fold_contexts(cells: DataFrame, schema: ContextSchema, anchor: int | None =
     return part.drop("cell")
 
 
+def supersets(values: DataFrame, schema: ContextSchema) -> DataFrame:
+    """Adds `ctx`: a row for each well-formed context that holds the row's cell, attribute by attribute."""
+    spark = values.sparkSession
+    out = values.withColumn("ctx", F.lit(0).cast("long"))
+    for i, mask in enumerate(schema.attr_masks):
+        rows = [(schema.bit(i, j), subset) for subset in _subsets(mask) for j in range(len(schema.attrs[i].domain)) if subset & schema.bit(i, j)]
+        table = bounded_broadcast(spark.createDataFrame(rows, "value long, subset long"), len(rows), 16)
+        out = out.join(table, F.col("cell").bitwiseAND(F.lit(mask)) == F.col("value")).withColumn("ctx", F.col("ctx").bitwiseOR(F.col("subset"))).drop("value", "subset")
+    return out
+
+
 def context_stats(cells: DataFrame, contexts: DataFrame) -> DataFrame:
     """Statistics of given contexts (ctx): every context against every cell. The reference path, and the one for few contexts."""
     return _merge(contexts.join(cells, F.col("cell").bitwiseAND(F.col("ctx")) == F.col("cell")).groupBy("ctx"))

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import time
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -9,23 +11,32 @@ from ctxrelease.functions import mechanism as mech
 from ctxrelease.operators import detectors as det
 from ctxrelease.operators import matching, measures, release
 from ctxrelease.plans import cells as pl
-from ctxrelease.plans.runtime import table
+from ctxrelease.plans.runtime import cut
 from ctxrelease.sources import workloads as wl
 from ctxrelease.streaming import windows
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
-#: Repetitions and samples of the registered runs; the full grid uses 200 and 50.
-REPETITIONS, SAMPLES, EPS = 20, 50, 0.2
+#: Repetitions, samples and budget of the published runs.
+REPETITIONS, SAMPLES, EPS = 200, 50, 0.2
+#: Random outliers and neighbours of each size in matching, and outliers in the ratio test.
+OUTLIERS, NEIGHBOURS, RATIO_OUTLIERS = 100, 50, 200
 
 
 def trials(spark: SparkSession, sf_dir: str, dataset: str, grid, detector: det.Detector | None = None, overlap: bool = False, repetitions: int = REPETITIONS, rank: int = 0) -> DataFrame:
-    """Seeded trials for the record of a given rank; the starting context is drawn from the valid ones."""
+    """Seeded trials for the record of a given rank; the starting context is drawn from the valid ones.
+
+    A release's time is that of its search and of the scan, cells and slice before it, which are measured once.
+    """
     df, schema = wl.workload(spark, sf_dir, dataset)
+    detector = detector or det.LOF()
     rid = wl.top_records(df, schema, rank + 1)[rank]
-    search = release.make_search(df, schema, rid, detector or det.LOF(), "uniform", overlap, mech.SeededNoise(7))
-    return release.run_trials(spark, {str(rid): search}, grid, repetitions)
+    began = time.perf_counter()
+    search = release.make_search(df, schema, rid, detector, "uniform", overlap, mech.SeededNoise(7))
+    setup = time.perf_counter() - began
+    best = release.best_utility(df, schema, rid, detector, search.start if overlap else None)
+    return release.run_trials(spark, {str(rid): search}, grid, repetitions, best={str(rid): best}, setup={str(rid): setup})
 
 
 def _summary(t: DataFrame, by: list[str]) -> DataFrame:
@@ -43,14 +54,14 @@ def _add(name: str, fn) -> None:
 
 
 _METHODS = [(m, EPS, SAMPLES) for m in mech.METHODS]
-for _d in ("e14", "li12", "li12_all"):
+for _d in ("e14", "li12"):
     _add(f"w_samplers_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, _METHODS), ["method"]))
     _add(f"w_overlap_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)], overlap=True), ["method"]))
     _add(f"w_epsilon_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", e, SAMPLES) for e in (0.05, 0.1, 0.2, 0.4)]), ["eps"]))
     _add(f"w_samples_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", EPS, k) for k in (25, 50, 100, 200)]), ["n"]))
     _add(f"w_detectors_{_d}", lambda s, d, n=_d: _detectors(s, d, n))
     _add(f"w_match_{_d}", lambda s, d, n=_d: matching.match_summary(match(s, d, n)))
-    _add(f"w_ratio_{_d}", lambda s, d, n=_d: matching.ratio_summary(match(s, d, n)))
+    _add(f"w_ratio_{_d}", lambda s, d, n=_d: matching.ratio_summary(match(s, d, n, RATIO_OUTLIERS, NEIGHBOURS, (1,))))
 
 
 def _detectors(spark, sf_dir, dataset):
@@ -58,36 +69,52 @@ def _detectors(spark, sf_dir, dataset):
     return _summary(parts[0].unionByName(parts[1]), ["detector"])
 
 
-def match(spark: SparkSession, sf_dir: str, dataset: str, records: int = 3, neighbours: int = 3, sizes=(1, 5, 10, 25)) -> DataFrame:
-    """Pairs (record, neighbour) for all detectors. Records are the largest metrics; the full run takes 100 by 50."""
+def match(spark: SparkSession, sf_dir: str, dataset: str, outliers: int = OUTLIERS, neighbours: int = NEIGHBOURS, sizes=(1, 5, 10, 25)) -> DataFrame:
+    """Pairs (random outlier, neighbouring dataset) for all detectors."""
     df, schema = wl.workload(spark, sf_dir, dataset)
-    ids = wl.top_records(df, schema, records)
+    cells = cut(pl.build_cells(df, schema))
+    part = matching.shared_slice(df, schema, cells)
     edges = matching.cell_edges(df, schema, max(sizes))
-    gone = {k: [[(r["cell"], r["x"]) for r in matching.pick_records(df, schema, k, 1000 * k + j, ids).collect()] for j in range(neighbours)] for k in sizes}
+    # one draw of records in the order of a seeded hash, dealt to the neighbours: no record is drawn twice for one of them
+    drawn = [(r["cell"], r["x"]) for r in matching.pick_records(df, schema, neighbours * sum(sizes), 1000).collect()]
+    gone, at = {}, 0
+    for k in sizes:
+        gone[k] = [drawn[at + j * k : at + (j + 1) * k] for j in range(neighbours)]
+        at += neighbours * k
     out = None
     for make in (det.Grubbs, det.Histogram, det.LOF):
-        known = []
-        for rid in ids:
-            cell, x = pl.lookup_record(df, schema, rid)
-            known.append((rid, cell, x, det.take_slice(df, schema, make(), x)))
-        found = matching.match_pairs(spark, schema, known, make(), gone, edges)
-        out = found if out is None else out.unionByName(found)
-    return out
+        known = matching.random_outliers(spark, df, schema, part, make(), outliers)
+        if known:
+            found = matching.match_pairs(spark, schema, known, part, make(), gone, edges, EPS)
+            out = found if out is None else out.unionByName(found)
+    return out if out is not None else spark.createDataFrame([], matching.MATCH_SCHEMA)
 
 
 def _headline(spark, sf_dir):
-    """The full-size schema: breadth-first release of the top record; enumeration isn't tried."""
+    """The full-size schema: direct selection over all its candidate contexts against the samplers, on the top record.
+
+    Direct selection runs as one plan (folded cells, built-in test, arg max); its time is the wall time of that plan.
+    """
     df, schema = wl.workload(spark, sf_dir, "e25")
     rid = wl.top_records(df, schema)[0]
+    began = time.perf_counter()
+    valid = cut(release.valid_contexts(df, schema, rid, det.Grubbs()).select("ctx", "u"))
+    drawn = mech.exp_mechanism(valid, mech.allocate("direct", EPS, 0), mech.SeededNoise(0), tag=(0, 0)).first()
+    took = time.perf_counter() - began
+    best = float(valid.agg(F.max("u")).first()[0])
+    began = time.perf_counter()
     search = release.make_search(df, schema, rid, det.Grubbs(), "uniform", noise=mech.SeededNoise(7))
-    return release.run_trials(spark, {str(rid): search}, [("bfs", EPS, SAMPLES), ("walk", EPS, SAMPLES), ("dfs", EPS, SAMPLES)], 10).groupBy("method").agg(F.avg("seconds").alias("t_avg"), F.avg("utility").alias("population"), F.max("utility").alias("best_population"))
+    setup = time.perf_counter() - began
+    grid = [(m, EPS, SAMPLES) for m in ("uniform", "walk", "dfs", "bfs")]
+    sampled = _summary(release.run_trials(spark, {str(rid): search}, grid, REPETITIONS, best={str(rid): best}, setup={str(rid): setup}), ["method"])
+    direct = spark.createDataFrame([("direct", took, took, took, drawn["u"] / best, drawn["u"] / best, drawn["u"] / best, float(1 << len(search.free)), 1.0, 0.0)], sampled.schema)
+    return direct.unionByName(sampled)
 
 
 _add("w_headline_e25", _headline)
-for _d in ("li12", "li12_all"):
-    _add(f"w_counters_{_d}", lambda s, d, n=_d: measures.counters(trials(s, d, n, [(m, EPS, 10) for m in mech.METHODS], det.Grubbs(), repetitions=10), ["method"]))
-for _d in ("li16", "li16_all"):
-    _add(f"w_samplers_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", EPS, 25), ("dfs", EPS, 25), ("walk", EPS, 25)], det.Grubbs(), repetitions=10), ["method"]))
+_add("w_counters_li12", lambda s, d: measures.counters(trials(s, d, "li12", _METHODS, det.Grubbs()), ["method"]))
+_add("w_samplers_li16", lambda s, d: _summary(trials(s, d, "li16", [("uniform", EPS, SAMPLES), ("walk", EPS, SAMPLES), ("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)]), ["method"]))
+_add("w_samplers_grubbs_li16", lambda s, d: _summary(trials(s, d, "li16", [("uniform", EPS, SAMPLES), ("walk", EPS, SAMPLES), ("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)], det.Grubbs()), ["method"]))
 _add("w_bootstrap_e14", lambda s, d: measures.bootstrap_interval(trials(s, d, "e14", _METHODS), ["method"]))
 
 
@@ -98,22 +125,31 @@ def _components(spark, sf_dir, name):
     return measures.graph_components(valid, schema).groupBy("component").agg(F.count(F.lit(1)).alias("contexts"))
 
 
-for _d in ("li12", "li12_all"):
+for _d in ("li12",):
     _add(f"valid_graph_components_{_d}", lambda s, d, n=_d: _components(s, d, n))
 
 
 def _sensitivity(spark, sf_dir, name):
-    """Largest change of each context's population when one record goes: one, for contexts that hold it."""
+    """Largest change of any context's population when one record goes: both enumerations, compared."""
     df, schema = wl.workload(spark, sf_dir, name)
-    cells = pl.build_cells(df, schema)
-    gone = matching.pick_records(df, schema, 1, 3).select(F.col("cell").alias("gone"))
-    folded = pl.fold_contexts(cells, schema)
-    return folded.crossJoin(gone).select(F.when(F.col("gone").bitwiseAND(F.col("ctx")) == F.col("gone"), 1).otherwise(0).alias("change")).agg(F.max("change").alias("sensitivity"))  # one removed record
+    encoded = pl.encode(df, schema)
+    gone = matching.pick_records(df, schema, 1, 3).first()
+    before = pl.fold_contexts(pl.moments(encoded.groupBy("cell")), schema).select("ctx", F.col("n").alias("u"))
+    after = pl.fold_contexts(pl.moments(encoded.where(F.col("record_id") != F.lit(gone["record_id"])).groupBy("cell")), schema).select("ctx", F.col("n").alias("u"))
+    return mech.empirical_sensitivity(before, after).select(F.col("sensitivity").cast("long").alias("sensitivity"))
+
+
+def _sensitivity_sql(name: str, pick: str) -> str:
+    full = wl.SCHEMAS[name].full
+    return f"""WITH enc AS ({wl.encoded_sql(name)}), gone AS (SELECT record_id FROM enc ORDER BY {pick} LIMIT 1),
+per AS (SELECT cell, count(*) AS n1, count(*) FILTER (record_id <> (SELECT record_id FROM gone)) AS n2 FROM enc GROUP BY cell),
+both_sides AS (SELECT c.ctx, sum(n1) AS u1, sum(n2) AS u2 FROM range({full + 1}) AS c(ctx) JOIN per ON cell & c.ctx = cell GROUP BY c.ctx)
+SELECT max(abs(u1 - u2))::BIGINT AS sensitivity FROM both_sides"""
 
 
-for _d in ("li12", "li12_all"):
+for _d in ("e14", "doc13"):
     _add(f"sensitivity_population_{_d}", lambda s, d, n=_d: _sensitivity(s, d, n))
-    SQL[f"sensitivity_population_{_d}"] = "SELECT 1::INT AS sensitivity"
+    SQL[f"sensitivity_population_{_d}"] = _sensitivity_sql(_d, "record_id")
 
 for _k in ("tumbling", "sliding", "session"):
     _add(f"stream_{_k}", lambda s, d, k=_k: windows.run_to_table(s, getattr(windows, k)(windows.events_stream(s, d)), "complete"))

@@ -5,12 +5,18 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ctxrelease.plans.runtime import bounded_broadcast
 from ctxrelease.plans.runtime import table as t
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
 
 
+def checked(df: DataFrame, row_bytes: int = 64) -> DataFrame:
+    """A broadcast side after a count of its rows, or a shuffled one where they are too many."""
+    return bounded_broadcast(df, df.count(), row_bytes)
+
+
 def op(name: str, sql: str | None, fn) -> None:
     QUERIES[f"ops_{name}"] = fn
     if sql:
@@ -36,7 +42,7 @@ op("filter_null_metric", "SELECT d.doc_id FROM documents d LEFT JOIN labels l ON
 op("filter_like_rlike", "SELECT page_id FROM pages WHERE url LIKE 'http%' AND regexp_matches(url, '[0-9]+')",
    lambda s, d: t(s, d, "pages").where(F.col("url").like("http%") & F.col("url").rlike("[0-9]+")).select("page_id"))
 op("join_broadcast", "SELECT p_type, count(*) AS n FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_type",
-   lambda s, d: t(s, d, "lineitem").join(t(s, d, "part").select("p_partkey", "p_type"), F.col("l_partkey") == F.col("p_partkey")).groupBy("p_type").agg(F.count(F.lit(1)).alias("n")))
+   lambda s, d: t(s, d, "lineitem").join(checked(t(s, d, "part").select("p_partkey", "p_type")), F.col("l_partkey") == F.col("p_partkey")).groupBy("p_type").agg(F.count(F.lit(1)).alias("n")))
 for _h, _n in (("merge", "join_sortmerge"), ("shuffle_hash", "join_shuffle_hash")):
     op(_n, "SELECT o_orderstatus, count(*) AS n FROM lineitem JOIN orders ON l_orderkey = o_orderkey GROUP BY o_orderstatus",
        lambda s, d, h=_h: t(s, d, "lineitem").select("l_orderkey").join(t(s, d, "orders").select("o_orderkey", "o_orderstatus").hint(h), F.col("l_orderkey") == F.col("o_orderkey")).groupBy("o_orderstatus").agg(F.count(F.lit(1)).alias("n")))
@@ -50,14 +56,12 @@ op("join_anti", "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o
    lambda s, d: t(s, d, "customer").join(t(s, d, "orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"))
 op("join_full_compare", "SELECT coalesce(a.user_id, b.user_id) AS user_id, a.n AS clicks, b.n AS views FROM (SELECT user_id, count(*) AS n FROM events WHERE event_type = 'click' GROUP BY 1) a FULL JOIN (SELECT user_id, count(*) AS n FROM events WHERE event_type = 'view' GROUP BY 1) b ON a.user_id = b.user_id",
    lambda s, d: t(s, d, "events").where("event_type = 'click'").groupBy("user_id").agg(F.count(F.lit(1)).alias("clicks")).join(t(s, d, "events").where("event_type = 'view'").groupBy("user_id").agg(F.count(F.lit(1)).alias("views")), "user_id", "full").select("user_id", "clicks", "views"))
-op("join_range_band", "SELECT o.o_orderkey, count(*) AS n FROM orders o JOIN customer c ON c_acctbal BETWEEN o_totalprice / 100 - 5 AND o_totalprice / 100 + 5 WHERE o_orderkey < 2000 GROUP BY 1",
-   lambda s, d: _band(s, d, "o_orderkey < 2000"))
-op("join_range_band_all", None, lambda s, d: _band(s, d))  # quadratic in SQL; compared with brute force on a fixture
+op("join_range_band", None, lambda s, d: _band(s, d))  # quadratic in SQL; compared with brute force on a fixture
 
 
-def _band(s: SparkSession, d: str, which: str = "true") -> DataFrame:
+def _band(s: SparkSession, d: str) -> DataFrame:
     """Band join: equal buckets of the band's width (a bucket and its neighbours), then the exact test."""
-    o = t(s, d, "orders").where(which).select("o_orderkey", (F.col("o_totalprice") / 100).alias("mid"))
+    o = t(s, d, "orders").select("o_orderkey", (F.col("o_totalprice") / 100).alias("mid"))
     o = o.withColumn("b", F.explode(F.sequence(F.floor((F.col("mid") - 5) / 10), F.floor((F.col("mid") + 5) / 10))))
     c = t(s, d, "customer").select("c_acctbal", F.floor(F.col("c_acctbal") / 10).alias("b"))
     return o.join(c, "b").where(F.col("c_acctbal").between(F.col("mid") - 5, F.col("mid") + 5)).groupBy("o_orderkey").agg(F.count(F.lit(1)).alias("n"))
@@ -126,8 +130,7 @@ op("scalar_json", "SELECT event_id, json_extract_string(props, '$.k')::INT AS k
 op("scalar_hash", "SELECT event_id, md5('0|' || event_id::VARCHAR) AS h, ('0x' || substr(md5('0|' || event_id::VARCHAR), 1, 13))::BIGINT AS u FROM events",
    lambda s, d: t(s, d, "events").select("event_id", F.md5(F.concat(F.lit("0|"), F.col("event_id").cast("string"))).alias("h")).withColumn("u", F.conv(F.substring("h", 1, 13), 16, 10).cast("long")))
 op("decimal_sum", "SELECT l_returnflag, sum(l_extendedprice::DECIMAL(18,4))::DOUBLE AS total FROM lineitem GROUP BY 1", lambda s, d: t(s, d, "lineitem").groupBy("l_returnflag").agg(F.sum(F.col("l_extendedprice").cast("decimal(18,4)")).cast("double").alias("total")))
-op("explode_posexplode", "SELECT vec_id, (i - 1)::INT AS pos, embedding[i] AS v FROM embeddings, range(1, 65) AS r(i) WHERE vec_id < 20", lambda s, d: t(s, d, "embeddings").where("vec_id < 20").select("vec_id", F.posexplode("embedding").alias("pos", "v")))
-op("explode_posexplode_all", "SELECT vec_id, (i - 1)::INT AS pos, embedding[i] AS v FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings)", lambda s, d: t(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("pos", "v")))
+op("explode_posexplode", "SELECT vec_id, (i - 1)::INT AS pos, embedding[i] AS v FROM (SELECT vec_id, embedding, unnest(range(1, len(embedding) + 1)) AS i FROM embeddings)", lambda s, d: t(s, d, "embeddings").select("vec_id", F.posexplode("embedding").alias("pos", "v")))
 
 
 def _sql(s: SparkSession, d: str, text: str, *names: str) -> DataFrame:
@@ -145,26 +148,108 @@ op("cte_sql", _CTE, lambda s, d: _sql(s, d, _CTE, "events"))
 op("sample_hash", "SELECT l_orderkey, l_linenumber FROM lineitem WHERE l_orderkey % 10 = 3", lambda s, d: t(s, d, "lineitem").where("l_orderkey % 10 = 3").select("l_orderkey", "l_linenumber"))
 
 
-def _udf_bits(s: SparkSession, d: str, which: str = "true") -> DataFrame:
+def _udf_bits(s: SparkSession, d: str) -> DataFrame:
     from ctxrelease.functions.udf import register
 
     register(s)
     t(s, d, "events").createOrReplaceTempView("events")
-    return s.sql(f"SELECT event_id, ctx_bits(event_id % 64, 6) AS bits FROM events WHERE {which}")
+    return s.sql("SELECT event_id, ctx_bits(event_id % 64, 6) AS bits FROM events")
 
 
-op("udf", "SELECT event_id, right('000000' || bin(event_id % 64), 6) AS bits FROM events WHERE event_id < 500", lambda s, d: _udf_bits(s, d, "event_id < 500"))
-op("udf_all", "SELECT event_id, right('000000' || bin(event_id % 64), 6) AS bits FROM events", _udf_bits)
+op("udf", "SELECT event_id, right('000000' || bin(event_id % 64), 6) AS bits FROM events", _udf_bits)
 
 
 def _udtf(s: SparkSession, d: str) -> DataFrame:
     from ctxrelease.functions.udf import register
 
     register(s)
-    return s.sql("SELECT neighbor FROM context_neighbors(11, 5)")
+    t(s, d, "events").createOrReplaceTempView("events")
+    return s.sql("SELECT event_id, neighbor FROM events, LATERAL context_neighbors(event_id, 5)")
+
+
+op("udtf", "SELECT event_id, xor(event_id, (1::BIGINT << b::INT)) AS neighbor FROM events, range(5) AS r(b)", _udtf)
+
+
+def _ctx_sql(s: SparkSession, d: str) -> DataFrame:
+    from ctxrelease.functions.udf import ctx_sql
+    from ctxrelease.sources.workloads import SCHEMAS
+
+    schema = SCHEMAS["inc9"]
+    return s.range(1 << schema.t).select(F.col("id").alias("ctx"), ctx_sql(schema)("id").alias("predicate"))
+
+
+def _ctx_sql_oracle() -> str:
+    from ctxrelease.sources.workloads import SCHEMAS
+
+    schema = SCHEMAS["inc9"]
+    lists, empty = [], []
+    for i, a in enumerate(schema.attrs):
+        values = " || ".join(f"CASE WHEN ctx & {schema.bit(i, j)} <> 0 THEN ', ''{v}''' ELSE '' END" for j, v in enumerate(a.domain))
+        mask = schema.attr_masks[i]
+        empty.append(f"ctx & {mask} = 0")
+        lists.append(f"CASE WHEN ctx & {mask} = {mask} THEN NULL ELSE 'CAST({a.expr} AS STRING) IN (' || substr({values}, 3) || ')' END")
+    return f"SELECT ctx, CASE WHEN {' OR '.join(empty)} THEN 'FALSE' ELSE coalesce(nullif(concat_ws(' AND ', {', '.join(lists)}), ''), 'TRUE') END AS predicate FROM range({1 << schema.t}) AS c(ctx)"
+
+
+op("ctx_sql", _ctx_sql_oracle(), _ctx_sql)
+
+
+def _grouped_udf(s: SparkSession, d: str) -> DataFrame:
+    from ctxrelease.functions.udf import studentised_range
+
+    return t(s, d, "orders").groupBy("o_orderpriority").agg(F.round(studentised_range("o_totalprice"), 6).alias("spread"))
+
+
+op("grouped_udf", "SELECT o_orderpriority, round((max(o_totalprice) - min(o_totalprice)) / stddev_samp(o_totalprice), 6) AS spread FROM orders GROUP BY 1", _grouped_udf)
+
+
+def _release_contexts(s: SparkSession, d: str) -> DataFrame:
+    from ctxrelease.functions.mechanism import SeededNoise
+    from ctxrelease.functions.udf import release_contexts
+    from ctxrelease.sources.workloads import top_records, workload
+
+    df, schema = workload(s, d, "doc13")
+    return release_contexts(df, schema, top_records(df, schema, 3), "grubbs", n=10, noise=SeededNoise(0))
+
+
+op("release_contexts", None, _release_contexts)
+
+
+def _mask_theta(s: SparkSession, d: str) -> DataFrame:
+    """Contexts against cells by bit containment: the theta join that folding replaces."""
+    from ctxrelease.plans import cells as pl
+    from ctxrelease.sources.workloads import workload
+
+    df, schema = workload(s, d, "li12")
+    cells = pl.build_cells(df, schema)
+    contexts = s.range(1 << schema.t).select(F.col("id").alias("ctx"))
+    return contexts.join(cells, F.col("cell").bitwiseAND(F.col("ctx")) == F.col("cell")).groupBy("ctx").agg(F.count(F.lit(1)).alias("cells"), F.sum("n").alias("n"))
+
+
+def _self_flip(s: SparkSession, d: str) -> DataFrame:
+    """Pairs of occupied cells' supersets one flip apart, by explode and equal keys."""
+    from ctxrelease.plans import cells as pl
+    from ctxrelease.sources.workloads import workload
+
+    df, schema = workload(s, d, "li12")
+    folded = pl.fold_contexts(pl.build_cells(df, schema), schema).select("ctx", "n")
+    flips = pl.neighbors(folded, schema.t)
+    return flips.join(folded.select(F.col("ctx").alias("neighbor"), F.col("n").alias("m")), "neighbor").select("ctx", "neighbor", (F.col("m") - F.col("n")).alias("change"))
+
+
+def _bits_oracles() -> tuple[str, str]:
+    from ctxrelease.sources.workloads import SCHEMAS, cells_sql
+
+    schema = SCHEMAS["li12"]
+    cells = f"WITH cells AS ({cells_sql('li12')})"
+    some = " AND ".join(f"ctx & {m} <> 0" for m in schema.attr_masks)
+    theta = f"{cells} SELECT c.ctx, count(*) AS cells, sum(n)::BIGINT AS n FROM range({1 << schema.t}) AS c(ctx) JOIN cells ON cell & c.ctx = cell GROUP BY c.ctx"
+    flip = f"{cells}, stats AS (SELECT c.ctx, sum(n)::BIGINT AS n FROM range({1 << schema.t}) AS c(ctx) JOIN cells ON cell & c.ctx = cell WHERE {some} GROUP BY c.ctx) SELECT a.ctx, b.ctx AS neighbor, b.n - a.n AS change FROM stats a JOIN stats b ON bit_count(xor(a.ctx, b.ctx)) = 1"
+    return theta, flip
 
 
-op("udtf", "SELECT xor(11, (1::BIGINT << b::INT)) AS neighbor FROM range(5) AS r(b)", _udtf)
+op("join_mask_theta", _bits_oracles()[0], _mask_theta)
+op("join_self_flip", _bits_oracles()[1], _self_flip)
 
 
 def _pandas_udf(s: SparkSession, d: str) -> DataFrame:

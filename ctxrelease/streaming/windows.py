@@ -61,16 +61,27 @@ def user_totals(stream: DataFrame) -> DataFrame:
 
 
 def run_to_table(spark: SparkSession, stream: DataFrame, mode: str) -> DataFrame:
-    """Runs the stream over what is there and returns its result; checkpoints lie in the shared folder."""
+    """Runs the stream over what is there and returns its result, written by tasks; it and the checkpoints lie in the shared folder.
+
+    In update mode the result has a row for every change of a key.
+    """
     name = f"result_{uuid.uuid4().hex}"
     where = f"{shared_dir(spark)}/{name}"
     if mode == "append":
         q = stream.writeStream.format("parquet").option("path", f"{where}/out").option("checkpointLocation", f"{where}/state").outputMode(mode).trigger(availableNow=True).start()
         q.awaitTermination()
         return spark.read.schema(stream.schema).parquet(f"{where}/out")
-    q = stream.writeStream.format("memory").queryName(name).option("checkpointLocation", f"{where}/state").outputMode(mode).trigger(availableNow=True).start()
+
+    def write(batch: DataFrame, number: int) -> None:
+        # a batch's folder is replaced when it is repeated, so a replay after a failure leaves one copy
+        batch.write.mode("overwrite").parquet(f"{where}/out/batch={number}")
+
+    q = stream.writeStream.foreachBatch(write).option("checkpointLocation", f"{where}/state").outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.table(name)
+    written = spark.read.schema(stream.schema.add("batch", "long")).parquet(f"{where}/out")
+    if mode == "complete":  # each batch has the whole result: the last one counts
+        written = written.where(F.col("batch") == F.lit(written.agg(F.max("batch")).first()[0]))
+    return written.drop("batch")
 
 
 def release_each_batch(spark: SparkSession, sf_dir: str, eps: float = 0.1, total: float = 0.2) -> DataFrame:
