@@ -24,27 +24,37 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 import regex
 from pyspark import SparkFiles
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import append_columns, slices
+from .common import append_columns, give_back, remembered, slices
 
 #: Words in the automaton, by falling count; the list is bounded, so the file is too (some 5 MB).
 LEXICON_WORDS = 131_072
 #: Longer words (in UTF-8 bytes) are left to the merges.
 LEXICON_WORD_BYTES = 40
-#: Words whose encoding a task remembers at a time.
-MEMO_WORDS = 300_000
+#: Words whose encoding a process remembers in each of two generations; the older one goes when the newer is full.
+MEMO_WORDS = 200_000
+#: Characters of the texts that are encoded at a time.
+TEXT_SLICE = 1 << 22
+#: Words that a task counts before it hands them on.
+COUNT_WORDS = 200_000
 NO_RANK = np.int32(1 << 30)
 
 _WORDS = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|\p{L}+|\p{N}|[^\s\p{L}\p{N}]+")
 _ASCII_WORDS = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z]+|[0-9]|[^\sa-z0-9]+")
 #: White space to str.split(), but not to the vocabulary file.
 _ODD_SPACE = "\x1c\x1d\x1e\x1f"
-_PLAIN = regex.compile(r"[\t-\r\x20-\x7e\xa1-ſ–—‘’“”…€]*")
+_PLAIN = re.compile(r"[\t-\r\x20-\x7e\xa1-ſ–—‘’“”…€]*")
+# the plain range's letters and numbers, for the same words as _WORDS by the faster matcher
+_LETTERS = "a-z" + "".join(chr(c) for c in range(0xA1, 0x180) if unicodedata.category(chr(c))[0] == "L")
+_NUMBERS = "0-9" + "".join(chr(c) for c in range(0xA1, 0x180) if unicodedata.category(chr(c))[0] == "N")
+_FORM = rf"'s|'t|'re|'ve|'m|'ll|'d|[{_LETTERS}]+|[{_NUMBERS}]|[^\s{_LETTERS}{_NUMBERS}]+"
+_PLAIN_WORDS, _LINE_WORDS = re.compile(_FORM), re.compile(_FORM + r"|\n")
 
 
 def default_path() -> str:
@@ -174,25 +184,21 @@ def pieces(voc: Vocabulary, text: str) -> list[str]:
     return _words(voc, text)
 
 
-def split(voc: Vocabulary, text: str) -> list[str]:
-    """Chunks that can be encoded one by one: between white space, or whole if the text holds what only the file's own splitter knows."""
+def words_of(voc: Vocabulary, text: str) -> list[str]:
+    """Words of a whole text: in one pass if it is plain, else chunk by chunk between white space, which no word crosses."""
     if "<|" in text or any(c in text for c in _ODD_SPACE):
-        return [text]
-    if text.isascii() or _PLAIN.fullmatch(text):
-        return text.lower().split()  # fewer chunks to remember; lower case again changes nothing
-    return text.split()
+        return pieces(voc, text)
+    if _PLAIN.fullmatch(text):
+        return _words(voc, text)
+    return [w for chunk in text.split() for w in _words(voc, chunk)]
 
 
 def _words(voc: Vocabulary, text: str) -> list[str]:
-    if text.isascii():  # the common chunks: a word, or a word and one sign
-        if text.isalpha():
-            return [text.lower()]
-        if text[:-1].isalpha() and text[-1] in ",.;:!?":
-            return [text[:-1].lower(), text[-1]]
-    if text.isascii() and _PLAIN.fullmatch(text):
-        return _ASCII_WORDS.findall(text.lower())
     if _PLAIN.fullmatch(text):
-        return _WORDS.findall(unicodedata.normalize("NFC", text).lower())
+        if text.isascii():
+            return _ASCII_WORDS.findall(text.lower())
+        low = unicodedata.normalize("NFC", text).lower()
+        return _PLAIN_WORDS.findall(low) if _PLAIN.fullmatch(low) else _WORDS.findall(low)
     lib = voc.library()
     found = lib.pre_tokenizer.pre_tokenize_str(lib.normalizer.normalize_str(text)) if text else []
     return [bytes(voc.back[c] for c in w).decode() for w, _ in found]
@@ -306,77 +312,115 @@ def mapped(name: str) -> Lexicon:
     return Lexicon(SparkFiles.get(name))
 
 
+class Memory:
+    """Remembered values of a bounded number of keys in two generations: what is asked for moves to the newer one, so
+    frequent keys outlive the rare ones that fill it."""
+
+    def __init__(self, make: Callable[[list[str]], list], most: int = MEMO_WORDS):
+        self.make, self.most = make, most
+        self.new: dict[str, object] = {}
+        self.old: dict[str, object] = {}
+
+    def of(self, keys: list[str]) -> list:
+        """Values of keys that may repeat."""
+        missing = set(keys).difference(self.new)
+        if missing:
+            if len(self.new) + len(missing) > self.most:
+                self.old, self.new = self.new, {}
+                missing = set(keys)
+            known = missing.intersection(self.old)
+            self.new.update(zip(known, map(self.old.__getitem__, known)))
+            unseen = list(missing.difference(known))
+            self.new.update(zip(unseen, self.make(unseen)))
+        return list(map(self.new.__getitem__, keys))
+
+
 class Encoder:
-    """Encodes texts chunk by chunk (chunks lie between white space, which no word crosses).
+    """Encodes whole texts: chunks between white space, which no word crosses, are parted, numbered and put together as
+    Arrow columns; only the words of a slice's distinct chunks are looked up one by one.
 
-    A bounded number of chunks and words is remembered; words come from the automaton or, unseen, from the merges.
+    Words come from the automaton or, unseen, from the merges. With `decoded`, the token strings come along, each after a blank.
     """
 
     def __init__(self, voc: Vocabulary, lexicon: Lexicon | None = None, decoded: bool = False):
         self.voc, self.lexicon, self.decoded = voc, lexicon, decoded
-        self.words: dict[str, bytes] = {t: np.array([i], "<u4").tobytes() for t, i in voc.special.items()}
-        self.ids: dict[str, bytes] = {}
-        self.shown: dict[str, bytes] = {}
-
-    def learn(self, words: list[str]) -> None:
-        raw = [w.encode() for w in words]
-        known = self.words
-        if self.lexicon is not None and words:
+        self.words = Memory(self.encode_words)
+
+    def encode_words(self, words: list[str]) -> list:
+        """Ids of distinct words, 4 bytes each; with their token strings, if `decoded`."""
+        out: list[bytes] = [b""] * len(words)
+        special = self.voc.special
+        for k, w in enumerate(words):
+            if w in special:
+                out[k] = np.array([special[w]], "<u4").tobytes()
+        rest = [k for k, x in enumerate(out) if not x and words[k] != "\n"]
+        raw = [words[k].encode() for k in rest]
+        if self.lexicon is not None and rest:
             number = self.lexicon.find(raw)
             hit = np.flatnonzero(number >= 0)
             a, b = self.lexicon.offset[number[hit]].tolist(), self.lexicon.offset[number[hit] + 1].tolist()
-            for k, i, j in zip(hit.tolist(), a, b):
-                known[words[k]] = self.lexicon.ids[i:j].astype("<u4").tobytes()
-            rest = np.flatnonzero(number < 0).tolist()
-            words, raw = [words[k] for k in rest], [raw[k] for k in rest]
-        known.update(zip(words, self.voc.merge(raw)))
-
-    def _learn_chunks(self, chunks: list[str]) -> None:
-        if len(self.words) + len(chunks) > 1.5 * MEMO_WORDS:
-            self.words = {t: np.array([i], "<u4").tobytes() for t, i in self.voc.special.items()}
-        parts = [pieces(self.voc, c) for c in chunks]
-        self.learn(list(set().union(*parts).difference(self.words)))
-        get, tokens = self.words.__getitem__, self.voc.token_bytes
-        for c, p in zip(chunks, parts):
-            ids = get(p[0]) if len(p) == 1 else b"".join(map(get, p))
-            self.ids[c] = ids
-            if self.decoded:
-                # the token strings of decoding, each after a blank
-                self.shown[c] = b"".join([b" " + tokens[i] for i in np.frombuffer(ids, "<u4").tolist()])
-
-    def chunks(self, texts: list[str]) -> Iterator[list[str]]:
-        """Lists of chunks that are all known."""
-        for i, j in slices(texts):
-            lists = [split(self.voc, t) for t in texts[i:j]]
-            wanted = set().union(*lists)
-            new = wanted.difference(self.ids)
-            if new:
-                if len(self.ids) + len(new) > MEMO_WORDS:
-                    self.ids, self.shown = {}, {}
-                    new = wanted
-                self._learn_chunks(list(new))
-            yield from lists
+            for at, i, j in zip(hit.tolist(), a, b):
+                out[rest[at]] = self.lexicon.ids[i:j].astype("<u4").tobytes()
+            left = np.flatnonzero(number < 0).tolist()
+            rest, raw = [rest[at] for at in left], [raw[at] for at in left]
+        for k, ids in zip(rest, self.voc.merge(raw)):
+            out[k] = ids
+        if not self.decoded:
+            return out
+        tokens = self.voc.token_bytes
+        return [(x, b"".join([b" " + tokens[i] for i in np.frombuffer(x, "<u4").tolist()])) for x in out]
+
+    def _sides(self, words: list[str]) -> list[list[bytes]]:
+        """The words' ids, and their token strings if wanted."""
+        found = self.words.of(words)
+        return [list(x) for x in zip(*found)] or [[], []] if self.decoded else [found]
+
+    def _slice(self, texts: list[str]) -> Iterator[list[bytes]]:
+        low: list[str] = []
+        odd: dict[int, str] = {}
+        for k, t in enumerate(texts):
+            plain = "<|" not in t and _PLAIN.fullmatch(t)
+            if plain and not t.isascii():
+                t = unicodedata.normalize("NFC", t)
+            even = t.lower() if plain else ""
+            if not plain or not (even.isascii() or _PLAIN.fullmatch(even)):
+                odd[k] = texts[k]
+                even = ""
+            low.append(even)
+        parts = pc.ascii_split_whitespace(pa.array(low, pa.string()))
+        numbered = parts.values.dictionary_encode()
+        chunks = numbered.dictionary.to_pylist()
+        words = _LINE_WORDS.findall("\n".join([*chunks, ""]))  # a line end closes each chunk
+        closed = np.array([0, *(k + 1 for k, w in enumerate(words) if w == "\n")], np.int64)
+        bounds = parts.offsets.to_numpy()
+        ready = []
+        for values in self._sides(words):
+            # the chunks' bytes lie one after another; chunks are taken in the order of the texts
+            flat = pa.array(values, pa.binary())
+            ends = np.frombuffer(flat.buffers()[1], np.int32, len(flat) + 1)[closed] if values else np.zeros(1, np.int32)
+            own = pa.Array.from_buffers(pa.binary(), len(chunks), [None, pa.py_buffer(ends.tobytes()), flat.buffers()[2]])
+            whole = own.take(numbered.indices)
+            ends = np.frombuffer(whole.buffers()[1], np.int32, len(whole) + 1) if len(whole) else np.zeros(1, np.int32)
+            ready.append((memoryview(whole.buffers()[2] or b""), ends[bounds].tolist()))
+        for k in range(len(texts)):
+            if k in odd:
+                yield [b"".join(x) for x in self._sides(words_of(self.voc, odd[k]))]
+            else:
+                yield [bytes(data[at[k] : at[k + 1]]) for data, at in ready]
 
     def encode(self, texts: list[str]) -> Iterator[bytes]:
         """Ids of each text as little-endian unsigned 32-bit integers."""
-        for chunks in self.chunks(texts):
-            yield b"".join(map(self.ids.__getitem__, chunks))
+        for i, j in slices(texts, TEXT_SLICE):
+            yield from (x[0] for x in self._slice(texts[i:j]))
 
     def encode_and_decode(self, texts: list[str]) -> Iterator[tuple[bytes, bytes]]:
-        for chunks in self.chunks(texts):
-            yield b"".join(map(self.ids.__getitem__, chunks)), b"".join(map(self.shown.__getitem__, chunks))[1:]
-
-
-_encoders: dict[tuple, Encoder] = {}
+        for i, j in slices(texts, TEXT_SLICE):
+            yield from ((ids, shown[1:]) for ids, shown in self._slice(texts[i:j]))
 
 
 def encoder(path: str, lexicon: str | None = None, decoded: bool = False) -> Encoder:
     """This process's encoder: what it remembers serves the tasks that follow."""
-    key = (path, lexicon, decoded)
-    if key not in _encoders:
-        _encoders.clear()
-        _encoders[key] = Encoder(vocabulary(path), mapped(lexicon) if lexicon else None, decoded)
-    return _encoders[key]
+    return remembered(("bpe", path, lexicon, decoded), lambda: Encoder(vocabulary(path), mapped(lexicon) if lexicon else None, decoded))
 
 
 def decode(voc: Vocabulary, ids: np.ndarray) -> str:
@@ -389,15 +433,8 @@ def word_counts(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         voc = vocabulary(path)
-        chunks: Counter = Counter()
         seen: Counter = Counter()
 
-        def settle() -> None:
-            for c, n in chunks.items():
-                for w in pieces(voc, c):
-                    seen[w] += n
-            chunks.clear()
-
         def flush() -> pa.RecordBatch:
             out = pa.RecordBatch.from_arrays([pa.array(list(seen), pa.string()), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
             seen.clear()
@@ -405,13 +442,11 @@ def word_counts(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame
 
         for batch in batches:
             for text in batch.column(0).to_pylist():
-                chunks.update(split(voc, text or ""))
-                if len(chunks) > MEMO_WORDS:
-                    settle()
-                if len(seen) > MEMO_WORDS:
+                seen.update(words_of(voc, text or ""))
+                if len(seen) > COUNT_WORDS:
                     yield flush()
-        settle()
         yield flush()
+        give_back()
 
     return docs.select(text_col).mapInArrow(count, "word string, n long").groupBy("word").agg(F.sum("n").alias("n"))
 

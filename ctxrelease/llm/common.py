@@ -51,6 +51,14 @@ def give_back() -> None:
         pass
 
 
+def fresh(df: DataFrame, name: str) -> str:
+    """A column name that `df` doesn't have in any case."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], maker: Callable[[], Callable[[list[str | None]], list[list[Any]]]], keep: list[str] | None = None) -> DataFrame:
     """One pass over `df`: the columns in `keep` (all, if None) and new ones computed from whole texts.
 
@@ -59,7 +67,7 @@ def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], ma
     """
     new = {f.name.lower() for f in fields}
     names = [c for c in (df.columns if keep is None else keep) if c.lower() not in new]
-    source = df.select(*[df[c] for c in names], df[text_col].alias("__text"))
+    source = df.select(*[df[c] for c in names], df[text_col].alias(fresh(df, "__text")))
     kept = T.StructType([source.schema[c] for c in names])
     schema = T.StructType([*kept.fields, *fields])
     out = to_arrow_schema(T.StructType(fields))

@@ -26,6 +26,7 @@ from pyspark.sql import functions as F
 from ctxrelease.plans.runtime import bounded_broadcast, cut
 
 from .bpe import default_path, encoder
+from .common import give_back
 
 CAPACITY = 2048
 END_ID = 0
@@ -215,6 +216,7 @@ def cut_pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACIT
                     for column, x in zip(rows, (piece, at // 4, len(part) // 4, zlib.crc32(part))):
                         column.append(x)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(place, pa.int64())), pa.array(rows[0], pa.int32()), *(pa.array(r, pa.int64()) for r in rows[1:])], names=[key, "piece", "start", "length", "ids_crc32"])
+        give_back()
 
     return docs.select(key, text_col).mapInArrow(run, f"`{key}` {key_type}, piece int, start long, length long, ids_crc32 long")
 
