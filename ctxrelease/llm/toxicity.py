@@ -6,8 +6,13 @@ occur together add to the score, so that pairs count beyond the sum of their par
 function of that sum.
 
 It learns from a bounded sample (SAMPLE_ROWS rows by a hash of doc_id) of labelled rows whose crc32(doc_id) mod 5
-isn't 0; terms are chosen by how far their share among toxic rows departs from chance. Null and empty texts have
-no terms: their score is the intercept's. Without labels every score is 0.
+isn't 0. Terms are chosen in two ways: by how far their share among toxic rows departs from chance, and by pairs
+whose share departs from what the two terms say on their own. A group's name that is as common in clean texts, or
+an insult that is harmless alone, comes in by its pairs; such terms start with larger vectors, so that the products
+are learned and not left near zero.
+
+Null and empty texts have no terms: their score is the intercept's. Without labels every score is 0. Rows may repeat;
+each is scored. A label that is null isn't learned from; several labels of a document count as their largest.
 """
 
 from __future__ import annotations
@@ -20,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import append_columns
+from .common import append_columns, remembered
 
 BUCKETS = 1 << 24
 PREFIXES = (4, 5, 7)
@@ -30,6 +35,9 @@ TERMS = 4096
 DEVIATION = 36.0
 SAMPLE_ROWS = 6_000
 MIN_ROWS = 3
+#: Terms whose pairs are looked at, terms taken in for their pairs, and the spread of the first vectors.
+POOL, PAIRED = 3_000, 1_024
+SPREAD, PAIR_SPREAD = 0.01, 0.3
 EPOCHS = 12
 MEMO = 60_000
 
@@ -76,16 +84,10 @@ class Terms:
         return out
 
 
-_kept: dict[bytes, Terms] = {}
-
-
 def _terms_of(machine: Machine | None) -> Terms:
     """This process's terms for a machine: what they remember serves the tasks that follow."""
     key = machine.buckets.tobytes() if machine else b""
-    if key not in _kept:
-        _kept.clear()
-        _kept[key] = Terms({int(b): k for k, b in enumerate(machine.buckets)} if machine else None)
-    return _kept[key]
+    return remembered(("toxicity", key), lambda: Terms({int(b): k for k, b in enumerate(machine.buckets)} if machine else None))
 
 
 @dataclass
@@ -100,6 +102,41 @@ class Machine:
         return float(self.intercept + self.weight[terms].sum() + 0.5 * ((v.sum(0) ** 2).sum() - (v * v).sum()))
 
 
+def paired_terms(lists: list[np.ndarray], y: np.ndarray, n: np.ndarray, hit: np.ndarray) -> np.ndarray:
+    """Places of terms in pairs whose share of toxic rows departs from the sum of the two terms' own log odds, farthest first.
+
+    lists: places of each row's terms. Looks at the POOL terms that most toxic rows hold, leaving out those that half of
+    all rows hold.
+    """
+    rows, positives = len(lists), y.sum()
+    fair = np.flatnonzero((hit >= MIN_ROWS) & (2 * n <= rows))
+    pool = np.sort(fair[np.argsort(-hit[fair], kind="stable")[:POOL]])
+    if len(pool) < 2 or not 0 < positives < rows:
+        return np.zeros(0, np.int64)
+    place = np.full(len(n), -1)
+    place[pool] = np.arange(len(pool))
+    held = np.zeros((rows, len(pool)), np.float32)
+    for i, terms in enumerate(lists):
+        own = place[terms]
+        held[i, own[own >= 0]] = 1
+    toxic = held[y > 0]
+    base = np.log((positives + 0.5) / (rows - positives + 0.5))
+    odds = (np.log((hit[pool] + 0.5) / (n[pool] - hit[pool] + 0.5)) - base).astype(np.float32)
+    best = np.zeros(len(pool), np.float32)
+    for at in range(0, len(pool), 256):
+        both = held[:, at : at + 256].T @ held
+        bad = toxic[:, at : at + 256].T @ toxic
+        share = 1 / (1 + np.exp(-np.clip(odds[at : at + 256, None] + odds[None, :] + np.float32(base), -20, 20)))
+        expected = both * share
+        far = np.where(both >= MIN_ROWS, (bad - expected) ** 2 / np.maximum(expected * (1 - share), 0.25), 0)
+        far[np.arange(far.shape[0]), at + np.arange(far.shape[0])] = 0
+        # a word and its own first bytes are one word: a pair that never parts says nothing
+        far[(both == n[pool][at : at + 256, None]) | (both == n[pool][None, :])] = 0
+        best[at : at + 256] = far.max(1)
+    order = np.argsort(-best, kind="stable")[:PAIRED]
+    return pool[order[best[order] >= DEVIATION]]
+
+
 def fit(rows: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, seed: int = 5) -> Machine | None:
     """Adaptive gradient descent on the logistic loss with a penalty; rows hold distinct buckets."""
     if not rows:
@@ -115,8 +152,11 @@ def fit(rows: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, seed: i
     share = positives / len(y)
     far = (hit - n * share) ** 2 / np.maximum(n * share * (1 - share), 1e-9)
     far[n < MIN_ROWS] = -1
-    kept = np.sort(np.argsort(-far, kind="stable")[:TERMS])
-    kept = kept[far[kept] >= DEVIATION]
+    alone = np.argsort(-far, kind="stable")[: TERMS - PAIRED]
+    alone = alone[far[alone] >= DEVIATION]
+    bounds = np.searchsorted(owner, np.arange(len(rows) + 1))
+    pairs = paired_terms([at[bounds[i] : bounds[i + 1]] for i in range(len(rows))], y, n, hit)
+    kept = np.union1d(alone, pairs).astype(np.int64)
     where = np.full(len(seen), -1)
     where[kept] = np.arange(len(kept))
     new = where[at]
@@ -126,7 +166,8 @@ def fit(rows: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, seed: i
     lists = [new[bounds[i] : bounds[i + 1]] for i in range(len(rows))]
     rng = np.random.default_rng(seed)
     odds = np.log((hit[kept] + 0.5) / (n[kept] - hit[kept] + 0.5)) - base
-    m = Machine(seen[kept], base, 0.5 * odds, rng.normal(0, 0.01, (len(kept), RANK)))
+    spread = np.where(np.isin(kept, pairs), PAIR_SPREAD, SPREAD)[:, None]
+    m = Machine(seen[kept], base, 0.5 * odds, rng.normal(0, 1, (len(kept), RANK)) * spread)
     g_w, g_v, g_0 = np.full(len(kept), 1.0), np.full((len(kept), RANK), 1.0), 1.0
     penalty = 2e-4
     for epoch in range(epochs):
