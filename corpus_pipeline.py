@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from ctxrelease.llm import langid, ngram_join, packing, pii, toxicity
-from ctxrelease.llm.common import append_columns
+from ctxrelease.llm.common import append_columns, fresh
 from ctxrelease.plans.runtime import shared_dir
 
 #: A clean document in a learned language scores far higher; see the README for the distribution.
@@ -30,30 +30,40 @@ MIN_LANG_SCORE = 0.3
 
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    judged = langid.identify(docs.withColumnsRenamed({"score": "__score"}) if "score" in docs.columns else docs, langid.train(docs))
-    kept = judged.where((F.col("lang_pred") != langid.UNKNOWN) & (F.col("score") >= MIN_LANG_SCORE)).drop("lang_pred", "score")
-    return kept.withColumnRenamed("__score", "score").select(*docs.columns)
+    """Keeps documents with a letter and a language score of at least MIN_LANG_SCORE; null and empty texts go.
+
+    It learns from the documents' own `lang`; without any, every document is unknown and goes. Columns of any name pass.
+    """
+    lang, score = fresh(docs, "__lang"), fresh(docs, "__score")
+    judged = langid.identify(docs, langid.train(docs), names=(lang, score))
+    return judged.where((F.col(lang) != langid.UNKNOWN) & (F.col(score) >= MIN_LANG_SCORE)).select(*docs.columns)
 
 
 def toxicity_filter(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps documents whose toxicity score is under 0.5; a null or empty text has the intercept's score and stays."""
+    name = fresh(docs, "__toxic")
     machine = toxicity.train(docs, spark.read.parquet(f"{sf_dir}/labels.parquet"))
-    return toxicity.score(docs, machine, name="__toxic").where(F.col("__toxic") < 0.5).select(*docs.columns)
+    return toxicity.score(docs, machine, name=name).where(F.col(name) < 0.5).select(*docs.columns)
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the smallest doc_id of each component, and every document without words or without a doc_id."""
     gone = ngram_join.near_duplicates(docs).where(F.col("n_shingles") > 0).where("doc_id <> component_id").select("doc_id").distinct()
     return docs.join(gone, "doc_id", "left_anti").select(*docs.columns)
 
 
 def pii_redaction(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    clean = append_columns(docs, "text", [T.StructField("__clean", T.StringType())], lambda: lambda texts: [[pii.redact(t) for t in texts]])
-    out = clean.withColumn("text", F.col("__clean"))
+    """Replaces personal data by its kind in every text and sets n_chars anew; null texts stay null."""
+    name = fresh(docs, "__clean")
+    clean = append_columns(docs, "text", [T.StructField(name, T.StringType())], lambda: lambda texts: [[pii.redact(t) for t in texts]])
+    out = clean.withColumn("text", F.col(name))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("text").isNotNull(), F.char_length("text")).cast(docs.schema["n_chars"].dataType))
     return out.select(*docs.columns)
 
 
 def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Packs all documents; rows are those of the packing operator. A null or empty text is one end mark."""
     return packing.pack_documents(docs)
 
 
