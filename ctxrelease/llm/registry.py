@@ -15,6 +15,7 @@ def queries() -> dict:
         "op6_pii": pii.op6_pii,
         "op7_toxicity": toxicity.op7_toxicity,
         "op8_media": media.op8_media,
+        "media_clips": media.media_clips,
         "op9_ngram_jaccard": ngram_join.op9_ngram_jaccard,
         "op10_bpe": bpe.op10_bpe,
     }
