@@ -31,14 +31,14 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import append_columns, give_back, remembered, slices
+from .common import append_columns, claim, give_back, on_drop, remembered, slices, text_slices
 
 #: Words in the automaton, by falling count; the list is bounded, so the file is too (some 5 MB).
 LEXICON_WORDS = 131_072
 #: Longer words (in UTF-8 bytes) are left to the merges.
 LEXICON_WORD_BYTES = 40
 #: Words whose encoding a process remembers in each of two generations; the older one goes when the newer is full.
-MEMO_WORDS = 200_000
+MEMO_WORDS = 150_000
 #: Characters of the texts that are encoded at a time.
 TEXT_SLICE = 1 << 22
 #: Words that a task counts before it hands them on.
@@ -312,6 +312,10 @@ def mapped(name: str) -> Lexicon:
     return Lexicon(SparkFiles.get(name))
 
 
+on_drop("bpe", vocabulary.cache_clear)
+on_drop("bpe", mapped.cache_clear)
+
+
 class Memory:
     """Remembered values of a bounded number of keys in two generations: what is asked for moves to the newer one, so
     frequent keys outlive the rare ones that fill it."""
@@ -432,6 +436,7 @@ def word_counts(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame
     """Count of every word over whole texts: summed in each task first, then across tasks."""
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("bpe")
         voc = vocabulary(path)
         seen: Counter = Counter()
 
@@ -441,8 +446,9 @@ def word_counts(docs: DataFrame, path: str, text_col: str = "text") -> DataFrame
             return out
 
         for batch in batches:
-            for text in batch.column(0).to_pylist():
-                seen.update(words_of(voc, text or ""))
+            for _, _, texts in text_slices(batch.column(0)):
+                for text in texts:
+                    seen.update(words_of(voc, text or ""))
                 if len(seen) > COUNT_WORDS:
                     yield flush()
         yield flush()
@@ -486,7 +492,7 @@ def encode_documents(docs: DataFrame, path: str | None = None, size: int = LEXIC
 
         return work
 
-    return append_columns(docs, text_col, fields, maker, keep=[key])
+    return append_columns(docs, text_col, fields, maker, [key], "bpe")
 
 
 def op10_bpe(spark, sf_dir: str) -> DataFrame:

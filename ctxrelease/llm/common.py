@@ -8,6 +8,7 @@ from collections.abc import Callable, Iterator
 from typing import Any
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
@@ -30,13 +31,32 @@ def slices(texts: list[str], limit: int = SLICE_CHARS) -> Iterator[tuple[int, in
 
 #: What one operator keeps in a worker process between tasks; another operator's claim drops it.
 _held: dict[tuple, Any] = {}
+#: Further caches to empty then, by operator.
+_caches: dict[str, list[Callable[[], None]]] = {}
+
+
+def on_drop(owner: str, clear: Callable[[], None]) -> None:
+    _caches.setdefault(owner, []).append(clear)
+
+
+def claim(owner: str) -> None:
+    """Called by every task of an operator: what other operators keep in this process goes, so memories don't add up over stages."""
+    others = [k for k in _held if k[0] != owner]
+    if others:
+        for k in others:
+            del _held[k]
+        for name, clears in _caches.items():
+            if name != owner:
+                for clear in clears:
+                    clear()
+        give_back()
 
 
 def remembered(key: tuple, make: Callable[[], Any]) -> Any:
-    """The process-wide object of a key (operator name first). A process holds one at a time, so memories don't add up over stages."""
+    """The process-wide object of a key (operator name first); a process holds one at a time."""
+    claim(key[0])
     if key not in _held:
         _held.clear()
-        give_back()
         _held[key] = make()
     return _held[key]
 
@@ -59,11 +79,24 @@ def fresh(df: DataFrame, name: str) -> str:
     return name
 
 
-def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], maker: Callable[[], Callable[[list[str | None]], list[list[Any]]]], keep: list[str] | None = None) -> DataFrame:
+def text_slices(column: pa.Array, limit: int = SLICE_CHARS) -> Iterator[tuple[int, int, list[str | None]]]:
+    """(i, j, texts) of consecutive rows of about `limit` bytes: a batch never lies in Python's strings as a whole."""
+    sizes = pc.fill_null(pc.binary_length(column), 0).to_numpy(zero_copy_only=False)
+    i, size = 0, 0
+    for j, n in enumerate(sizes.tolist()):
+        if size and size + n > limit:
+            yield i, j, column.slice(i, j - i).to_pylist()
+            i, size = j, 0
+        size += n
+    if i < len(column):
+        yield i, len(column), column.slice(i).to_pylist()
+
+
+def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], maker: Callable[[], Callable[[list[str | None]], list[list[Any]]]], keep: list[str] | None = None, owner: str = "") -> DataFrame:
     """One pass over `df`: the columns in `keep` (all, if None) and new ones computed from whole texts.
 
     `maker` runs once per task and returns a function from a list of texts (None for null) to one list per field.
-    An existing column with the name of a new one is replaced.
+    An existing column with the name of a new one is replaced. `owner` names the operator whose memories may stay.
     """
     new = {f.name.lower() for f in fields}
     names = [c for c in (df.columns if keep is None else keep) if c.lower() not in new]
@@ -73,12 +106,12 @@ def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], ma
     out = to_arrow_schema(T.StructType(fields))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim(owner)
         work = maker()
         for batch in batches:
-            texts = batch.column(len(names))
-            for i, j in slices([x or "" for x in texts.to_pylist()], 8 * SLICE_CHARS):
+            for i, j, texts in text_slices(batch.column(len(names)), 4 * SLICE_CHARS):
                 part = batch.slice(i, j - i)
-                columns = work(texts.slice(i, j - i).to_pylist())
+                columns = work(texts)
                 arrays = [pa.array(c, type=f.type) for c, f in zip(columns, out)]
                 yield pa.RecordBatch.from_arrays([*(part.column(k) for k in range(len(names))), *arrays], names=[*names, *out.names])
         give_back()

@@ -180,7 +180,7 @@ def training_windows(docs: DataFrame, rows: int = SAMPLE_ROWS, windows: int = SA
 def identify(docs: DataFrame, net: Network | None, keep: list[str] | None = None, names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
     """The columns in `keep` (all, if None), the language and its score; columns with these `names` are replaced."""
     fields = [T.StructField(names[0], T.StringType()), T.StructField(names[1], T.DoubleType())]
-    return append_columns(docs, "text", fields, lambda: lambda texts: list(predict(net, texts)), keep)
+    return append_columns(docs, "text", fields, lambda: lambda texts: list(predict(net, texts)), keep, "langid")
 
 
 def train(docs: DataFrame) -> Network | None:

@@ -394,7 +394,7 @@ def payload_of(text: str | None) -> tuple[int, bytes]:
 
 def text_to_avi(docs: DataFrame, keep: list[str] | None = None, name: str = "avi") -> DataFrame:
     """Adds the file as a binary column."""
-    return append_columns(docs, "text", [T.StructField(name, T.BinaryType())], lambda: lambda texts: [[write_avi(payload_of(t)[1]) for t in texts]], keep)
+    return append_columns(docs, "text", [T.StructField(name, T.BinaryType())], lambda: lambda texts: [[write_avi(payload_of(t)[1]) for t in texts]], keep, "media")
 
 
 def clips(media: DataFrame, column: str = "avi", key: str = "doc_id") -> DataFrame:
@@ -438,7 +438,7 @@ def summarize(docs: DataFrame, keep: list[str]) -> DataFrame:
                 c.append(x)
         return out
 
-    return append_columns(docs, "text", fields, lambda: work, keep)
+    return append_columns(docs, "text", fields, lambda: work, keep, "media")
 
 
 def media_clips(spark, sf_dir: str) -> DataFrame:

@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from ctxrelease.plans.runtime import bounded_broadcast, cut, release, stored
 
-from .common import give_back, slices
+from .common import claim, give_back, slices, text_slices
 
 WORDS = 5
 #: The threshold as a fraction.
@@ -116,11 +116,11 @@ def column_order(docs: DataFrame) -> np.ndarray:
     size = 1 << SKETCH_BITS
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("join")
         total = np.zeros(size, np.int64)
         for batch in batches:
-            texts = [x or "" for x in batch.column(0).to_pylist()]
-            for i, j in slices(texts, HASHED):
-                found = shingles(texts[i:j])
+            for _, _, texts in text_slices(batch.column(0), HASHED):
+                found = shingles([x or "" for x in texts])
                 total += np.bincount((np.concatenate(found) >> _SHIFT).astype(np.int64), minlength=size)
         at = np.flatnonzero(total)
         give_back()
@@ -183,12 +183,13 @@ def rows_of(docs: DataFrame, place: np.ndarray) -> DataFrame:
     """(doc_id, n, s1, s2, blocks, columns): set size, signature, sizes by block, and the columns that the size bound asks for."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("join")
         for batch in batches:
-            texts = [x or "" for x in batch.column(1).to_pylist()]
-            for i, j in slices(texts, BATCHED):
+            for i, j, texts in text_slices(batch.column(1), BATCHED):
+                texts = [x or "" for x in texts]
                 n, s1, s2, blocks, parts = [], [], [], [], []
-                for a, b in slices(texts[i:j], HASHED):
-                    part = texts[i + a : i + b]
+                for a, b in slices(texts, HASHED):
+                    part = texts[a:b]
                     for h, other in zip(shingles(part), shingles(part, 1)):
                         key = ordered_set(h, place)
                         n.append(len(key))
@@ -209,10 +210,11 @@ def full_sets(docs: DataFrame, ids: DataFrame, many: int) -> DataFrame:
     """(rep, cols): whole sets of the documents in `ids` (many rows: broadcast if that is proven small, else shuffled)."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        claim("join")
         for batch in batches:
-            texts = [x or "" for x in batch.column(1).to_pylist()]
-            for i, j in slices(texts, BATCHED):
-                parts = [distinct(h) for a, b in slices(texts[i:j], HASHED) for h in shingles(texts[i + a : i + b], 1)]
+            for i, j, texts in text_slices(batch.column(1), BATCHED):
+                texts = [x or "" for x in texts]
+                parts = [distinct(h) for a, b in slices(texts, HASHED) for h in shingles(texts[a:b], 1)]
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(i, j - i).cast(pa.int64()), _lists(parts)], names=["rep", "cols"])
         give_back()
 

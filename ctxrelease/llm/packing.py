@@ -25,8 +25,8 @@ from pyspark.sql import functions as F
 
 from ctxrelease.plans.runtime import bounded_broadcast, cut
 
-from .bpe import default_path, encoder
-from .common import give_back
+from .bpe import TEXT_SLICE, default_path, encoder
+from .common import give_back, text_slices
 
 CAPACITY = 2048
 END_ID = 0
@@ -208,13 +208,14 @@ def cut_pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACIT
         for batch in batches:
             place: list[int] = []
             rows: list[list[int]] = [[], [], [], []]
-            for k, ids in enumerate(coder.encode([x or "" for x in batch.column(1).to_pylist()])):
-                ids += end
-                for piece, at in enumerate(range(0, len(ids), step)):
-                    part = ids[at : at + step]
-                    place.append(k)
-                    for column, x in zip(rows, (piece, at // 4, len(part) // 4, zlib.crc32(part))):
-                        column.append(x)
+            for first, _, texts in text_slices(batch.column(1), TEXT_SLICE):
+                for k, ids in enumerate(coder.encode([x or "" for x in texts]), first):
+                    ids += end
+                    for piece, at in enumerate(range(0, len(ids), step)):
+                        part = ids[at : at + step]
+                        place.append(k)
+                        for column, x in zip(rows, (piece, at // 4, len(part) // 4, zlib.crc32(part))):
+                            column.append(x)
             yield pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(place, pa.int64())), pa.array(rows[0], pa.int32()), *(pa.array(r, pa.int64()) for r in rows[1:])], names=[key, "piece", "start", "length", "ids_crc32"])
         give_back()
 

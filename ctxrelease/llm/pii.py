@@ -250,7 +250,7 @@ def detect(docs: DataFrame, keep: list[str] | None = None) -> DataFrame:
             out[6].append(sum(map(len, full.values())) - sum(map(len, base.values())))
         return out
 
-    return append_columns(docs, "text", fields, lambda: work, keep)
+    return append_columns(docs, "text", fields, lambda: work, keep, "pii")
 
 
 def op6_pii(spark, sf_dir: str) -> DataFrame:

@@ -39,7 +39,7 @@ MIN_ROWS = 3
 POOL, PAIRED = 3_000, 1_024
 SPREAD, PAIR_SPREAD = 0.01, 0.3
 EPOCHS = 12
-MEMO = 60_000
+MEMO = 50_000
 
 #: ASCII other than letters parts words; bytes of other characters belong to them.
 _PARTS = bytes(b if b >= 128 or chr(b).isalpha() else 32 for b in range(256))
@@ -215,7 +215,7 @@ def training_rows(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -
         terms = _terms_of(None)
         return lambda texts: [[sorted(terms.of(t)) for t in texts]]
 
-    found = append_columns(sample, "text", fields, maker, ["doc_id", "toxic"]).toArrow().sort_by("doc_id")
+    found = append_columns(sample, "text", fields, maker, ["doc_id", "toxic"], "toxicity").toArrow().sort_by("doc_id")
     lists = found["terms"].combine_chunks()
     values, ends = lists.values.to_numpy(), lists.offsets.to_numpy()
     return [values[a:b] for a, b in zip(ends[:-1], ends[1:])], [int(x != 0) for x in found["toxic"].to_pylist()]
@@ -232,7 +232,7 @@ def score(docs: DataFrame, machine: Machine | None, keep: list[str] | None = Non
         terms = _terms_of(machine)
         return lambda texts: [score_texts(machine, terms, texts)]
 
-    return append_columns(docs, "text", [T.StructField(name, T.DoubleType())], maker, keep)
+    return append_columns(docs, "text", [T.StructField(name, T.DoubleType())], maker, keep, "toxicity")
 
 
 def op7_toxicity(spark, sf_dir: str) -> DataFrame:
