@@ -55,7 +55,7 @@ def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFr
 def pii_redaction(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Replaces personal data by its kind in every text and sets n_chars anew; null texts stay null."""
     name = fresh(docs, "__clean")
-    clean = append_columns(docs, "text", [T.StructField(name, T.StringType())], lambda: lambda texts: [[pii.redact(t) for t in texts]])
+    clean = append_columns(docs, "text", [T.StructField(name, T.StringType())], lambda: lambda texts: [[pii.redact(t) for t in texts]], owner="pii")
     out = clean.withColumn("text", F.col(name))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("text").isNotNull(), F.char_length("text")).cast(docs.schema["n_chars"].dataType))
