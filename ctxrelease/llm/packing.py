@@ -76,8 +76,11 @@ def _counts(items: list[int]) -> dict[int, int]:
     return out
 
 
-def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS, columns: int = COLUMNS, rate: float = RATE) -> list[tuple[Template, int]]:
-    """Configurations with the number of sequences that use each; together they hold the histogram exactly."""
+def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS, columns: int = COLUMNS, rate: float = RATE, report: dict | None = None) -> list[tuple[Template, int]]:
+    """Configurations with the number of sequences that use each; together they hold the histogram exactly.
+
+    `report` gets the bounds, the sequences of the program and of best fit alone, and the share placed by the program.
+    """
     left = {k: n for k, n in histogram.items() if n > 0}
     if any(not 0 < k <= capacity for k in left):
         raise ValueError("lengths must be from 1 to the capacity")
@@ -86,7 +89,7 @@ def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS, column
         chosen.append((((capacity, 1),), left.pop(capacity)))
     groups: list[tuple[Template, int]] = []
     # round the fractional cover down, then run what it leaves of each configuration once, where the pieces allow it
-    cover = fractional(left, capacity, rounds, columns, rate)
+    cover, dual = fractional(left, capacity, rounds, columns, rate)
     rest = dict(left)
     for whole in (True, False):
         for config, runs in sorted(cover.items(), key=lambda x: -(x[1] if whole else x[1] % 1)):
@@ -98,11 +101,19 @@ def solve(histogram: dict[int, int], capacity: int, rounds: int = ROUNDS, column
                 for x, m in config:
                     rest[x] -= m * n
     rounded, plain = best_fit(rest, groups, capacity), best_fit(left, [], capacity)
-    return chosen + (rounded if sum(n for _, n in rounded) <= sum(n for _, n in plain) else plain)
+    full = sum(n for _, n in chosen)
+    ours, alone = (full + sum(n for _, n in x) for x in (rounded, plain))
+    if report is not None:
+        tokens = sum(x * n for x, n in left.items())
+        placed = tokens - sum(x * n for x, n in rest.items())
+        report |= {"dual_bound": full + dual, "lower_bound": lower_bound(histogram, capacity), "program": ours, "best_fit": alone, "share_of_program": placed / tokens if tokens else 0.0}
+    return chosen + (rounded if ours <= alone else plain)
+
 
+def fractional(demand: dict[int, int], capacity: int, rounds: int, columns: int, rate: float) -> tuple[dict[Template, float], float]:
+    """Configurations with fractions of sequences that cover the demand on average, and a bound from below: multiplicative weights.
 
-def fractional(demand: dict[int, int], capacity: int, rounds: int, columns: int, rate: float) -> dict[Template, float]:
-    """Configurations with fractions of sequences that cover the demand on average: multiplicative weights.
+    The bound is the best of the rounds' dual values: the demand at a round's prices over the price of its dearest configuration.
 
     A length's price is its dual value: it starts in proportion to the length and shrinks with the share of the demand
     covered so far. A round prices all configurations at once; those near the best price are run in small steps while
@@ -110,16 +121,18 @@ def fractional(demand: dict[int, int], capacity: int, rounds: int, columns: int,
     """
     lengths = np.array(sorted(k for k, n in demand.items() if n > 0), np.int64)
     if not len(lengths):
-        return {}
+        return {}, 0.0
     need = np.array([demand[int(x)] for x in lengths], np.float64)
     place = {int(x): k for k, x in enumerate(lengths)}
     covered = np.zeros(len(lengths))
     cover: dict[Template, float] = {}
+    dual = 0.0
     for _ in range(rounds):
         value = lengths / capacity * np.exp(-rate * (covered - covered.min()))
         best, choice = price(lengths, value, capacity)
         worth = value + best[capacity - lengths]
         floor = float(worth.max()) * (1 - NEAR)
+        dual = max(dual, float(need @ value) / float(best[capacity]))
         ran = 0
         for k in np.argsort(-worth, kind="stable"):
             if worth[k] < floor or ran == columns:
@@ -143,7 +156,7 @@ def fractional(demand: dict[int, int], capacity: int, rounds: int, columns: int,
             covered[k] += STEP
     tokens = lengths * need
     mean = float(tokens @ covered / tokens.sum())
-    return {c: y / mean for c, y in cover.items()}
+    return {c: y / mean for c, y in cover.items()}, dual
 
 
 def best_fit(left: dict[int, int], groups: list[tuple[Template, int]], capacity: int) -> list[tuple[Template, int]]:

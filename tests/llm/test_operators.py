@@ -79,8 +79,10 @@ def test_packing_solves_histograms_with_little_choice():
     rng = np.random.default_rng(1)
     for _ in range(3):
         hist = {int(x): int(c) for x, c in zip(rng.integers(150, 1100, 8), rng.integers(1000, 9000, 8))}
-        cover = packing.fractional(hist, 2048, packing.ROUNDS, packing.COLUMNS, packing.RATE)
-        assert sum(n for _, n in packing.solve(hist, 2048)) < sum(n for _, n in packing.best_fit(hist, [], 2048))
+        cover, dual = packing.fractional(hist, 2048, packing.ROUNDS, packing.COLUMNS, packing.RATE)
+        report: dict = {}
+        used = sum(n for _, n in packing.solve(hist, 2048, report=report))
+        assert dual <= used + 1e-6 and used == report["program"] < report["best_fit"] and report["share_of_program"] > 0.5
         assert all(sum(x * m for x, m in c) <= 2048 and y > 0 for c, y in cover.items())
 
 
