@@ -10,9 +10,12 @@ from typing import Any
 import pyarrow as pa
 import pyarrow.compute as pc
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from ctxrelease.plans.runtime import bounded_broadcast
+
 #: Texts are worked on in slices of about this many characters, so that memory doesn't follow the batch size.
 SLICE_CHARS = 1 << 20
 
@@ -92,6 +95,22 @@ def text_slices(column: pa.Array, limit: int = SLICE_CHARS) -> Iterator[tuple[in
         yield i, len(column), column.slice(i).to_pylist()
 
 
+#: Keys of more rows than this meet their rows by broadcast: there are at most rows / HOT_ROWS of them.
+HOT_ROWS = 1024
+
+
+def join_hot_apart(rows: DataFrame, table: DataFrame, keys: list[str], size: str, how: str = "inner") -> DataFrame:
+    """Joins rows with a table of one row per key, which says in column `size` how many rows a key has.
+
+    Keys of many rows are broadcast where their count proves them few, so that no task gets all rows of one key.
+    """
+    hot = table.where(F.col(size) > HOT_ROWS).withColumn("__hot", F.lit(True))
+    known = rows.join(bounded_broadcast(hot, hot.count(), 64), keys, "left")
+    near = known.where("__hot").drop("__hot")
+    rest = known.where("__hot is null").select(*rows.columns).join(table.where(F.col(size) <= HOT_ROWS), keys, how)
+    return near.unionByName(rest)
+
+
 def append_columns(df: DataFrame, text_col: str, fields: list[T.StructField], maker: Callable[[], Callable[[list[str | None]], list[list[Any]]]], keep: list[str] | None = None, owner: str = "") -> DataFrame:
     """One pass over `df`: the columns in `keep` (all, if None) and new ones computed from whole texts.
 

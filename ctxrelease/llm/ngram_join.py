@@ -36,7 +36,7 @@ from pyspark.sql import functions as F
 
 from ctxrelease.plans.runtime import bounded_broadcast, cut, release, stored
 
-from .common import claim, give_back, slices, text_slices
+from .common import claim, give_back, join_hot_apart, slices, text_slices
 
 WORDS = 5
 #: The threshold as a fraction.
@@ -44,8 +44,6 @@ NUMERATOR, DENOMINATOR = 4, 5
 SKETCH_BITS = 16
 #: Characters hashed at a time, and in one batch of rows.
 HASHED, BATCHED = 1 << 18, 1 << 21
-#: Classes of more documents than this meet their documents apart, so that no key gathers a large share of the rows.
-HOT_CLASS = 1024
 
 _MIX_A, _MIX_B = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _LOW = np.uint64((1 << (64 - SKETCH_BITS)) - 1)
@@ -362,17 +360,10 @@ def near_duplicates(docs: DataFrame) -> DataFrame:
     forget()
     release(spark)
     of_class = cut(classes.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("s1", "s2", "n", "members", F.coalesce("comp", "rep").alias("comp")))
-    # large classes are few (rows / HOT_CLASS at most): they meet their documents by broadcast, the others by key
-    hot = of_class.where(F.col("members") > HOT_CLASS).select("s1", "s2", "n", F.col("comp").alias("hot_comp"))
-    known = sizes.where("n > 0 and doc_id is not null").join(bounded_broadcast(hot, hot.count(), 40), ["s1", "s2", "n"], "left")
-    rest = known.where("hot_comp is null").join(of_class.where(F.col("members") <= HOT_CLASS), ["s1", "s2", "n"])
-    n_shingles = F.col("n").cast("long").alias("n_shingles")
-    parts = [
-        known.where("hot_comp is not null").select("doc_id", n_shingles, F.col("hot_comp").alias("component_id")),
-        rest.select("doc_id", n_shingles, F.col("comp").alias("component_id")),
-        sizes.where("n = 0 or doc_id is null").select("doc_id", n_shingles, F.col("doc_id").alias("component_id")),
-    ]
-    return parts[0].unionByName(parts[1]).unionByName(parts[2])
+    same = join_hot_apart(sizes.where("n > 0 and doc_id is not null"), of_class, ["s1", "s2", "n"], "members")
+    alone = sizes.where("n = 0 or doc_id is null").withColumn("comp", F.col("doc_id"))
+    columns = ("doc_id", F.col("n").cast("long").alias("n_shingles"), F.col("comp").alias("component_id"))
+    return same.select(*columns).unionByName(alone.select(*columns))
 
 
 def op9_ngram_jaccard(spark, sf_dir: str) -> DataFrame:

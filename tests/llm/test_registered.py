@@ -9,7 +9,7 @@ import duckdb
 import numpy as np
 import pytest
 
-from ctxrelease.llm import bpe, chat, langid, media, ngram_join, packing, pii, sharding, topk, toxicity
+from ctxrelease.llm import bpe, chat, common, langid, media, ngram_join, packing, pii, sharding, topk, toxicity
 
 SF = "/root/testdata/sf0.001"
 
@@ -140,9 +140,9 @@ def test_block_sizes_bound_overlaps():
 
 
 def test_hot_class_is_whole(spark):
-    """A class beyond HOT_CLASS documents meets them by broadcast; none is lost, and its near copy joins it."""
+    """A class beyond HOT_ROWS documents meets them by broadcast; none is lost, and its near copy joins it."""
     text = " ".join(f"w{k}" for k in range(60))
-    rows = [(k, text) for k in range(10, 10 + ngram_join.HOT_CLASS + 50)] + [(5, text + " more"), (6, "quite another text of some words")]
+    rows = [(k, text) for k in range(10, 10 + common.HOT_ROWS + 50)] + [(5, text + " more"), (6, "quite another text of some words")]
     got = {r["doc_id"]: r["component_id"] for r in ngram_join.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert len(got) == len(rows) and got[6] == 6 and all(c == 5 for d, c in got.items() if d != 6)
 
