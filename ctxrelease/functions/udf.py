@@ -5,18 +5,19 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ctxrelease.schema import Context, ContextSchema
 
 from .student import critical_values
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def grubbs_critical(n: pd.Series) -> pd.Series:
     return pd.Series(critical_values(n.to_numpy("int64")))
 
 
-@F.udtf(returnType="neighbor: bigint")
+@F.udtf(returnType=T.StructType([T.StructField("neighbor", T.LongType())]))
 class ContextNeighbors:
     """The contexts one flip away from a mask of t bits."""
 
@@ -25,7 +26,7 @@ class ContextNeighbors:
             yield (ctx ^ (1 << k),)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def studentised_range(v: pd.Series) -> float:
     """Grouped aggregate: the range over the sample deviation; null for fewer than two values or no spread."""
     sd = v.std(ddof=1)
@@ -35,7 +36,7 @@ def studentised_range(v: pd.Series) -> float:
 def ctx_sql(schema: ContextSchema):
     """A function from a mask to the public predicate of its context."""
 
-    @F.pandas_udf("string")
+    @F.pandas_udf(T.StringType())
     def predicate(ctx: pd.Series) -> pd.Series:
         return ctx.map(lambda c: None if pd.isna(c) else Context(schema, int(c)).to_sql()).astype("string")
 

@@ -10,7 +10,7 @@ from ctxrelease import registry
 
 SF = "/root/testdata/sf0.01"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-CHOSEN = ["encode_e14", "cells_doc13", "context_population_li12", "context_cube_e14", "grubbs_verify_e14", "hist_verify_li12", "lof_verify_li12", "direct_release_e14", "bfs_release_e14", "dfs_release_li12", "walk_release_li12", "uniform_release_li12", "budget_table", "ops_join_asof", "ops_join_range_band", "ops_agg_cube", "ops_udtf", "stream_tumbling"]
+CHOSEN = ["encode_e14", "cells_doc13", "context_population_li12", "context_cube_e14", "grubbs_verify_e14", "hist_verify_li12", "lof_verify_li12", "direct_release_e14", "bfs_release_e14", "dfs_release_li12", "walk_release_li12", "uniform_release_li12", "budget_table", "ops_join_asof", "ops_join_mask_theta", "ops_join_self_flip", "ops_ctx_sql", "ops_grouped_udf", "valid_lof_doc13", "lof_bfs_release_doc13", "reference_list_doc13", "hidden_outliers_li12", "sensitivity_population_e14", "greedy_dfs_li12", "ops_agg_cube", "ops_udtf", "stream_tumbling"]
 
 
 def rows(frame):
