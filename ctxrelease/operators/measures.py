@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ctxrelease.functions.mechanism import selection_probabilities
@@ -15,14 +15,23 @@ from ctxrelease.schema import ContextSchema
 Z90 = 1.6448536269514722
 
 
-def runtimes(trials: DataFrame, by: list[str]) -> DataFrame:
-    return trials.groupBy(*by).agg(F.min("seconds").alias("t_min"), F.max("seconds").alias("t_max"), F.avg("seconds").alias("t_avg"))
+def runtime_columns() -> list[Column]:
+    return [F.min("seconds").alias("t_min"), F.max("seconds").alias("t_max"), F.avg("seconds").alias("t_avg")]
 
 
-def utility_summary(trials: DataFrame, by: list[str]) -> DataFrame:
+def utility_columns() -> list[Column]:
     """Mean ratio to the best valid context, with a 90 % interval."""
     half = F.lit(Z90) * F.coalesce(F.stddev_samp("ratio"), F.lit(0.0)) / F.sqrt(F.count("ratio"))
-    return trials.groupBy(*by).agg(F.count("ratio").alias("trials"), F.avg("ratio").alias("utility"), half.alias("half")).select(*by, "trials", "utility", (F.col("utility") - F.col("half")).alias("ci_lo"), (F.col("utility") + F.col("half")).alias("ci_hi"))
+    return [F.avg("ratio").alias("utility"), (F.avg("ratio") - half).alias("ci_lo"), (F.avg("ratio") + half).alias("ci_hi")]
+
+
+def counter_columns() -> list[Column]:
+    """Machine-free cost: contexts verified, draws, random trials."""
+    return [F.avg("verified").alias("verified"), F.avg("draws").alias("draws"), F.avg("trials").alias("trials")]
+
+
+def utility_summary(trials: DataFrame, by: list[str]) -> DataFrame:
+    return trials.groupBy(*by).agg(F.count("ratio").alias("trials"), *utility_columns())
 
 
 def bootstrap_interval(trials: DataFrame, by: list[str], rounds: int = 200, seed: int = 1) -> DataFrame:
@@ -40,8 +49,7 @@ def bootstrap_interval(trials: DataFrame, by: list[str], rounds: int = 200, seed
 
 
 def counters(trials: DataFrame, by: list[str]) -> DataFrame:
-    """Machine-free cost: contexts verified, draws, random trials."""
-    return trials.groupBy(*by).agg(F.avg("verified").alias("verified"), F.max("verified").alias("verified_max"), F.avg("draws").alias("draws"), F.avg("trials").alias("trials"))
+    return trials.groupBy(*by).agg(*counter_columns(), F.max("verified").alias("verified_max"))
 
 
 def expected_trials(valid: int, free_bits: int, n: int) -> float:

@@ -12,7 +12,7 @@ from functools import reduce
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ctxrelease.schema import SCALE, WORD_BITS, ContextSchema, wide_words
+from ctxrelease.schema import SCALE, WORD_BITS, Context, ContextSchema, wide_words
 
 from .runtime import bounded_broadcast
 
@@ -48,6 +48,11 @@ def encode_wide(df: DataFrame, schema: ContextSchema) -> DataFrame:
     return df.where(known).select(F.expr(schema.record_id).alias("record_id"), F.array(*words).alias("cell"), x.alias("x")).where("x is not null")
 
 
+def population(df: DataFrame, context: Context) -> DataFrame:
+    """The rows that a context selects, by its public predicate: on plain columns it reaches the scan."""
+    return df.where(context.to_column())
+
+
 def moments(group) -> DataFrame:
     d = F.col("x").cast("decimal(18,0)")
     return group.agg(

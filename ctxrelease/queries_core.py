@@ -259,8 +259,8 @@ def _direct(spark, sf_dir):
 # searches: the seeded noise is the same in SQL, where the steps are written out
 
 
-def _best(source: str, factor: float, *key: str) -> str:
-    score = f"row({factor!r} * u + {gumbel_sql('0', *key, 'ctx')}, ctx)"
+def _best(source: str, factor: float, *key: str, trial: str = "0") -> str:
+    score = f"row({factor!r} * u + {gumbel_sql(trial, *key, 'ctx')}, ctx)"
     return f"SELECT max_by(ctx, {score}) AS ctx, max_by(u, {score}) AS u FROM {source} HAVING count(*) > 0"
 
 

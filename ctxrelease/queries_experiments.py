@@ -41,12 +41,7 @@ def trials(spark: SparkSession, sf_dir: str, dataset: str, grid, detector: det.D
 
 def _summary(t: DataFrame, by: list[str]) -> DataFrame:
     """Runtime, utility with its interval, and counters in one pass over the trials."""
-    half = F.lit(measures.Z90) * F.coalesce(F.stddev_samp("ratio"), F.lit(0.0)) / F.sqrt(F.count("ratio"))
-    return t.groupBy(*by).agg(
-        F.min("seconds").alias("t_min"), F.max("seconds").alias("t_max"), F.avg("seconds").alias("t_avg"),
-        F.avg("ratio").alias("utility"), (F.avg("ratio") - half).alias("ci_lo"), (F.avg("ratio") + half).alias("ci_hi"),
-        F.avg("verified").alias("verified"), F.avg("draws").alias("draws"), F.avg("trials").alias("trials"),
-    )
+    return t.groupBy(*by).agg(*measures.runtime_columns(), *measures.utility_columns(), *measures.counter_columns())
 
 
 def _add(name: str, fn) -> None:
@@ -118,17 +113,6 @@ _add("w_samplers_grubbs_li16", lambda s, d: _summary(trials(s, d, "li16", [("uni
 _add("w_bootstrap_e14", lambda s, d: measures.bootstrap_interval(trials(s, d, "e14", _METHODS), ["method"]))
 
 
-def _components(spark, sf_dir, name):
-    df, schema = wl.workload(spark, sf_dir, name)
-    rid = wl.top_records(df, schema)[0]
-    valid = release.valid_contexts(df, schema, rid, det.LOF())
-    return measures.graph_components(valid, schema).groupBy("component").agg(F.count(F.lit(1)).alias("contexts"))
-
-
-for _d in ("li12",):
-    _add(f"valid_graph_components_{_d}", lambda s, d, n=_d: _components(s, d, n))
-
-
 def _sensitivity(spark, sf_dir, name):
     """Largest change of any context's population when one record goes: both enumerations, compared."""
     df, schema = wl.workload(spark, sf_dir, name)
@@ -155,6 +139,9 @@ for _k in ("tumbling", "sliding", "session"):
     _add(f"stream_{_k}", lambda s, d, k=_k: windows.run_to_table(s, getattr(windows, k)(windows.events_stream(s, d)), "complete"))
 SQL["stream_tumbling"] = "SELECT date_trunc('day', ts)::TIMESTAMP AS window_start, event_type, count(*) AS n FROM events GROUP BY 1, 2"
 SQL["stream_sliding"] = "SELECT s AS window_start, count(*) AS n FROM (SELECT unnest([time_bucket(INTERVAL 6 HOUR, ts) - k * INTERVAL 6 HOUR FOR k IN [0, 1, 2, 3]])::TIMESTAMP AS s FROM events) GROUP BY 1"
+SQL["stream_session"] = """SELECT user_id, min(ts)::TIMESTAMP AS session_start, count(*) AS n FROM (
+  SELECT user_id, ts, sum(opens) OVER (PARTITION BY user_id ORDER BY ts) AS session FROM (
+    SELECT user_id, ts, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) <= INTERVAL 6 HOUR THEN 0 ELSE 1 END AS opens FROM events)) GROUP BY user_id, session"""
 _add("stream_dedup", lambda s, d: windows.run_to_table(s, windows.deduplicated(windows.events_stream(s, d)), "append"))
 SQL["stream_dedup"] = "SELECT event_id, event_type FROM events"
 _add("stream_static_join", lambda s, d: windows.run_to_table(s, windows.with_domain(windows.events_stream(s, d), wl.EVENT_TYPES), "append"))

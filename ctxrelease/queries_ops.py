@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ctxrelease.plans.runtime import bounded_broadcast
 from ctxrelease.plans.runtime import table as t
+from ctxrelease.queries_core import critical_ctes
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -255,10 +256,10 @@ op("join_self_flip", _bits_oracles()[1], _self_flip)
 def _pandas_udf(s: SparkSession, d: str) -> DataFrame:
     from ctxrelease.functions.udf import grubbs_critical
 
-    return s.range(3, 200).select("id", F.round(grubbs_critical("id"), 6).alias("crit"))
+    return s.range(3, 200).select("id", F.round(grubbs_critical("id"), 5).alias("crit"))
 
 
-op("pandas_udf", None, _pandas_udf)
+op("pandas_udf", f"WITH sizes AS (SELECT n FROM range(3, 200) AS r(n)), {critical_ctes('sizes')} SELECT n AS id, round(crit, 5) AS crit FROM k", _pandas_udf)
 
 
 def _roundtrip(kind: str):
