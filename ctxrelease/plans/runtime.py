@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import gc
 import shutil
 import tempfile
@@ -60,10 +61,19 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def give_back() -> None:
+    """Returns freed memory of this Python process to the system."""
+    gc.collect()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def release(spark: SparkSession) -> None:
     """Lets Spark's cleaner drop shuffles and checkpoints that no live DataFrame refers to any more.
 
     The cleaner learns of them from the driver's garbage collections only, which may be far apart on an idle heap.
     """
-    gc.collect()
+    give_back()
     spark.sparkContext._jvm.System.gc()
