@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import ctypes
-import gc
 from collections.abc import Callable, Iterator
 from typing import Any
 
@@ -14,6 +12,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.pandas.types import to_arrow_schema
 
+from ctxrelease.plans import runtime
 from ctxrelease.plans.runtime import bounded_broadcast
 
 #: Texts are worked on in slices of about this many characters, so that memory doesn't follow the batch size.
@@ -65,13 +64,9 @@ def remembered(key: tuple, make: Callable[[], Any]) -> Any:
 
 
 def give_back() -> None:
-    """Returns freed memory to the system at the end of a task: idle workers live on beside the next stage's."""
-    gc.collect()
+    """Returns freed memory to the system at the end of a task or a training: processes live on beside the next stage's."""
     pa.default_memory_pool().release_unused()
-    try:
-        ctypes.CDLL(None).malloc_trim(0)
-    except (AttributeError, OSError):  # another C library
-        pass
+    runtime.give_back()
 
 
 def fresh(df: DataFrame, name: str) -> str:

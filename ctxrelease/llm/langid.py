@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import append_columns, slices
+from .common import append_columns, give_back, slices
 
 WINDOW = 256
 EMBED = 4
@@ -184,7 +184,9 @@ def identify(docs: DataFrame, net: Network | None, keep: list[str] | None = None
 
 
 def train(docs: DataFrame) -> Network | None:
-    return fit(*training_windows(docs))
+    net = fit(*training_windows(docs))
+    give_back()
+    return net
 
 
 def op5_language_id(spark, sf_dir: str) -> DataFrame:

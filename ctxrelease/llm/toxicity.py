@@ -25,7 +25,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .common import append_columns, remembered
+from .common import append_columns, give_back, remembered
 
 BUCKETS = 1 << 24
 PREFIXES = (4, 5, 7)
@@ -86,7 +86,7 @@ class Terms:
 
 def _terms_of(machine: Machine | None) -> Terms:
     """This process's terms for a machine: what they remember serves the tasks that follow."""
-    key = machine.buckets.tobytes() if machine else b""
+    key = machine.buckets.tobytes() if machine else None  # a machine may have no terms
     return remembered(("toxicity", key), lambda: Terms({int(b): k for k, b in enumerate(machine.buckets)} if machine else None))
 
 
@@ -115,24 +115,27 @@ def paired_terms(lists: list[np.ndarray], y: np.ndarray, n: np.ndarray, hit: np.
         return np.zeros(0, np.int64)
     place = np.full(len(n), -1)
     place[pool] = np.arange(len(pool))
-    held = np.zeros((rows, len(pool)), np.float32)
+    held = np.zeros((rows, len(pool)), bool)
     for i, terms in enumerate(lists):
         own = place[terms]
-        held[i, own[own >= 0]] = 1
-    toxic = held[y > 0]
+        held[i, own[own >= 0]] = True
+    bad_rows = y > 0
     base = np.log((positives + 0.5) / (rows - positives + 0.5))
     odds = (np.log((hit[pool] + 0.5) / (n[pool] - hit[pool] + 0.5)) - base).astype(np.float32)
     best = np.zeros(len(pool), np.float32)
-    for at in range(0, len(pool), 256):
-        both = held[:, at : at + 256].T @ held
-        bad = toxic[:, at : at + 256].T @ toxic
-        share = 1 / (1 + np.exp(-np.clip(odds[at : at + 256, None] + odds[None, :] + np.float32(base), -20, 20)))
-        expected = both * share
-        far = np.where(both >= MIN_ROWS, (bad - expected) ** 2 / np.maximum(expected * (1 - share), 0.25), 0)
-        far[np.arange(far.shape[0]), at + np.arange(far.shape[0])] = 0
-        # a word and its own first bytes are one word: a pair that never parts says nothing
-        far[(both == n[pool][at : at + 256, None]) | (both == n[pool][None, :])] = 0
-        best[at : at + 256] = far.max(1)
+    step = 512
+    starts = range(0, len(pool), step)
+    for at in starts:
+        left = held[:, at : at + step].astype(np.float32)
+        for to in starts:
+            right = held[:, to : to + step].astype(np.float32)
+            both, bad = left.T @ right, left[bad_rows].T @ right[bad_rows]
+            share = 1 / (1 + np.exp(-np.clip(odds[at : at + step, None] + odds[None, to : to + step] + np.float32(base), -20, 20)))
+            expected = both * share
+            far = np.where(both >= MIN_ROWS, (bad - expected) ** 2 / np.maximum(expected * (1 - share), 0.25), 0)
+            # a word and its own first bytes are one word: a pair that never parts says nothing, nor does a term with itself
+            far[(both == n[pool][at : at + step, None]) | (both == n[pool][None, to : to + step])] = 0
+            best[at : at + step] = np.maximum(best[at : at + step], far.max(1))
     order = np.argsort(-best, kind="stable")[:PAIRED]
     return pool[order[best[order] >= DEVIATION]]
 
@@ -146,9 +149,11 @@ def fit(rows: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, seed: i
     base = float(np.log((positives + 0.5) / (len(y) - positives + 0.5)))
     flat = np.concatenate(rows).astype(np.int32)
     owner = np.repeat(np.arange(len(rows), dtype=np.int32), [len(r) for r in rows])
-    seen, at = np.unique(flat, return_inverse=True)
+    seen = np.unique(flat)
+    at = np.searchsorted(seen, flat).astype(np.int32)
+    del flat
     n = np.bincount(at, minlength=len(seen)).astype(np.float64)
-    hit = np.bincount(at, weights=y[owner], minlength=len(seen))
+    hit = np.bincount(at[(y > 0)[owner]], minlength=len(seen)).astype(np.float64)
     share = positives / len(y)
     far = (hit - n * share) ** 2 / np.maximum(n * share * (1 - share), 1e-9)
     far[n < MIN_ROWS] = -1
@@ -157,7 +162,7 @@ def fit(rows: list[np.ndarray], labels: list[int], epochs: int = EPOCHS, seed: i
     bounds = np.searchsorted(owner, np.arange(len(rows) + 1))
     pairs = paired_terms([at[bounds[i] : bounds[i + 1]] for i in range(len(rows))], y, n, hit)
     kept = np.union1d(alone, pairs).astype(np.int64)
-    where = np.full(len(seen), -1)
+    where = np.full(len(seen), -1, np.int32)
     where[kept] = np.arange(len(kept))
     new = where[at]
     ok = new >= 0
@@ -222,7 +227,9 @@ def training_rows(docs: DataFrame, labels: DataFrame, rows: int = SAMPLE_ROWS) -
 
 
 def train(docs: DataFrame, labels: DataFrame) -> Machine | None:
-    return fit(*training_rows(docs, labels))
+    machine = fit(*training_rows(docs, labels))
+    give_back()
+    return machine
 
 
 def score(docs: DataFrame, machine: Machine | None, keep: list[str] | None = None, name: str = "score") -> DataFrame:
