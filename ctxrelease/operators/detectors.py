@@ -171,42 +171,60 @@ class LOF(Detector):
         score = np.zeros(len(ctxs))
         for i, c in enumerate(ctxs):
             if n[i] > self.k:
-                inside = (part.v_cell & c) == part.v_cell
-                xs, at = np.unique(part.v_x[inside], return_inverse=True)
-                cnt = np.bincount(at, weights=part.v_cnt[inside], minlength=len(xs)).astype(np.int64)
+                xs, cnt = self.distinct(part, c)
                 p = int(np.searchsorted(xs, x))
                 a, b = max(0, p - 3 * self.k), min(len(xs), p + 3 * self.k + 1)
                 score[i] = local_factor(xs[a:b], cnt[a:b], p - a, self.k)
         return score > self.threshold, score
 
 
+    def distinct(self, part: Slice, ctx) -> tuple[np.ndarray, np.ndarray]:
+        """A context's distinct values and their counts; a slice's values lie in rising order."""
+        inside = (part.v_cell & ctx) == part.v_cell
+        xs = part.v_x[inside]
+        first = np.flatnonzero(np.concatenate([[True], xs[1:] != xs[:-1]])) if len(xs) else np.zeros(0, np.int64)
+        return xs[first], np.add.reduceat(part.v_cnt[inside], first) if len(xs) else first
+
     def reach(self, part: Slice, ctx: int, x: int) -> tuple[int, int]:
         """The range of values that the factor of x in a context depends on; open where fewer values lie on a side."""
-        inside = (part.v_cell & ctx) == part.v_cell
-        xs = np.unique(part.v_x[inside])
+        xs, _ = self.distinct(part, ctx)
         p, wide = int(np.searchsorted(xs, x)), 3 * self.k + 1
         big = np.iinfo(np.int64).max
         return (int(xs[p - wide]) if p >= wide else -big), (int(xs[p + wide]) if p + wide < len(xs) else big)
 
 
-def local_factor(xs: np.ndarray, cnt: np.ndarray, p: int, k: int) -> float:
-    """The factor of distinct value p among values with counts."""
-    d = np.abs(xs[:, None] - xs[None, :]).astype(np.float64)
+def _neighbour_distances(xs: np.ndarray, cnt: np.ndarray, d: np.ndarray, k: int) -> np.ndarray:
+    """The distance within which each value has k other points."""
+    n = len(xs)
+    if n > k and cnt.max() == 1:
+        # without ties the k nearest are a run of k+1 values around it: the run with the least reach
+        left = np.arange(n)[:, None] - np.arange(k + 1)[None, :]
+        ok = (left >= 0) & (left + k < n)
+        left = np.where(ok, left, 0)
+        return np.where(ok, np.maximum(xs[:, None] - xs[left], xs[left + k] - xs[:, None]), np.inf).min(1)
     order = np.argsort(d, axis=1, kind="stable")
     total = np.cumsum(cnt[order], axis=1) - 1  # the value itself is no neighbour
-    reach = d[np.arange(len(xs)), order[np.arange(len(xs)), np.minimum((total < k).sum(1), len(xs) - 1)]]
+    return d[np.arange(n), order[np.arange(n), np.minimum((total < k).sum(1), n - 1)]]
 
-    def density(i: int) -> tuple[float, np.ndarray, np.ndarray]:
-        near = np.flatnonzero(d[i] <= reach[i])
-        w = cnt[near] - (near == i)
-        total_reach = float((w * np.maximum(reach[near], d[i, near])).sum())
-        return (float(w.sum()) / total_reach if total_reach > 0 else np.inf), near, w
 
-    own, near, w = density(p)
-    others = np.array([density(int(j))[0] if m else 0.0 for j, m in zip(near, w)])
+def local_factor(xs: np.ndarray, cnt: np.ndarray, p: int, k: int) -> float:
+    """The factor of distinct value p among values with counts."""
+    xs = xs.astype(np.float64)
+    d = np.abs(xs[:, None] - xs[None, :])
+    reach = _neighbour_distances(xs, cnt, d, k)
+    rows = np.flatnonzero(d[p] <= reach[p])  # p is among them
+    some = d[rows]
+    weight = np.where(some <= reach[rows, None], cnt[None, :], 0)
+    weight[np.arange(len(rows)), rows] -= 1
+    total = (weight * np.maximum(some, reach[None, :])).sum(1)
+    with np.errstate(all="ignore"):
+        density = np.where(total > 0, weight.sum(1) / total, np.inf)
+    me = int(np.searchsorted(rows, p))
+    own, w = density[me], weight[me][rows]
+    others, w = density[w > 0], w[w > 0]
     if np.isinf(own):
-        return 1.0 if np.isinf(others[w > 0]).all() else 0.0
-    return float((w[w > 0] * others[w > 0]).sum() / w.sum() / own)
+        return 1.0 if np.isinf(others).all() else 0.0
+    return float((w * others).sum() / w.sum() / own)
 
 
 @dataclass(frozen=True)
