@@ -35,7 +35,8 @@ QUERY_EVERY = 20
 CANDIDATES, QUERIES = 8192, 8192
 #: Candidates of the first pass: the rows with the smallest hashes of their ids.
 SEEDS = 4096
-DIM_BLOCK = 8
+#: Dimensions before the first test, and between tests.
+FIRST_DIMS, DIM_BLOCK = 16, 8
 
 
 def integer_vectors(embeddings: DataFrame, scale: int = SCALE) -> DataFrame:
@@ -52,16 +53,20 @@ def best_of_block(q_ids: np.ndarray, q: np.ndarray, tau: np.ndarray, c_ids: np.n
     """
     dims, n = vertical.shape
     most = float(np.abs(q).max(initial=0)) * float(np.abs(vertical).max(initial=0)) * max(dims, 1)
-    exact = np.float64 if most < 2**52 else np.int64
+    exact = np.float32 if most < 2**24 else np.float64 if most < 2**52 else np.int64
+    near = np.float32 if exact is np.float32 else np.float64  # bounds; their margins cover its rounding
+    margin = 1e-5 if near is np.float32 else 1e-9
     q, vertical = q.astype(exact), np.ascontiguousarray(vertical.astype(exact))
-    squares = vertical.astype(np.float64) ** 2
+    squares = vertical.astype(near) ** 2
     mass = squares.sum(0)
-    edges = [*range(0, dims, DIM_BLOCK), dims]
+    spare = near(margin * float(mass.max(initial=0)))
+    edges = [0, *range(min(dims, FIRST_DIMS), dims, DIM_BLOCK), dims]
     out_q, out_c, out_s = [], [], []
     formed = 0
     for i in range(len(q)):
         order = np.argsort(-np.abs(q[i]), kind="stable")
         own = q[i][order]
+        limit_seen = np.isfinite(tau[i])
         left = np.concatenate([np.cumsum((own.astype(np.float64) ** 2)[::-1])[::-1], [0.0]])
         first, last = np.searchsorted(c_ids, q_ids[i], "left"), np.searchsorted(c_ids, q_ids[i], "right")
         live = np.concatenate([np.arange(first), np.arange(last, n)]) if first < last else None  # None: all
@@ -74,11 +79,11 @@ def best_of_block(q_ids: np.ndarray, q: np.ndarray, tau: np.ndarray, c_ids: np.n
                 block, square = block[:, live], square[:, live]
             score = score + own[a:e] @ block
             formed += (e - a) * len(score)
-            if e == dims:
-                break
+            if e == dims or not limit_seen:
+                continue
             rest = rest - square.sum(0)
-            can = score + np.sqrt(left[e] * np.maximum(rest, 0.0)) * (1 + 1e-9) + np.abs(score) * 1e-12 + 1e-6
-            stay = np.flatnonzero(can >= tau[i])
+            can = score + np.sqrt((np.maximum(rest, 0) + spare) * near(left[e] * (1 + margin)))
+            stay = np.flatnonzero(can >= tau[i] - margin * (1 + abs(tau[i])))
             if len(stay) < len(score):
                 live, score, rest = (stay if live is None else live[stay]), score[stay], rest[stay]
             if not len(score):

@@ -163,7 +163,7 @@ def test_topk_repeated_ids_and_thresholds(spark):
     got = {(r["query_id"], r["rank"]): (r["vec_id"], r["score"]) for r in topk.search(topk.integer_vectors(df), topk.F.col("vec_id") % 20 == 0, k=2).collect()}
     assert got == {(20, 1): (1, 64 * 192), (20, 2): (2, 32 * 64 + 32 * 128), (40, 1): (2, -32 * 64 - 32 * 128), (40, 2): (2, -32 * 64 - 32 * 128)}
     rng = np.random.default_rng(5)
-    v = rng.integers(-60, 60, (900, 24))
+    v = rng.integers(-60, 60, (900, 64))  # dimensions of the embeddings
     ids = np.arange(900)
     stats: dict = {}
     score = v[:40] @ v.T
