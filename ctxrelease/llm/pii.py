@@ -15,6 +15,7 @@ import hashlib
 import re
 from bisect import bisect_right
 
+import ahocorasick
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
@@ -41,10 +42,17 @@ LOOKALIKES = {
 } | {chr(0xFEE0 + c): chr(c) for c in range(0x21, 0x7F)} | {chr(base + d): str(d) for base in (0x660, 0x6F0, 0x966, 0x1D7CE, 0x1D7D8, 0x1D7E2, 0x1D7EC, 0x1D7F6) for d in range(10)}
 _LOOKALIKE = re.compile("[" + "".join(map(re.escape, LOOKALIKES)) + "]")
 _TABLE = str.maketrans(LOOKALIKES)
-#: Digits in words.
-DIGIT_WORDS = {"zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9"}
+#: Digits in words, in English, German, Spanish and French.
+DIGIT_WORDS = {
+    "zero": "0", "oh": "0", "one": "1", "two": "2", "three": "3", "four": "4", "five": "5", "six": "6", "seven": "7", "eight": "8", "nine": "9",
+    "null": "0", "eins": "1", "zwei": "2", "zwo": "2", "drei": "3", "vier": "4", "fünf": "5", "fuenf": "5", "sechs": "6", "sieben": "7", "acht": "8", "neun": "9",
+    "cero": "0", "uno": "1", "dos": "2", "tres": "3", "cuatro": "4", "cinco": "5", "seis": "6", "siete": "7", "ocho": "8", "nueve": "9",
+    "zéro": "0", "un": "1", "deux": "2", "trois": "3", "quatre": "4", "cinq": "5", "sept": "7", "huit": "8", "neuf": "9",
+}
 _INVISIBLE = "​‌‍⁠﻿­"
-_word = "(?:" + "|".join(DIGIT_WORDS) + ")"
+_word = "(?:" + "|".join(sorted(DIGIT_WORDS, key=len, reverse=True)) + ")"
+#: The signs in words.
+_at, _dot = "(?:at|arroba|arobase)", "(?:dot|punkt|punto|point)"
 #: Endings that make bare "at" and "dot" a disguise.
 _ending = r"(?:com|org|net|edu|gov|io|info|biz|de|fr|es|uk|eu|us|co|at|ch|it|nl|example|test)(?![A-Za-z0-9])"
 #: Any ending will do after a full "at ... dot", unless the host would be a determiner, as in prose.
@@ -55,19 +63,28 @@ _box = r"[\[({<]\s*(?P<box>at|dot|punkt|arroba|arobase|punto|point)\s*[\])}>]"
 _REWRITE = re.compile(
     rf"(?P<gone>[{_INVISIBLE}]+)"
     rf"|\s*{_box}\s*"
-    rf"|(?<=[A-Za-z0-9])\s+(?P<at>at)\s+(?=(?:{_label}(?:\s+dot\s+{_label})*\s+dot\s+{_ending}|{_prose}{_label}(?:\s+dot\s+{_label})*\s+dot\s+{_any_ending}))"
-    rf"|(?<=[A-Za-z0-9])\s+(?P<dot>dot)\s+(?={_label})"
-    rf"|(?<![A-Za-z])(?P<digits>(?:plus[\s-]+)?(?:{_word}|[0-9]+)(?:[\s,-]+(?:{_word}|[0-9]+))+)(?![A-Za-z])",
+    rf"|(?<=[A-Za-z0-9])\s+(?P<at>{_at})\s+(?=(?:{_label}(?:\s+{_dot}\s+{_label})*\s+{_dot}\s+{_ending}|{_prose}{_label}(?:\s+{_dot}\s+{_label})*\s+{_dot}\s+{_any_ending}))"
+    rf"|(?<=[A-Za-z0-9])\s+(?P<dot>{_dot})\s+(?={_label})"
+    rf"|(?<![A-Za-z])(?P<digits>(?:(?:plus|más|mas)[\s-]+)?(?:{_word}|[0-9]+)(?:[\s,-]+(?:{_word}|[0-9]+))+)(?![A-Za-z])",
     re.IGNORECASE,
 )
 # What may follow a bare "dot": before the "at" or with a known ending, and inside a host.
-_DOT_AHEAD = re.compile(rf"(?:{_label}\s+(?:at|dot)\s+)*{_ending}|(?:{_label}\s+dot\s+)*{_label}\s+at\s+{_prose}{_label}(?:\s+dot\s+{_label})*\s+dot\s+{_any_ending}", re.IGNORECASE)
-_HOST_AHEAD = re.compile(rf"{_any_ending}|{_label}\s+dot\s", re.IGNORECASE)
+_DOT_AHEAD = re.compile(rf"(?:{_label}\s+(?:{_at}|{_dot})\s+)*{_ending}|(?:{_label}\s+{_dot}\s+)*{_label}\s+{_at}\s+{_prose}{_label}(?:\s+{_dot}\s+{_label})*\s+{_dot}\s+{_any_ending}", re.IGNORECASE)
+_HOST_AHEAD = re.compile(rf"{_any_ending}|{_label}\s+{_dot}\s", re.IGNORECASE)
 _HOST = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789.-")
 # The gate, from the same parts: no text without one of these has a rewrite.
 _BOX = re.compile(_box, re.IGNORECASE)
-_BARE = re.compile(r"\sdot\s", re.IGNORECASE)
-_DIGIT_PART = re.compile(rf"plus|{_word}|[0-9]+", re.IGNORECASE)
+_BARE = re.compile(rf"\s{_dot}\s", re.IGNORECASE)
+_RUN = re.compile(rf"(?<![A-Za-z])(?:{_word}|[0-9]+)[\s,-]+(?:{_word}|[0-9]+)[\s,-]+(?:{_word}|[0-9]+)", re.IGNORECASE)
+_WIDE_SPACE = "".join(chr(c) for c in range(0x1680, 0x3001) if chr(c).isspace())
+_GAP = re.compile(r"[\s,-]+(?:[0-9]+[\s,-]+)*")
+#: Characters that equal ASCII letters when case is ignored.
+_CASES = "ſıİ\u212a"
+_DIGIT_FINDER = ahocorasick.Automaton()
+for _w in DIGIT_WORDS:
+    _DIGIT_FINDER.add_word(_w, len(_w))
+_DIGIT_FINDER.make_automaton()
+_DIGIT_PART = re.compile(rf"plus|más|mas|{_word}|[0-9]+", re.IGNORECASE)
 
 
 def luhn(digits: str) -> bool:
@@ -113,9 +130,25 @@ def _disguised(text: str) -> bool:
     if not text.isascii() and (_LOOKALIKE.search(text) or any(c in text for c in _INVISIBLE)):
         return True
     low = text.lower()
-    if any(c in text for c in "[({<") and _BOX.search(text) or "dot" in low and _BARE.search(text):
+    if any(c in text for c in "[({<") and _BOX.search(text) or any(w in low for w in ("dot", "punkt", "punto", "point")) and _BARE.search(text):
         return True
-    return sum(map(low.count, DIGIT_WORDS)) >= 3
+    return _counted(low) if text.isascii() or not any(c in text for c in _CASES) else _RUN.search(text) is not None
+
+
+def _counted(low: str) -> bool:
+    """Whether three digit words follow one another, with separators and numerals between them."""
+    chain, end = 0, -1
+    for last, size in _DIGIT_FINDER.iter(low):
+        start = last + 1 - size
+        if "a" <= low[start - 1 : start] <= "z" or "a" <= low[last + 1 : last + 2] <= "z":
+            continue
+        if start < end:  # within a longer word found before
+            continue
+        chain = chain + 1 if end >= 0 and low[end : end + 1] in " \t\n\r\v\f,-\x1c\x1d\x1e\x1f\x85\xa0" + _WIDE_SPACE and _GAP.fullmatch(low, end, start) else 1
+        end = last + 1
+        if chain == 3:
+            return True
+    return False
 
 
 class Transducer:
@@ -150,7 +183,7 @@ class Transducer:
                     put(even[at:a], at, a, True)
                 for p in _DIGIT_PART.finditer(even, a, b):
                     got = p.group().lower()
-                    put("+" if got == "plus" else DIGIT_WORDS.get(got, got), p.start(), p.end(), False)
+                    put("+" if got in ("plus", "más", "mas") else DIGIT_WORDS.get(got, got), p.start(), p.end(), False)
                 self.changed.append((a, b))
                 at = b
                 continue
