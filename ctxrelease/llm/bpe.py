@@ -11,10 +11,12 @@ vocabulary file's own normaliser and splitter, then through the same automaton a
 
 from __future__ import annotations
 
+import atexit
 import hashlib
 import json
 import os
 import re
+import shutil
 import tempfile
 import unicodedata
 import uuid
@@ -467,7 +469,8 @@ def build_lexicon(docs: DataFrame, path: str, size: int = LEXICON_WORDS, text_co
     frequent = word_counts(docs, path, text_col).where(short).orderBy(F.desc("n"), "word").limit(size)
     words = [r[0] for r in frequent.select("word").toLocalIterator() if r[0] not in voc.special]
     name = f"lexicon-{uuid.uuid4().hex}.bin"
-    folder = tempfile.mkdtemp(prefix="ctxrelease-")  # only on the driver; Spark serves it to the executors
+    folder = tempfile.mkdtemp(prefix="ctxrelease-")  # only on the driver; Spark serves it to the executors as long as it runs
+    atexit.register(shutil.rmtree, folder, ignore_errors=True)
     compile_lexicon([w.encode() for w in words], voc.merge, os.path.join(folder, name))
     docs.sparkSession.sparkContext.addFile(os.path.join(folder, name))
     return name

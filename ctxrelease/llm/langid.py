@@ -28,6 +28,7 @@ FILTERS = 12
 SPAN = max(WIDTHS)
 SAMPLE_ROWS = 400
 SAMPLE_WINDOWS = 4
+SALTS = 32
 EPOCHS = 6
 UNKNOWN = "und"
 
@@ -163,8 +164,12 @@ def training_windows(docs: DataFrame, rows: int = SAMPLE_ROWS, windows: int = SA
     """Windows and languages of the bounded sample; whole texts never reach the driver."""
     mix = F.xxhash64("doc_id", F.lit("sample"))
     fair = docs.select("doc_id", "lang").where(F.col("lang").isNotNull() & F.col("doc_id").isNotNull() & ~held_out())
-    order = Window.partitionBy("lang").orderBy(mix, "doc_id")
-    ids = fair.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= rows).select("doc_id").distinct()
+    # first within salts of a language, then among what they keep: no task ranks all rows of a language
+    fair = fair.withColumn("mix", mix).withColumn("salt", F.pmod("mix", F.lit(SALTS)))
+    for keys in (["lang", "salt"], ["lang"]):
+        order = Window.partitionBy(*keys).orderBy("mix", "doc_id")
+        fair = fair.withColumn("nth", F.row_number().over(order)).where(F.col("nth") <= rows)
+    ids = fair.select("doc_id").distinct()
     n = F.char_length("text")
     start = F.lit(1) + F.pmod(F.xxhash64("doc_id", F.col("w")), F.greatest(n - WINDOW, F.lit(1)))
     cut = (

@@ -36,7 +36,8 @@ COLUMNS = 64
 RATE = 0.7
 #: Share of the scarcest length's demand that one step covers, and how far below the best price a configuration may be.
 STEP, NEAR = 0.25, 0.02
-SALTS = 64
+#: Salts at least, and pieces of one length and salt on average at most: ranking is spread as the input grows.
+SALTS, SALT_ROWS = 64, 100_000
 
 Template = tuple[tuple[int, int], ...]
 
@@ -238,7 +239,8 @@ def cut_pieces(docs: DataFrame, path: str | None = None, capacity: int = CAPACIT
 def pack(pieces: DataFrame, capacity: int = CAPACITY, key: str = "doc_id") -> DataFrame:
     """Adds sequence_id and offset to rows (key, piece, start, length, ids_crc32). `pieces` must be cheap to read again."""
     spark = pieces.sparkSession
-    salted = pieces.withColumn("salt", F.pmod(F.xxhash64(key, "piece"), F.lit(SALTS)).cast("int"))
+    salts = max(SALTS, -(-pieces.count() // SALT_ROWS))
+    salted = pieces.withColumn("salt", F.pmod(F.xxhash64(key, "piece"), F.lit(salts)).cast("int"))
     counts = salted.groupBy("length", "salt").agg(F.count(F.lit(1)).alias("n"))
     histogram = {r[0]: r[1] for r in counts.groupBy("length").agg(F.sum("n")).collect()}  # at most `capacity` rows
     slots = slot_table(solve(histogram, capacity))
@@ -248,7 +250,7 @@ def pack(pieces: DataFrame, capacity: int = CAPACITY, key: str = "doc_id") -> Da
     in_salt = Window.partitionBy("length", "salt").orderBy(F.col(key), F.col("piece"))
     ranked = (
         salted.withColumn("nth", F.row_number().over(in_salt).cast("long") - 1)
-        .join(bounded_broadcast(base, SALTS * len(histogram), 24), ["length", "salt"])
+        .join(bounded_broadcast(base, salts * len(histogram), 24), ["length", "salt"])
         .withColumn("rank", F.col("base") + F.col("nth"))
     )
     p, s = ranked.alias("p"), bounded_broadcast(slots_df, len(slots), 48).alias("s")
