@@ -69,7 +69,7 @@ def test_wide_contexts(spark):
     assert [r[0] for r in pl.encode_wide(df, schema).where(wide_contains(F.col("cell"), words)).collect()] == [1]
 
 
-@pytest.mark.parametrize("name", ["li12_all", "li16_all"])
+@pytest.mark.parametrize("name", ["li12", "li16"])
 def test_whole_lineitem(spark, name):
     """Every row of lineitem is in a cell, and cells and the chosen record equal SQL."""
     import duckdb
