@@ -7,15 +7,15 @@ from dataclasses import dataclass
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ctxrelease.functions.mechanism import BudgetLedger, NoValidContext, SecureNoise, SeededNoise, allocate, arg_max, exp_mechanism
-from ctxrelease.plans.cells import build_cells, candidate_contexts, context_stats, fold_contexts, lookup_record, neighbors
+from ctxrelease.plans.cells import build_cells, candidate_contexts, context_stats, encode, fold_contexts, lookup_record, neighbors
 from ctxrelease.plans.runtime import cut
 from ctxrelease.schema import Context, ContextSchema
 
-from .detectors import DETECTORS, Detector, Grubbs, Slice, grubbs_columns, take_slice, verify
+from .detectors import DETECTORS, LOF, Detector, Grubbs, Histogram, Slice, grubbs_columns, local_factor, take_slice, verify
 from .search import Outcome, Search, starting_context
 
 
@@ -136,12 +136,83 @@ def run_trials(spark, searches: dict[str, Search], grid: list[tuple[str, float,
     return work.mapInPandas(run, TRIAL_SCHEMA)
 
 
-def _valid_of(cells: DataFrame, contexts: DataFrame, x: int, alpha: float, sides: int) -> DataFrame:
-    stats = context_stats(cells, contexts.select("ctx").distinct())
-    return grubbs_columns(stats, x, alpha, sides).where("is_outlier").select("ctx", F.col("n").alias("u"))
+class Verifier:
+    """Verification of contexts as plans, for tables whose slices are too large to ship.
 
+    Moments come from cells against contexts. Values near the record are checkpointed once; LOF keeps the nearest
+    distinct values on either side of each context (a bounded group), the histogram counts the record's bin by range.
+    """
 
-def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps: float, n: int, start: int, trials: int, noise, detector: Grubbs | None = None) -> DataFrame:
+    def __init__(self, df: DataFrame, schema: ContextSchema, detector: Detector, x: int):
+        self.detector, self.x = detector, x
+        self.cells = cut(build_cells(df, schema))
+        self.values = None
+        if isinstance(detector, (LOF, Histogram)):
+            ends = self.cells.agg(F.min("lo").alias("lo"), F.max("hi").alias("hi"), F.sum("n").alias("n")).toPandas()  # one row
+            self.values = cut(detector.values(encode(df, schema), ends, x))
+
+    def valid(self, contexts: DataFrame) -> DataFrame:
+        """(ctx, u) of the valid ones, with their population."""
+        stats = context_stats(self.cells, contexts.select("ctx").distinct())
+        d, x = self.detector, self.x
+        if type(d) is Grubbs and d.mode == "deviation":
+            return grubbs_columns(stats, x, d.alpha, d.sides).where("is_outlier").select("ctx", F.col("n").alias("u"))
+        if isinstance(d, LOF):
+            return self._lof(cut(stats.select("ctx", "n")))
+        if isinstance(d, Histogram):
+            return self._histogram(stats)
+        if d.wants_values:
+            raise TypeError(f"{d.name} has no plan for contexts")
+
+        def judge(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            # a context's moments are a slice of one cell that every context holds
+            for b in batches:
+                keep = [bool(d.flags(Slice(np.zeros(1, np.int64), *(np.array([r[k]], np.float64 if k in ("s", "ss") else np.int64) for k in ("n", "s", "ss", "lo", "hi"))), np.zeros(1, np.int64), x)[0][0]) for _, r in b.iterrows()]
+                yield b.loc[keep, ["ctx", "n"]].rename(columns={"n": "u"})
+
+        return stats.select("ctx", "n", F.col("s").cast("double"), F.col("ss").cast("double"), "lo", "hi").mapInPandas(judge, "ctx long, u long")
+
+    def _held(self, contexts: DataFrame) -> DataFrame:
+        return contexts.join(self.values, F.col("cell").bitwiseAND(F.col("ctx")) == F.col("cell"))
+
+    def _lof(self, sizes: DataFrame) -> DataFrame:
+        k, x, limit = self.detector.k, self.x, self.detector.threshold
+        counts = self._held(sizes.where(F.col("n") > k)).groupBy("ctx", "n", "x").agg(F.sum("cnt").alias("cnt"))
+        side = F.col("x") <= F.lit(x)
+        near = Window.partitionBy("ctx", side).orderBy(F.abs(F.col("x") - F.lit(x)))
+        few = counts.withColumn("r", F.row_number().over(near)).where(F.col("r") <= 3 * k + 1)
+
+        def judge(frame: pd.DataFrame) -> pd.DataFrame:
+            f = frame.sort_values("x")
+            xs = f["x"].to_numpy(np.int64)
+            score = local_factor(xs, f["cnt"].to_numpy(np.int64), int(np.searchsorted(xs, x)), k)
+            return f[["ctx", "n"]].iloc[: int(score > limit)].rename(columns={"n": "u"})
+
+        return few.groupBy("ctx").applyInPandas(judge, "ctx long, u long")
+
+    def _histogram(self, stats: DataFrame) -> DataFrame:
+        d, x = self.detector, self.x
+
+        def bins(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+            for b in batches:
+                n, lo, hi = (b[c].to_numpy(np.int64) for c in ("n", "lo", "hi"))
+                many, first, end = d.intervals(n, lo, hi, x)
+                yield pd.DataFrame({"ctx": b["ctx"], "n": n, "first": first, "end": end, "most": d.limit(n, many)})
+
+        own = stats.where("hi > lo").select("ctx", "n", "lo", "hi").mapInPandas(bins, "ctx long, n long, first long, end long, most double").where("most > 1")
+        counts = self._held(own).where("x >= first and x < end").groupBy("ctx", "n", "most").agg(F.sum("cnt").alias("c"))
+        return counts.where("c < most").select("ctx", F.col("n").alias("u"))
+
+
+def smallest_start(df: DataFrame, schema: ContextSchema, record_id, detector: Detector) -> int:
+    """The starting context `minimal` from one enumeration as a plan, for many free bits."""
+    found = valid_contexts(df, schema, record_id, detector).agg(F.min(F.struct(F.bit_count("ctx").alias("w"), "ctx")).alias("b")).first()["b"]
+    if found is None:
+        raise NoValidContext("the record is an outlier in no context")
+    return found["ctx"]
+
+
+def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps: float, n: int, start: int, trials: int, noise, detector: Detector | None = None) -> DataFrame:
     """(trial, ctx, u): walk, dfs or bfs of many trials as DataFrames, one step of all trials at a time.
 
     For cells too many to ship: state, memo and candidates stay distributed, and each step's lineage is cut. Same
@@ -150,9 +221,9 @@ def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps:
     detector = detector or Grubbs()
     spark = df.sparkSession
     cell, x = lookup_record(df, schema, record_id)
-    cells = cut(build_cells(df, schema))
+    verifier = Verifier(df, schema, detector, x)
     eps1 = allocate(method, eps, n)
-    memo = cut(_valid_of(cells, spark.createDataFrame([(start,)], "ctx long"), x, detector.alpha, detector.sides))
+    memo = cut(verifier.valid(spark.createDataFrame([(start,)], "ctx long")))
     if memo.isEmpty():
         raise NoValidContext("the search needs a context in which the record is an outlier")
     tried = spark.createDataFrame([(start,)], "ctx long")
@@ -167,7 +238,7 @@ def lockstep(df: DataFrame, schema: ContextSchema, record_id, method: str, eps:
         nonlocal memo, tried
         around = neighbors(at.select("trial", "ctx"), schema.t).where(F.col("neighbor").bitwiseAND(F.lit(cell)) == F.lit(cell)).select("trial", F.col("ctx").alias("parent"), F.col("neighbor").alias("ctx"))
         new = cut(around.select("ctx").distinct().join(tried, "ctx", "left_anti"))
-        memo = cut(memo.unionByName(_valid_of(cells, new, x, detector.alpha, detector.sides)))
+        memo = cut(memo.unionByName(verifier.valid(new)))
         tried = cut(tried.unionByName(new))
         return around.join(memo, "ctx")
 

@@ -236,3 +236,49 @@ def test_streams_write_results_from_tasks(spark):
     got = {r[0]: r[1] for r in windows.run_to_table(spark, stream, "update").groupBy("user_id").agg(F.max("n")).collect()}
     want = {r[0]: r[1] for r in spark.read.parquet(f"{sf}/events.parquet").groupBy("user_id").count().collect()}
     assert got == want
+
+
+@pytest.mark.parametrize("detector", [det.LOF(5), det.Histogram(0.02), det.ZScore(2.0)])
+@pytest.mark.parametrize("method", ["bfs", "walk"])
+def test_lockstep_draws_as_in_memory(spark, detector, method):
+    rows, (cell, x) = sample(1, 150)
+    frame = spark.createDataFrame([(i, *_values(c), v / 10_000) for i, (c, v) in enumerate(rows)], "id long, a string, b string, c string, v double")
+    rid = len(rows) - 1
+    search = release.make_search(frame, SCHEMA, rid, detector)
+    assert release.smallest_start(frame, SCHEMA, rid, detector) == search.start
+    got = {r["trial"]: r["ctx"] for r in release.lockstep(frame, SCHEMA, rid, method, 0.5, 3, search.start, 3, mech.SeededNoise(2), detector).collect()}
+    assert got == {t: search.run(method, 0.5, 3, mech.SeededNoise(2), t).ctx for t in range(3)}
+
+
+def test_cells_outlive_a_session_and_add_up(spark, tmp_path):
+    from ctxrelease.sources import sinks
+
+    rows, _ = sample(4, 100)
+    frame = spark.createDataFrame([(i, *_values(c), v / 10_000) for i, (c, v) in enumerate(rows)], "id long, a string, b string, c string, v double")
+    whole, parts = pl.build_cells(frame, SCHEMA), [pl.build_cells(frame.where(w), SCHEMA) for w in ("id < 40", "id >= 40")]
+    sinks.save_cells(parts[0], f"{tmp_path}/cells")
+    merged = sinks.merge_cells(sinks.load_cells(spark, f"{tmp_path}/cells"), parts[1])
+    assert sorted(map(tuple, merged.select(*whole.columns).collect())) == sorted(map(tuple, whole.collect()))
+
+
+def test_late_rows_go_and_a_replay_adds_nothing(spark, tmp_path):
+    from datetime import datetime, timedelta
+
+    from ctxrelease.streaming import windows
+
+    t0 = datetime(2024, 1, 1)
+    batches = [[(0, "click"), (30, "click")], [(72, "view")], [(1, "click"), (73, "view")]]  # hours; hour 1 is late in the third file
+    source, out, state = (f"{tmp_path}/{n}" for n in ("in", "out", "state"))
+
+    def run():
+        schema = "ts timestamp, event_type string"
+        stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(source)
+        q = windows.tumbling(stream).writeStream.format("parquet").option("path", out).option("checkpointLocation", state).outputMode("append").trigger(availableNow=True).start()
+        q.awaitTermination()
+
+    for k, rows in enumerate(batches):
+        spark.createDataFrame([(t0 + timedelta(hours=h), e) for h, e in rows], "ts timestamp, event_type string").coalesce(1).write.mode("append").parquet(source)
+        run()
+    run()  # nothing new: nothing is written twice
+    got = sorted((r["window_start"].day, r["event_type"], r["n"]) for r in spark.read.parquet(out).collect())
+    assert got == [(1, "click", 1), (2, "click", 1)]
