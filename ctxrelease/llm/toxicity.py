@@ -37,7 +37,7 @@ SAMPLE_ROWS = 6_000
 MIN_ROWS = 3
 #: Terms whose pairs are looked at, terms taken in for their pairs, and the spread of the first vectors.
 POOL, PAIRED = 3_000, 1_024
-SPREAD, PAIR_SPREAD = 0.01, 0.3
+SPREAD, PAIR_SPREAD = 0.01, 0.1
 EPOCHS = 12
 MEMO = 50_000
 
