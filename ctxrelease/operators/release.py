@@ -16,7 +16,7 @@ from ctxrelease.plans.runtime import cut
 from ctxrelease.schema import Context, ContextSchema
 
 from .detectors import DETECTORS, LOF, Detector, Grubbs, Histogram, Slice, grubbs_columns, local_factor, take_slice, verify
-from .search import Outcome, Search, starting_context
+from .search import UTILITIES, Outcome, Search, starting_context
 
 
 @dataclass(frozen=True)
@@ -65,11 +65,13 @@ def maximum_context(valid: DataFrame) -> DataFrame:
     return valid.agg(F.max_by(F.struct("ctx", "u"), F.struct("u", "ctx")).alias("b")).where("b is not null").select("b.ctx", "b.u")
 
 
-def make_search(df: DataFrame, schema: ContextSchema, record_id, detector: Detector, start: int | str | None = "minimal", overlap: bool = False, noise=None) -> Search:
+def make_search(df: DataFrame, schema: ContextSchema, record_id, detector: Detector, start: int | str | None = "minimal", overlap: bool = False, noise=None, utility: str | None = None) -> Search:
     cell, x = lookup_record(df, schema, record_id)
     search = Search(schema, take_slice(df, schema, detector, x), detector, cell, x)
     search.start = starting_context(search, start, noise) if isinstance(start, str) else start
     search.overlap = overlap
+    if utility is not None:
+        search.utility, search.sensitivity = UTILITIES[utility]
     search.memo.clear()
     return search
 
@@ -81,7 +83,7 @@ def release_context(df: DataFrame, schema: ContextSchema, record_id, detector: D
     if ledger and eps > ledger.remaining() + 1e-12:
         ledger.charge(record_id, method, eps)  # raises
     needs_start = method in ("walk", "dfs", "bfs") or method.startswith("greedy") or utility == "overlap"
-    search = make_search(df, schema, record_id, detector, start if needs_start else None, utility == "overlap", noise)
+    search = make_search(df, schema, record_id, detector, start if needs_start else None, utility == "overlap", noise, None if utility in ("population", "overlap") else utility)
     outcome = search.run(method, eps, n, noise, **options)
     if ledger:
         ledger.charge(record_id, method, eps)

@@ -21,6 +21,17 @@ from .detectors import Detector, Slice
 TRIALS_PER_SAMPLE = 400
 
 
+#: Callers' utilities by name: a score of contexts' moments (n, s, ss, lo, hi, as arrays) and its stated sensitivity.
+UTILITIES: dict[str, tuple[Callable[[dict], np.ndarray], float]] = {}
+
+
+def register_utility(name: str, score: Callable[[dict], np.ndarray], sensitivity: float = 1.0) -> None:
+    """Makes a utility known to releases. The sensitivity is the caller's word: the budget's meaning rests on it."""
+    if name in ("population", "overlap") or not sensitivity > 0:
+        raise ValueError("a utility needs a name of its own and a positive sensitivity")
+    UTILITIES[name] = (score, sensitivity)
+
+
 @dataclass
 class Outcome:
     """One search: the context (public), and what only the owner may see."""

@@ -268,8 +268,9 @@ def _start_sql(name: str, valid: Callable[[str], str] = grubbs_sql) -> str:
     return f"{valid(name)}, v AS MATERIALIZED (SELECT ctx, u FROM valid), start AS MATERIALIZED (SELECT ctx, u FROM v ORDER BY bit_count(ctx), ctx LIMIT 1)"
 
 
-def bfs_sql(name: str, n: int, valid: Callable[[str], str] = grubbs_sql) -> str:
-    e1 = mech.allocate("bfs", EPS, n)
+def bfs_sql(name: str, n: int, valid: Callable[[str], str] = grubbs_sql, inclusive: bool = False) -> str:
+    e1 = mech.allocate("bfs", EPS, n, inclusive=inclusive)
+    n += inclusive
     steps = [_start_sql(name, valid), "f0 AS MATERIALIZED (SELECT * FROM start)", "s0 AS MATERIALIZED (SELECT * FROM start WHERE false)"]
     for i in range(n):
         steps += [
@@ -281,9 +282,9 @@ def bfs_sql(name: str, n: int, valid: Callable[[str], str] = grubbs_sql) -> str:
     return ",\n".join(steps) + f" {_best(f's{n}', e1, q)}"
 
 
-def dfs_sql(name: str, n: int) -> str:
+def dfs_sql(name: str, n: int, final: str = "visited") -> str:
     """Without going back, which the datasets here don't need."""
-    e1 = mech.allocate("dfs", EPS, n)
+    e1 = mech.allocate("dfs", EPS, n, final)
     steps = [_start_sql(name), "p0 AS MATERIALIZED (SELECT * FROM start)", "s1 AS MATERIALIZED (SELECT * FROM start)"]
     for i in range(1, n):
         steps += [
@@ -292,10 +293,12 @@ def dfs_sql(name: str, n: int) -> str:
             f"s{i + 1} AS MATERIALIZED (SELECT * FROM s{i} UNION ALL SELECT * FROM p{i})",
         ]
     q = "'final'"
+    if final == "last":
+        return ",\n".join(steps) + f" SELECT ctx, u FROM p{n - 1}"
     return ",\n".join(steps) + f" {_best(f's{n}', e1, q)}"
 
 
-def walk_sql(name: str, n: int) -> str:
+def walk_sql(name: str, n: int, distinct: bool = False) -> str:
     e1 = mech.allocate("walk", EPS, n)
     steps = [_start_sql(name), "p0 AS MATERIALIZED (SELECT * FROM start)", "s1 AS MATERIALIZED (SELECT * FROM start)"]
     for i in range(1, n):
@@ -305,16 +308,17 @@ def walk_sql(name: str, n: int) -> str:
             f"s{i + 1} AS MATERIALIZED (SELECT * FROM s{i} UNION ALL SELECT * FROM p{i})",
         ]
     q = "'final'"
-    return ",\n".join(steps) + f" {_best(f's{n}', e1, q)}"
+    pool = f"(SELECT DISTINCT ctx, u FROM s{n})" if distinct else f"s{n}"
+    return ",\n".join(steps) + f" {_best(pool, e1, q)}"
 
 
-def uniform_release_sql(name: str, n: int, most: int = 256) -> str:
+def uniform_release_sql(name: str, n: int, most: int = 256, p: float = 0.5) -> str:
     schema = wl.SCHEMAS[name]
     e1 = mech.allocate("uniform", EPS, n)
     free = f"(SELECT b, row_number() OVER (ORDER BY b) - 1 AS j FROM anchor, range({schema.t}) AS r(b) WHERE (anchor.cell >> b::INT) & 1 = 0)"
     q = "'u'"
     return f"""{_start_sql(name)},
-tries AS (SELECT i, (SELECT cell FROM anchor) | coalesce(bit_or(1::BIGINT << b::INT) FILTER ({uniform_sql('0', q, 'i', 'j')} < 0.5), 0) AS ctx FROM range({most}) AS t(i), {free} GROUP BY i),
+tries AS (SELECT i, (SELECT cell FROM anchor) | coalesce(bit_or(1::BIGINT << b::INT) FILTER ({uniform_sql('0', q, 'i', 'j')} < {p}), 0) AS ctx FROM range({most}) AS t(i), {free} GROUP BY i),
 got AS MATERIALIZED (SELECT v.ctx, v.u, min(i) AS i FROM tries JOIN v ON v.ctx = tries.ctx GROUP BY v.ctx, v.u ORDER BY i LIMIT {n})
 {_best('got', e1, "'final'")}"""
 

@@ -49,12 +49,13 @@ def _add(name: str, fn) -> None:
 
 
 _METHODS = [(m, EPS, SAMPLES) for m in mech.METHODS]
-for _d in ("e14", "li12"):
+for _d in ("e14", "li12", "li16"):
     _add(f"w_samplers_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, _METHODS), ["method"]))
     _add(f"w_overlap_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)], overlap=True), ["method"]))
     _add(f"w_epsilon_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", e, SAMPLES) for e in (0.05, 0.1, 0.2, 0.4)]), ["eps"]))
     _add(f"w_samples_{_d}", lambda s, d, n=_d: _summary(trials(s, d, n, [("bfs", EPS, k) for k in (25, 50, 100, 200)]), ["n"]))
     _add(f"w_detectors_{_d}", lambda s, d, n=_d: _detectors(s, d, n))
+for _d in ("e14", "li12"):
     _add(f"w_match_{_d}", lambda s, d, n=_d: matching.match_summary(match(s, d, n)))
     _add(f"w_ratio_{_d}", lambda s, d, n=_d: matching.ratio_summary(match(s, d, n, RATIO_OUTLIERS, NEIGHBOURS, (1,))))
 
@@ -108,8 +109,7 @@ def _headline(spark, sf_dir):
 
 _add("w_headline_e25", _headline)
 _add("w_counters_li12", lambda s, d: measures.counters(trials(s, d, "li12", _METHODS, det.Grubbs()), ["method"]))
-_add("w_samplers_li16", lambda s, d: _summary(trials(s, d, "li16", [("uniform", EPS, SAMPLES), ("walk", EPS, SAMPLES), ("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)]), ["method"]))
-_add("w_samplers_grubbs_li16", lambda s, d: _summary(trials(s, d, "li16", [("uniform", EPS, SAMPLES), ("walk", EPS, SAMPLES), ("dfs", EPS, SAMPLES), ("bfs", EPS, SAMPLES)], det.Grubbs()), ["method"]))
+_add("w_samplers_grubbs_li16", lambda s, d: _summary(trials(s, d, "li16", _METHODS, det.Grubbs()), ["method"]))
 _add("w_bootstrap_e14", lambda s, d: measures.bootstrap_interval(trials(s, d, "e14", _METHODS), ["method"]))
 
 

@@ -8,8 +8,9 @@ from pyspark.sql import functions as F
 from ctxrelease.functions import mechanism as mech
 from ctxrelease.operators import detectors as det
 from ctxrelease.operators import matching, measures, release
+from ctxrelease.operators import search as search_mod
 from ctxrelease.plans import cells as pl
-from ctxrelease.queries_core import EPS, NOISE, _best, _start_sql, _verified, base_sql, critical_ctes, grubbs_sql, lof_sql, top
+from ctxrelease.queries_core import EPS, NOISE, SAMPLES, _best, _searched, _start_sql, _verified, base_sql, bfs_sql, critical_ctes, dfs_sql, grubbs_sql, gumbel_sql, lof_sql, top, uniform_release_sql, walk_sql
 from ctxrelease.schema import Context, ContextSchema
 from ctxrelease.sources import workloads as wl
 
@@ -82,6 +83,29 @@ SELECT ctx, n AS population, greatest(low - x, x - high, 0) > 1.5 * (high - low)
     _mode(det.IQR()),
 )
 
+# options of the searches, and a utility of the caller's
+
+for _name in ("e14", "li12"):
+    _add(f"dfs_last_release_{_name}", dfs_sql(_name, SAMPLES, "last"), lambda s, d, n=_name: _searched(s, d, n, "dfs", SAMPLES, final="last"))
+    _add(f"bfs_inclusive_release_{_name}", bfs_sql(_name, SAMPLES, inclusive=True), lambda s, d, n=_name: _searched(s, d, n, "bfs", SAMPLES, inclusive=True))
+    _add(f"walk_distinct_release_{_name}", walk_sql(_name, SAMPLES, True), lambda s, d, n=_name: _searched(s, d, n, "walk", SAMPLES, distinct=True))
+    _add(f"uniform_sparse_release_{_name}", uniform_release_sql(_name, SAMPLES, 512, 0.25), lambda s, d, n=_name: _searched(s, d, n, "uniform", SAMPLES, p=0.25))
+
+
+def _root(stats: dict):
+    return stats["n"] ** 0.5
+
+
+def _own_utility(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Direct selection by the root of the population, whose sensitivity is at most one."""
+    df, schema, rid = top(spark, sf_dir, "doc13")
+    search_mod.register_utility("root", _root, 1.0)
+    public, _ = release.release_context(df, schema, rid, "grubbs", "root", "direct", EPS, noise=NOISE)
+    return spark.createDataFrame([(public.ctx,)], "ctx long")
+
+
+_add("direct_own_utility_doc13", f"{grubbs_sql('doc13')} SELECT max_by(ctx, row(0.1 * sqrt(u) + {gumbel_sql('0', '0', 'ctx')}, ctx)) AS ctx FROM valid", _own_utility)
+
 # neighbouring datasets: one record less, for the records with the smallest ids
 
 _PAIRS = 20
