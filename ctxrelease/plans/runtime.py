@@ -36,7 +36,8 @@ def stored(df: DataFrame) -> tuple[DataFrame, Callable[[], None]]:
     """Writes a table to the shared folder, for results of which later plans read few columns; the second value deletes it."""
     spark = df.sparkSession
     path = f"{shared_dir(spark)}/table-{uuid.uuid4().hex}"
-    df.write.parquet(path)
+    # hashes don't compress, and the codec's buffers lie outside the heap until a collection
+    df.write.option("compression", "uncompressed").parquet(path)
 
     def forget() -> None:
         jvm = spark.sparkContext._jvm
