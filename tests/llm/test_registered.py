@@ -321,3 +321,34 @@ def test_pipeline_stages_on_odd_tables(spark, which):
             assert [r["text"] for r in found if r["doc_id"] == 1] == [None]
         if name == "language_id" and which == "odd":
             assert not {1, 2, 6} & {r["doc_id"] for r in found}
+
+
+def test_pipeline_equals_plain_loops(spark):
+    """run() against the same models applied one document at a time, brute-force components and the tokenizers library."""
+    import corpus_pipeline
+
+    from .test_operators import brute_components
+
+    docs = spark.read.parquet(f"{SF}/documents.parquet")
+    rows = {r["doc_id"]: r["text"] for r in docs.select("doc_id", "text").collect()}
+    net = langid.train(docs)
+    langs, scores = langid.predict(net, list(rows.values()))
+    kept = {d: t for (d, t), a, s in zip(rows.items(), langs, scores) if a != "und" and s >= corpus_pipeline.MIN_LANG_SCORE}
+    machine = toxicity.train(docs.where(docs["doc_id"].isin(*kept)), spark.read.parquet(f"{SF}/labels.parquet"))
+    terms = toxicity.Terms({int(b): k for k, b in enumerate(machine.buckets)}) if machine else None
+    kept = {d: t for d, t in kept.items() if toxicity.score_texts(machine, terms, [t])[0] < 0.5}
+    comp = brute_components(list(kept.items()))
+    kept = {d: pii.redact(t) for d, t in kept.items() if comp[d] == (0, d) or comp[d][1] == d}
+    lib = bpe.vocabulary(bpe.default_path()).library()
+    want = []
+    for d, t in kept.items():
+        ids = np.array([*lib.encode(t or "", add_special_tokens=False).ids, 0], "<u4")
+        want += [(d, k // 2048, k, len(ids[k : k + 2048]), zlib.crc32(ids[k : k + 2048].tobytes())) for k in range(0, len(ids), 2048)]
+    got = corpus_pipeline.run(spark, SF).collect()
+    assert sorted((r["doc_id"], r["piece"], r["start"], r["length"], r["ids_crc32"]) for r in got) == sorted(want)
+    assert 0 < len(kept) < len(rows)
+    held: dict[int, list] = {}
+    for r in got:
+        held.setdefault(r["sequence_id"], []).append((r["offset"], r["length"]))
+    for parts in held.values():
+        assert [a for a, _ in sorted(parts)] == np.cumsum([0, *[n for _, n in sorted(parts)]]).tolist()[:-1] and sum(n for _, n in parts) <= 2048
