@@ -40,9 +40,9 @@ LEXICON_WORDS = 131_072
 #: Longer words (in UTF-8 bytes) are left to the merges.
 LEXICON_WORD_BYTES = 40
 #: Words whose encoding a process remembers in each of two generations; the older one goes when the newer is full.
-MEMO_WORDS = 150_000
+MEMO_WORDS = 300_000
 #: Characters of the texts that are encoded at a time.
-TEXT_SLICE = 1 << 22
+TEXT_SLICE = 1 << 23
 #: Words that a task counts before it hands them on.
 COUNT_WORDS = 200_000
 NO_RANK = np.int32(1 << 30)
