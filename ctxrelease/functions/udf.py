@@ -66,8 +66,13 @@ def release_contexts(df: DataFrame, schema: ContextSchema, record_ids: list, det
     return df.sparkSession.createDataFrame(rows, "record_id string, ctx long, bits string, predicate string, epsilon double")
 
 
-def register(spark: SparkSession) -> None:
-    """Makes ctx_bits(ctx, t), grubbs_critical(n) and the table function context_neighbors(ctx, t) known to SQL."""
+def register(spark: SparkSession, schema: ContextSchema | None = None) -> None:
+    """Makes ctx_bits(ctx, t), grubbs_critical(n) and the table function context_neighbors(ctx, t) known to SQL.
+
+    With a schema also ctx_sql(ctx), the public predicate of its contexts.
+    """
+    if schema is not None:
+        spark.udf.register("ctx_sql", ctx_sql(schema))
     spark.udf.register("ctx_bits", lambda ctx, t: None if ctx is None else format(ctx, f"0{t}b"), "string")
     spark.udf.register("grubbs_critical", grubbs_critical)
     spark.udtf.register("context_neighbors", ContextNeighbors)

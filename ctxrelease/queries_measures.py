@@ -124,7 +124,7 @@ every AS MATERIALIZED (SELECT -1 AS pair, ctx, n, s::DOUBLE AS s, ss::DOUBLE AS
   SELECT pair, ctx, n - (g_cell & ctx = g_cell)::INT, (s - CASE WHEN g_cell & ctx = g_cell THEN g_x ELSE 0 END)::DOUBLE, (ss - CASE WHEN g_cell & ctx = g_cell THEN g_x::HUGEINT * g_x ELSE 0 END)::DOUBLE FROM whole, gone),
 {critical_ctes('every')},
 valid AS MATERIALIZED (SELECT pair, ctx, every.n AS u FROM every JOIN k ON k.n = every.n, anchor WHERE ss - s * (s / every.n) > 0 AND abs(x - s / every.n) / sqrt((ss - s * (s / every.n)) / (every.n - 1)) > crit),
-law AS MATERIALIZED (SELECT pair, ctx, exp(0.1 * (u - max(u) OVER (PARTITION BY pair))) AS e, sum(exp(0.1 * (u - (SELECT max(u) FROM valid b WHERE b.pair = valid.pair)))) OVER (PARTITION BY pair) AS total FROM valid),
+law AS MATERIALIZED (SELECT pair, ctx, 0.1 * (u - max(u) OVER (PARTITION BY pair)) AS score, exp(0.1 * (u - max(u) OVER (PARTITION BY pair))) AS e, sum(exp(0.1 * (u - (SELECT max(u) FROM valid b WHERE b.pair = valid.pair)))) OVER (PARTITION BY pair) AS total FROM valid),
 sides AS (SELECT g.pair, coalesce(a.ctx, b.ctx) AS ctx, a.ctx IS NOT NULL AS in_a, b.ctx IS NOT NULL AS in_b, a.e / a.total AS p, b.e / b.total AS q
   FROM gone g JOIN (SELECT * FROM law WHERE pair = -1) a ON true FULL JOIN (SELECT * FROM law WHERE pair >= 0) b ON b.pair = g.pair AND b.ctx = a.ctx)"""
 
@@ -139,7 +139,7 @@ def _neighbours(spark: SparkSession, sf_dir: str, name: str, rank: int) -> DataF
     return matching.match_pairs(spark, schema, [(rid, cell, x)], matching.shared_slice(df, schema), det.Grubbs(), gone, edges, EPS)
 
 
-for _name, _rank in (("e14", 200), ("doc13", 30)):
+for _name, _rank in (("e14", 200), ("doc13", 30), ("li12", 150)):
     # a pair whose sides are both empty can't occur: the record has a valid context in the table
     _add(
         f"enum_match_{_name}",
@@ -150,7 +150,7 @@ for _name, _rank in (("e14", 200), ("doc13", 30)):
     )
     _add(
         f"privacy_ratio_{_name}",
-        f"{_neighbour_sql(_name, _rank)} SELECT b.pair::INT AS pair, round(max(abs(ln(a.e / a.total) - ln(b.e / b.total))), 6) AS log_ratio FROM law a JOIN law b ON a.pair = -1 AND b.pair >= 0 AND a.ctx = b.ctx GROUP BY b.pair",
+        f"{_neighbour_sql(_name, _rank)} SELECT b.pair::INT AS pair, round(max(abs(a.score - ln(a.total) - b.score + ln(b.total))), 6) AS log_ratio FROM law a JOIN law b ON a.pair = -1 AND b.pair >= 0 AND a.ctx = b.ctx GROUP BY b.pair",
         lambda s, d, n=_name, r=_rank: _neighbours(s, d, n, r).where("not isnan(max_ratio)").select("pair", F.round(F.log("max_ratio"), 6).alias("log_ratio")),
     )
 

@@ -172,11 +172,12 @@ op("udtf", "SELECT event_id, xor(event_id, (1::BIGINT << b::INT)) AS neighbor FR
 
 
 def _ctx_sql(s: SparkSession, d: str) -> DataFrame:
-    from ctxrelease.functions.udf import ctx_sql
+    from ctxrelease.functions.udf import register
     from ctxrelease.sources.workloads import SCHEMAS
 
     schema = SCHEMAS["inc9"]
-    return s.range(1 << schema.t).select(F.col("id").alias("ctx"), ctx_sql(schema)("id").alias("predicate"))
+    register(s, schema)
+    return s.sql(f"SELECT id AS ctx, ctx_sql(id) AS predicate FROM range({1 << schema.t})")
 
 
 def _ctx_sql_oracle() -> str:

@@ -282,3 +282,19 @@ def test_late_rows_go_and_a_replay_adds_nothing(spark, tmp_path):
     run()  # nothing new: nothing is written twice
     got = sorted((r["window_start"].day, r["event_type"], r["n"]) for r in spark.read.parquet(out).collect())
     assert got == [(1, "click", 1), (2, "click", 1)]
+
+
+def test_output_constrained_neighbours(spark):
+    """One record apart with the same non-empty valid set; not if the set changes, is empty, or more records differ."""
+    from ctxrelease.operators import measures
+
+    rows, _ = sample()
+    frame = spark.createDataFrame([(i, *_values(c), v / 10_000) for i, (c, v) in enumerate(rows)], "id long, a string, b string, c string, v double")
+    rid = len(rows) - 1
+    valid = release.valid_contexts(frame, SCHEMA, rid, det.Grubbs()).select("ctx", "u")
+    less = frame.where("id <> 3")
+    same = release.valid_contexts(less, SCHEMA, rid, det.Grubbs()).select("ctx", "u")
+    assert measures.are_f_neighbors(frame, less, valid, same)
+    assert not measures.are_f_neighbors(frame, frame.where("id > 3"), valid, same)
+    assert not measures.are_f_neighbors(frame, less, valid, same.where(f"ctx <> {SCHEMA.full}"))
+    assert not measures.are_f_neighbors(frame, less, valid.where("false"), same.where("false"))
