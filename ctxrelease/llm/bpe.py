@@ -40,9 +40,9 @@ LEXICON_WORDS = 131_072
 #: Longer words (in UTF-8 bytes) are left to the merges.
 LEXICON_WORD_BYTES = 40
 #: Words whose encoding a process remembers in each of two generations; the older one goes when the newer is full.
-MEMO_WORDS = 200_000
+MEMO_WORDS = 180_000
 #: Characters of the texts that are encoded at a time.
-TEXT_SLICE = 1 << 22
+TEXT_SLICE = 3 << 20
 #: Words that a task counts before it hands them on.
 COUNT_WORDS = 200_000
 NO_RANK = np.int32(1 << 30)
@@ -92,14 +92,21 @@ class Vocabulary:
         self.keys, self.rank, self.made = keys[order], order.astype(np.int32), np.array(made, np.int64)[order]
         self.split_special = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         self.back = {c: b for b, c in enumerate(shown)}
-        self._library = None
+        self._steps = None
 
     def library(self):
-        if self._library is None:
-            from tokenizers import Tokenizer
+        """The library's tokenizer of the file, for comparisons."""
+        from tokenizers import Tokenizer
 
-            self._library = Tokenizer.from_file(self.path)
-        return self._library
+        return Tokenizer.from_file(self.path)
+
+    def own_split(self, text: str) -> list[tuple[str, tuple[int, int]]]:
+        """The file's own normaliser and splitter; they are kept without the library's model, which takes far more memory."""
+        if self._steps is None:
+            whole = self.library()
+            self._steps = whole.normalizer, whole.pre_tokenizer
+        normalizer, splitter = self._steps
+        return splitter.pre_tokenize_str(normalizer.normalize_str(text))
 
     def ranks(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Rank and result of merging each pair; NO_RANK where there is none."""
@@ -201,8 +208,7 @@ def _words(voc: Vocabulary, text: str) -> list[str]:
             return _ASCII_WORDS.findall(text.lower())
         low = unicodedata.normalize("NFC", text).lower()
         return _PLAIN_WORDS.findall(low) if _PLAIN.fullmatch(low) else _WORDS.findall(low)
-    lib = voc.library()
-    found = lib.pre_tokenizer.pre_tokenize_str(lib.normalizer.normalize_str(text)) if text else []
+    found = voc.own_split(text) if text else []
     return [bytes(voc.back[c] for c in w).decode() for w, _ in found]
 
 

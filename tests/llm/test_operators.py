@@ -109,15 +109,16 @@ def test_packing_round_trip(spark, odd, empty):
 
 def test_bpe_equals_the_library(spark, tmp_path):
     voc = bpe.vocabulary(bpe.default_path())
+    lib = voc.library()
     texts = [r[0] for r in duckdb.sql(f"select text from '{SF}/documents.parquet' limit 60").fetchall()]
     texts += ["", "<|endoftext|> Ab'S <|startoftext|>x", "ΣΑΣ 漢字 é é a\x1cb \x85 İı ǅ", "a" * 500, "don't I'LL 123 ½", "x<|y\n\n", "a\x00b  　c", "́ x"]
     words = sorted({w for t in texts for w in bpe.pieces(voc, t)})
     bpe.compile_lexicon([w.encode() for w in words[::2]], voc.merge, str(tmp_path / "lexicon"))
     coder = bpe.Encoder(voc, bpe.Lexicon(str(tmp_path / "lexicon")), True)
     for t, (ids, shown) in zip(texts, coder.encode_and_decode(texts)):
-        want = voc.library().encode(t, add_special_tokens=False).ids
+        want = lib.encode(t, add_special_tokens=False).ids
         assert np.frombuffer(ids, "<u4").tolist() == want
-        assert shown.decode() == voc.library().decode(want, skip_special_tokens=False) == bpe.decode(voc, np.array(want, int))
+        assert shown.decode() == lib.decode(want, skip_special_tokens=False) == bpe.decode(voc, np.array(want, int))
 
 
 def test_bpe_odd_rows(spark, odd, empty):

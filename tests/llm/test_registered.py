@@ -68,6 +68,7 @@ def test_bpe_query(spark, texts):
 def test_bpe_random_texts():
     """Slices of many kinds of text, words that leave the memory and come back."""
     voc = bpe.vocabulary(bpe.default_path())
+    lib = voc.library()
     rng = random.Random(1)
     parts = ["the", "don't", "I'LL", "été", "ÀÉ", "½", "12", " ", "\n", "\t", "...", "'s", "“x”", "ß", "漢字", "ſ", "<|endoftext|>", "\x1c", "İ", "é", "a" * 30, "ZqXv", "-", "\x00"]
     texts = ["".join(rng.choice(parts) for _ in range(rng.randrange(40))) for _ in range(600)]
@@ -75,9 +76,9 @@ def test_bpe_random_texts():
     coder.words.most = 25
     for _ in range(2):
         for t, (ids, shown) in zip(texts, coder.encode_and_decode(texts)):
-            want = voc.library().encode(t, add_special_tokens=False).ids
+            want = lib.encode(t, add_special_tokens=False).ids
             assert np.frombuffer(ids, "<u4").tolist() == want, t
-            assert shown.decode() == voc.library().decode(want, skip_special_tokens=False), t
+            assert shown.decode() == lib.decode(want, skip_special_tokens=False), t
 
 
 def test_language_query(spark, texts):
