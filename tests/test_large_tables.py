@@ -8,7 +8,7 @@ from ctxrelease.operators import detectors as det
 SF = "/root/testdata/sf0.001"
 
 
-@pytest.mark.parametrize("name", ["li12"])
+@pytest.mark.parametrize("name", ["li12", "e14"])
 def test_valid_sets_of_neighbours_need_no_values(spark, monkeypatch, name):
     """The top record's neighbouring datasets, with and without room for more than the cells' moments."""
     columns = ("pair", "exact", "jaccard", "max_ratio")
