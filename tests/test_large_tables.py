@@ -1,9 +1,12 @@
 """What fails only on larger tables, made to show on small ones."""
 
+import numpy as np
 import pytest
 
 from ctxrelease import queries_measures
 from ctxrelease.operators import detectors as det
+from ctxrelease.operators import matching
+from ctxrelease.schema import AttributeSpec, ContextSchema
 
 SF = "/root/testdata/sf0.001"
 
@@ -16,3 +19,21 @@ def test_valid_sets_of_neighbours_need_no_values(spark, monkeypatch, name):
     monkeypatch.setattr(det, "BROADCAST_LIMIT_BYTES", 48 * 100)
     got = sorted(map(tuple, queries_measures._neighbours(spark, SF, name, 0).select(*columns).collect()))
     assert got == want and len(want) == 20
+
+
+def test_logarithm_of_a_ratio_beyond_doubles(spark):
+    """One context of a million rows is lost with its only far value; the others have a few rows each."""
+    schema = ContextSchema("two", (AttributeSpec("a", "a", ("0", "1")),), "v", "id")
+
+    class Lost(det.Detector):
+        name = "lost"
+
+        def flags(self, part, ctxs, x):
+            n = part.stats(ctxs)["n"]
+            return (ctxs == 1) | (n >= 1_000_000), n.astype(float)
+
+    one, zero = np.array([1, 2]), np.zeros(2)
+    part = det.Slice(one, np.array([5, 999_995]), zero, zero, np.zeros(2, np.int64), np.full(2, 9))
+    edges = {2: (np.array([0, 0]), np.array([9, 9]))}
+    row = matching.match_pairs(spark, schema, [("r", 1, 9)], part, Lost(), {1: [[(2, 0)]]}, edges).first()
+    assert not row["exact"] and row["max_ratio"] == float("inf") and abs(row["log_ratio"] - 0.1 * 999_995) < 1e-6
