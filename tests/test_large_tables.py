@@ -5,7 +5,7 @@ import pytest
 
 from ctxrelease import queries_measures
 from ctxrelease.operators import detectors as det
-from ctxrelease.operators import matching
+from ctxrelease.operators import matching, measures
 from ctxrelease.schema import AttributeSpec, ContextSchema
 
 SF = "/root/testdata/sf0.001"
@@ -37,3 +37,10 @@ def test_logarithm_of_a_ratio_beyond_doubles(spark):
     edges = {2: (np.array([0, 0]), np.array([9, 9]))}
     row = matching.match_pairs(spark, schema, [("r", 1, 9)], part, Lost(), {1: [[(2, 0)]]}, edges).first()
     assert not row["exact"] and row["max_ratio"] == float("inf") and abs(row["log_ratio"] - 0.1 * 999_995) < 1e-6
+
+
+def test_largest_ratio_where_probabilities_vanish(spark):
+    """Contexts of 5 rows beside one of 100,000, whose probabilities are zero as doubles."""
+    tables = [measures.probability_table(spark.createDataFrame([(1, 100_000), (2, 5), (3, n)], "ctx long, u long"), 0.1) for n in (5, 6)]
+    row = measures.max_ratio(*tables).first()
+    assert abs(row["max_ratio"] - np.exp(0.1)) < 1e-9 and row["common"] == 3
