@@ -1,9 +1,11 @@
 """What fails only on larger tables, made to show on small ones."""
 
+import datetime
+
 import numpy as np
 import pytest
 
-from ctxrelease import queries_measures
+from ctxrelease import queries_experiments, queries_measures
 from ctxrelease.operators import detectors as det
 from ctxrelease.operators import matching, measures
 from ctxrelease.schema import AttributeSpec, ContextSchema
@@ -44,3 +46,21 @@ def test_largest_ratio_where_probabilities_vanish(spark):
     tables = [measures.probability_table(spark.createDataFrame([(1, 100_000), (2, 5), (3, n)], "ctx long, u long"), 0.1) for n in (5, 6)]
     row = measures.max_ratio(*tables).first()
     assert abs(row["max_ratio"] - np.exp(0.1)) < 1e-9 and row["common"] == 3
+
+
+def crowded(spark, path, lonely):
+    """lineitem and part whose largest metric has many copies in its cell; `lonely` rows are each alone with their metric."""
+    crowd = [(k, 1.0, 1_000.0 * (1 + k % 5)) for k in range(200)] + [(200 + k, 1.0, 90_000.0) for k in range(20)] + [(300 + k, 1.0, v) for k, v in enumerate(lonely)]
+    rows = [(k, 1, 1, 1, q, p, "A", "F", datetime.datetime(1996, 1, 1)) for k, q, p in crowd]
+    spark.createDataFrame(rows, "l_orderkey long, l_linenumber int, l_partkey long, l_suppkey long, l_quantity double, l_extendedprice double, l_returnflag string, l_linestatus string, l_shipdate timestamp_ntz").write.parquet(f"{path}/lineitem.parquet")
+    spark.createDataFrame([(1, "PROMO X")], "p_partkey long, p_type string").write.parquet(f"{path}/part.parquet")
+
+
+def test_trials_of_a_record_without_valid_contexts(spark, tmp_path):
+    grid = [("bfs", 0.2, 5), ("dfs", 0.2, 5)]
+    crowded(spark, tmp_path / "none", [])
+    rows = queries_experiments._summary(queries_experiments.trials(spark, str(tmp_path / "none"), "li16", grid, repetitions=3), ["method"]).collect()
+    assert sorted(r["method"] for r in rows) == ["bfs", "dfs"] and all(r["utility"] is None and r["t_avg"] is None for r in rows)
+    crowded(spark, tmp_path / "one", [60_000.0])
+    rows = queries_experiments.trials(spark, str(tmp_path / "one"), "li16", grid, repetitions=3).collect()
+    assert len(rows) == 6 and all(r["record_id"].startswith("300|") and r["ratio"] > 0 for r in rows)
