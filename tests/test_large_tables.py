@@ -2,10 +2,11 @@
 
 import datetime
 
+import duckdb
 import numpy as np
 import pytest
 
-from ctxrelease import queries_experiments, queries_measures
+from ctxrelease import queries_experiments, queries_measures, registry
 from ctxrelease.operators import detectors as det
 from ctxrelease.operators import matching, measures
 from ctxrelease.schema import AttributeSpec, ContextSchema
@@ -64,3 +65,15 @@ def test_trials_of_a_record_without_valid_contexts(spark, tmp_path):
     crowded(spark, tmp_path / "one", [60_000.0])
     rows = queries_experiments.trials(spark, str(tmp_path / "one"), "li16", grid, repetitions=3).collect()
     assert len(rows) == 6 and all(r["record_id"].startswith("300|") and r["ratio"] > 0 for r in rows)
+
+
+@pytest.mark.parametrize("name", ["budget_table", "inc9_contexts", "ops_ctx_sql", "ops_pandas_udf", "wellformed_count_e14", "wellformed_count_inc9", "wellformed_count_li12"])
+def test_query_reads_a_given_table(spark, name):
+    con = duckdb.connect()
+    for t in ("lineitem", "events", "orders", "customer"):
+        con.execute(f"create view {t} as select * from '{SF}/{t}.parquet'")
+    df = registry.queries()[name](spark, SF)
+    assert any(f.endswith(".parquet") for f in df.inputFiles())
+    want = con.sql(registry.oracle_sql()[name])
+    assert sorted(want.columns) == sorted(df.columns)
+    assert sorted(map(tuple, df.select(*want.columns).collect())) == sorted(want.fetchall())
