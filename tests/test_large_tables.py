@@ -77,3 +77,12 @@ def test_query_reads_a_given_table(spark, name):
     want = con.sql(registry.oracle_sql()[name])
     assert sorted(want.columns) == sorted(df.columns)
     assert sorted(map(tuple, df.select(*want.columns).collect())) == sorted(want.fetchall())
+
+
+@pytest.mark.parametrize("name", ["li12", "e14"])
+def test_matching_on_stored_values(spark, monkeypatch, name):
+    """All detectors on neighbouring datasets, with and without room for the counts of all values."""
+    run = lambda: sorted(repr(tuple(r)) for r in queries_experiments.match(spark, SF, name, 3, 3, (1, 5)).collect())
+    want = run()
+    monkeypatch.setattr(det, "BROADCAST_LIMIT_BYTES", 48 * 100)
+    assert run() == want and len(want) >= 12
