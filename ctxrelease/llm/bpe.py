@@ -39,8 +39,10 @@ from .common import append_columns, claim, give_back, on_drop, remembered, slice
 LEXICON_WORDS = 131_072
 #: Longer words (in UTF-8 bytes) are left to the merges.
 LEXICON_WORD_BYTES = 40
-#: Words whose encoding a process remembers in each of two generations; the older one goes when the newer is full.
-MEMO_WORDS = 180_000
+#: Chunks whose encoding a process remembers as Arrow columns, and their longest; half of them go when there are more.
+MEMO_CHUNKS, MEMO_CHUNK_BYTES = 400_000, 40
+#: Words of texts outside the plain range that it remembers in each of two generations; the older one goes when the newer is full.
+MEMO_WORDS = 40_000
 #: Characters of the texts that are encoded at a time.
 TEXT_SLICE = 3 << 20
 #: Words that a task counts before it hands them on.
@@ -80,8 +82,8 @@ class Vocabulary:
             self.tokens[i] = token
         self.token_bytes = [t.encode() for t in self.tokens]
         shown = byte_alphabet()
-        self.inner = np.array([ids[shown[b]] for b in range(256)], np.int64)
-        self.last = np.array([ids[shown[b] + suffix] for b in range(256)], np.int64)
+        self.inner = np.array([ids[shown[b]] for b in range(256)], np.int32)
+        self.last = np.array([ids[shown[b] + suffix] for b in range(256)], np.int32)
         left, right, made = [], [], []
         for a, b in content["model"]["merges"]:
             left.append(ids[a])
@@ -89,7 +91,9 @@ class Vocabulary:
             made.append(ids[a + b])
         keys = (np.array(left, np.int64) << 32) | np.array(right, np.int64)
         order = np.argsort(keys, kind="stable")
-        self.keys, self.rank, self.made = keys[order], order.astype(np.int32), np.array(made, np.int64)[order]
+        self.keys, self.rank, self.made = keys[order], order.astype(np.int32), np.array(made, np.int32)
+        # ranks of the first round's pairs by their two bytes: within a word, and at its end
+        self.first = [self.ranks(np.repeat(self.inner, 256), np.tile(x, 256)) for x in (self.inner, self.last)]
         self.split_special = regex.compile("(" + "|".join(map(regex.escape, self.special)) + ")") if self.special else None
         self.back = {c: b for b, c in enumerate(shown)}
         self._steps = None
@@ -108,69 +112,67 @@ class Vocabulary:
         normalizer, splitter = self._steps
         return splitter.pre_tokenize_str(normalizer.normalize_str(text))
 
-    def ranks(self, a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Rank and result of merging each pair; NO_RANK where there is none."""
-        key = (a << 32) | b
+    def ranks(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Rank of merging each pair; NO_RANK where there is none, as with -1 for no id. A rank's result is in `made`."""
+        key = (a.astype(np.int64) << 32) | b
         at = np.minimum(np.searchsorted(self.keys, key), len(self.keys) - 1)
-        hit = (self.keys[at] == key) & (a >= 0) & (b >= 0)
-        return np.where(hit, self.rank[at], NO_RANK), self.made[at]
+        return np.where(self.keys[at] == key, self.rank[at], NO_RANK)
 
     def merge(self, words: list[bytes]) -> list[bytes]:
         """Ids of words, 4 bytes each: in each round every word merges its best-ranked leftmost pair."""
-        out: list[bytes | None] = [None] * len(words)
-        order = sorted(range(len(words)), key=lambda i: len(words[i]))
-        at = 0
+        out: list[bytes] = [b""] * len(words)
+        lens = np.fromiter(map(len, words), np.int64, len(words))
+        flat, start = np.frombuffer(b"".join(words), np.uint8), np.cumsum(lens) - lens
+        order = np.argsort(lens, kind="stable")
+        rising = lens[order]
+        at = int(np.searchsorted(rising, 0, "right"))
         while at < len(order):
-            width = len(words[order[at]])
-            end = at
-            while end < len(order) and end - at < 4096 and (len(words[order[end]]) <= max(16, width * 5 // 4)):
-                width_end = len(words[order[end]])
-                end += 1
-            self._merge_block([words[i] for i in order[at:end]], width_end, order[at:end], out)
+            end = min(at + 4096, int(np.searchsorted(rising, max(16, rising[at] * 5 // 4), "right")))
+            some = order[at:end]
+            cols = np.arange(rising[end - 1])
+            ids = self._merge_block(flat[np.minimum(start[some, None] + cols, len(flat) - 1)], lens[some])
+            kept = ids >= 0
+            joined, first = ids[kept].astype("<u4").tobytes(), 0
+            for place, last in zip(some.tolist(), (4 * kept.sum(1).cumsum()).tolist()):
+                out[place] = joined[first:last]
+                first = last
             at = end
-        return out  # type: ignore[return-value]
+        return out
 
-    def _merge_block(self, words: list[bytes], width: int, places: list[int], out: list) -> None:
-        n, lens = len(words), np.array([len(w) for w in words])
-        raw = np.frombuffer(b"".join(w.ljust(width, b"\0") for w in words), np.uint8).reshape(n, width)
+    def _merge_block(self, raw: np.ndarray, lens: np.ndarray) -> np.ndarray:
+        """Ids by row, then -1, of words whose bytes fill their rows up to `lens`; as each round takes one id of every row
+        that goes on, the rows narrow by one."""
+        n, width = raw.shape
+        rows, cols = np.arange(n), np.arange(width)
         ids = self.inner[raw]
-        rows = np.arange(n)
         ids[rows, lens - 1] = self.last[raw[rows, lens - 1]]
-        ids[np.arange(width)[None, :] >= lens[:, None]] = -1
-        if width > 1:
-            rank, made = self.ranks(ids[:, :-1], ids[:, 1:])
-            live = rows
-            while len(live):
-                best = rank[live].argmin(1)
-                going = rank[live, best] < NO_RANK
-                live, best = live[going], best[going]
-                if not len(live):
-                    break
-                new = made[live, best]
-                cols = np.arange(width)[None, :]
-                shift = np.minimum(cols + (cols > best[:, None]), width - 1)
-                part = np.take_along_axis(ids[live], shift, 1)
-                part[:, -1] = -1
-                part[np.arange(len(live)), best] = new
-                ids[live] = part
-                cut = shift[:, : width - 1]
-                cut = np.minimum(cut, width - 2)
-                part_rank, part_made = np.take_along_axis(rank[live], cut, 1), np.take_along_axis(made[live], cut, 1)
-                part_rank[:, -1] = NO_RANK
-                k = np.arange(len(live))
-                for side in (best - 1, best):
-                    ok = (side >= 0) & (side < width - 1)
-                    s = np.clip(side, 0, width - 2)
-                    r, m = self.ranks(part[k, s], part[k, s + 1])
-                    part_rank[k[ok], s[ok]], part_made[k[ok], s[ok]] = r[ok], m[ok]
-                rank[live], made[live] = part_rank, part_made
-        kept = ids >= 0
-        flat = ids[kept].astype("<u4").tobytes()
-        end = (4 * kept.sum(1).cumsum()).tolist()
-        start = 0
-        for place, e in zip(places, end):
-            out[place] = flat[start:e]
-            start = e
+        ids[cols >= lens[:, None]] = -1
+        out = np.full((n, width), -1, np.int32)
+        two = raw[:, :-1].astype(np.int32) * 256 + raw[:, 1:]
+        rank = self.first[0][two]
+        rank[cols[1:] >= lens[:, None]] = NO_RANK
+        ends = rows[lens > 1]
+        rank[ends, lens[ends] - 2] = self.first[1][two[ends, lens[ends] - 2]]
+        while ids.shape[1] > 1:
+            width = ids.shape[1]
+            best = rank.argmin(1)
+            low = rank[np.arange(len(rows)), best]
+            going = low < NO_RANK
+            if not going.all():
+                out[rows[~going], :width] = ids[~going]
+                rows, ids, rank, best, low = (x[going] for x in (rows, ids, rank, best, low))
+            k = np.arange(len(rows))
+            after = cols[: width - 1] > best[:, None]
+            ids = np.where(after, ids[:, 1:], ids[:, :-1])
+            ids[k, best] = self.made[low]
+            if width > 2:
+                rank = np.where(after[:, :-1], rank[:, 1:], rank[:, :-1])
+                left, right = np.flatnonzero(best > 0), np.flatnonzero(best < width - 2)
+                pair = np.concatenate([best[left] - 1, best[right]])
+                k = np.concatenate([left, right])
+                rank[k, pair] = self.ranks(ids[k, pair], ids[k, pair + 1])
+        out[rows, : ids.shape[1]] = ids
+        return out
 
 
 def byte_alphabet() -> list[str]:
@@ -347,9 +349,44 @@ class Memory:
         return list(map(self.new.__getitem__, keys))
 
 
+class Chunks:
+    """Remembered encodings of a bounded number of chunks, in Arrow columns; those that were asked for last stay."""
+
+    def __init__(self, make: Callable[[pa.Array], list[pa.Array]], sides: int, most: int = MEMO_CHUNKS):
+        self.make, self.most, self.turn = make, most, 0
+        self.keys, self.used = pa.array([], pa.string()), np.zeros(0, np.int64)
+        self.sides = [pa.array([], pa.binary())] * sides
+
+    def of(self, chunks: pa.Array) -> tuple[np.ndarray, list[pa.Array]]:
+        """The place of each of some distinct chunks, and the columns that hold their values there."""
+        self.turn += 1
+        found = pc.index_in(chunks, value_set=self.keys)
+        missing = chunks.filter(found.is_null())
+        known = len(self.keys)
+        place = found.fill_null(-1).to_numpy()
+        self.used[place[place >= 0]] = self.turn
+        if not len(missing):
+            return place, self.sides
+        place = place.copy()
+        place[place < 0] = known + np.arange(len(missing))
+        made = self.make(missing)
+        whole = [pa.concat_arrays([x, y]) for x, y in zip(self.sides, made)]
+        short = np.flatnonzero(pc.binary_length(missing).to_numpy() <= MEMO_CHUNK_BYTES)
+        kept = np.concatenate([np.arange(known), known + short])
+        used = np.concatenate([self.used, np.full(len(short), self.turn)])
+        if len(kept) > self.most:
+            last = np.sort(np.argsort(-used, kind="stable")[: self.most // 2])
+            kept, used = kept[last], used[last]
+        keys = pa.concat_arrays([self.keys, missing])
+        all_stay = len(kept) == len(keys)
+        self.keys, self.used = keys if all_stay else keys.take(pa.array(kept)), used
+        self.sides = whole if all_stay else [x.take(pa.array(kept)) for x in whole]
+        return place, whole
+
+
 class Encoder:
     """Encodes whole texts: chunks between white space, which no word crosses, are parted, numbered and put together as
-    Arrow columns; only the words of a slice's distinct chunks are looked up one by one.
+    Arrow columns; only the words of a slice's distinct chunks that aren't remembered are looked up one by one.
 
     Words come from the automaton or, unseen, from the merges. With `decoded`, the token strings come along, each after a blank.
     """
@@ -357,6 +394,7 @@ class Encoder:
     def __init__(self, voc: Vocabulary, lexicon: Lexicon | None = None, decoded: bool = False):
         self.voc, self.lexicon, self.decoded = voc, lexicon, decoded
         self.words = Memory(self.encode_words)
+        self.chunks = Chunks(self.encode_chunks, 1 + decoded)
 
     def encode_words(self, words: list[str]) -> list:
         """Ids of distinct words, 4 bytes each; with their token strings, if `decoded`."""
@@ -382,11 +420,25 @@ class Encoder:
         tokens = self.voc.token_bytes
         return [(x, b"".join([b" " + tokens[i] for i in np.frombuffer(x, "<u4").tolist()])) for x in out]
 
-    def _sides(self, words: list[str]) -> list[list[bytes]]:
-        """The words' ids, and their token strings if wanted."""
-        found = self.words.of(words)
+    def _parted(self, found: list) -> list[list[bytes]]:
+        """What encode_words gives, as one list of ids and, if wanted, one of token strings."""
         return [list(x) for x in zip(*found)] or [[], []] if self.decoded else [found]
 
+    def encode_chunks(self, chunks: pa.Array) -> list[pa.Array]:
+        """A column of the ids of plain chunks; with one of their token strings, if `decoded`."""
+        lines = pc.binary_join(pa.ListArray.from_arrays([0, len(chunks)], chunks), "\n")[0].as_py()
+        words = _LINE_WORDS.findall(f"{lines}\n")  # a line end closes each chunk
+        closed = np.array([0, *(k + 1 for k, w in enumerate(words) if w == "\n")], np.int64)
+        distinct = list(set(words))
+        known = dict(zip(distinct, self.encode_words(distinct)))
+        out = []
+        for values in self._parted([known[w] for w in words]):
+            # the chunks' bytes lie one after another
+            flat = pa.array(values, pa.binary())
+            ends = np.frombuffer(flat.buffers()[1], np.int32, len(flat) + 1)[closed]
+            out.append(pa.Array.from_buffers(pa.binary(), len(chunks), [None, pa.py_buffer(ends.tobytes()), flat.buffers()[2]]))
+        return out
+
     def _slice(self, texts: list[str]) -> Iterator[list[bytes]]:
         low: list[str] = []
         odd: dict[int, str] = {}
@@ -401,22 +453,17 @@ class Encoder:
             low.append(even)
         parts = pc.ascii_split_whitespace(pa.array(low, pa.string()))
         numbered = parts.values.dictionary_encode()
-        chunks = numbered.dictionary.to_pylist()
-        words = _LINE_WORDS.findall("\n".join([*chunks, ""]))  # a line end closes each chunk
-        closed = np.array([0, *(k + 1 for k, w in enumerate(words) if w == "\n")], np.int64)
+        place, columns = self.chunks.of(numbered.dictionary)
+        inside = pa.array(place[numbered.indices.to_numpy()])  # chunks are taken in the order of the texts
         bounds = parts.offsets.to_numpy()
         ready = []
-        for values in self._sides(words):
-            # the chunks' bytes lie one after another; chunks are taken in the order of the texts
-            flat = pa.array(values, pa.binary())
-            ends = np.frombuffer(flat.buffers()[1], np.int32, len(flat) + 1)[closed] if values else np.zeros(1, np.int32)
-            own = pa.Array.from_buffers(pa.binary(), len(chunks), [None, pa.py_buffer(ends.tobytes()), flat.buffers()[2]])
-            whole = own.take(numbered.indices)
+        for column in columns:
+            whole = column.take(inside)
             ends = np.frombuffer(whole.buffers()[1], np.int32, len(whole) + 1) if len(whole) else np.zeros(1, np.int32)
             ready.append((memoryview(whole.buffers()[2] or b""), ends[bounds].tolist()))
         for k in range(len(texts)):
             if k in odd:
-                yield [b"".join(x) for x in self._sides(words_of(self.voc, odd[k]))]
+                yield [b"".join(x) for x in self._parted(self.words.of(words_of(self.voc, odd[k])))]
             else:
                 yield [bytes(data[at[k] : at[k + 1]]) for data, at in ready]
 

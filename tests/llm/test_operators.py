@@ -121,6 +121,32 @@ def test_bpe_equals_the_library(spark, tmp_path):
         assert shown.decode() == lib.decode(want, skip_special_tokens=False) == bpe.decode(voc, np.array(want, int))
 
 
+def test_bpe_merges_a_large_vocabulary_once(monkeypatch):
+    """More distinct words than were remembered before, in two rounds: the second one merges none anew."""
+    letters, merged = "etaoinshrdlcumwfgypbvkxqjz", []
+    words = ["".join(letters[n // 26**k % 26] for k in range(4)) for n in range(380_000)]
+    texts = [" ".join(words[at : at + 19_000]) for at in range(0, len(words), 19_000)]
+    monkeypatch.setattr(bpe, "TEXT_SLICE", 100_000)
+    coder = bpe.Encoder(bpe.vocabulary(bpe.default_path()))
+    merge = coder.voc.merge
+    monkeypatch.setattr(coder.voc, "merge", lambda words: merged.append(len(words)) or merge(words))
+    first, second = (list(coder.encode(texts)) for _ in range(2))
+    assert first == second and sum(merged) == 380_000
+
+
+def test_bpe_memory_of_chunks_is_bounded():
+    rng, voc = random.Random(3), bpe.vocabulary(bpe.default_path())
+    texts = [" ".join("".join(rng.choice("abcdeé'.,9") for _ in range(rng.randint(1, 9))) for _ in range(rng.randint(0, 60))) for _ in range(300)] + ["x" * 99, "", " "]
+    coder = bpe.Encoder(voc, None, True)
+    coder.chunks.most = 50
+    for some in [texts[:1], texts[:200], texts[100:], texts[-1:]]:
+        got = [(np.frombuffer(ids, "<u4").tolist(), shown.decode()) for ids, shown in coder.encode_and_decode(some)]
+        want = [voc.library().encode(t, add_special_tokens=False).ids for t in some[:9]]
+        assert [x for x, _ in got[:9]] == want and [x for _, x in got] == [bpe.decode(voc, np.array(x, int)) for x, _ in got]
+        assert len(coder.chunks.keys) == len(coder.chunks.used) <= 50
+    assert max(map(len, coder.chunks.keys.to_pylist())) <= bpe.MEMO_CHUNK_BYTES
+
+
 def test_bpe_odd_rows(spark, odd, empty):
     assert bpe.encode_documents(empty).count() == 0
     got = bpe.encode_documents(odd).collect()
