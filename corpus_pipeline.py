@@ -8,6 +8,8 @@ Rules of the stages, all with the operators' production parameters:
 * pii replaces personal data in texts by its kind, and sets n_chars anew;
 * packing packs what is left; its rows are those of the packing operator.
 
+Before each stage executors give back the memory that the one before no longer needs.
+
 All stages but the last return the columns of documents. Extra columns pass through; rows that repeat
 a doc_id are one document and stay together.
 """
@@ -23,7 +25,9 @@ from pyspark.sql import types as T
 
 from ctxrelease.llm import langid, ngram_join, packing, pii, toxicity
 from ctxrelease.llm.common import append_columns, fresh
-from ctxrelease.plans.runtime import shared_dir
+from ctxrelease.plans.runtime import relax, shared_dir
+
+Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 #: A clean document in a learned language scores far higher; see the README for the distribution.
 MIN_LANG_SCORE = 0.3
@@ -67,12 +71,17 @@ def pack(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     return packing.pack_documents(docs)
 
 
-STAGES: list[tuple[str, Callable[[SparkSession, DataFrame, str], DataFrame]]] = [
-    ("language_id", language_id),
-    ("toxicity", toxicity_filter),
-    ("near_duplicates", near_duplicates),
-    ("pii", pii_redaction),
-    ("packing", pack),
+def _relaxed(stage: Stage) -> Stage:
+    def run_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        relax(spark)
+        return stage(spark, docs, sf_dir)
+
+    return run_stage
+
+
+STAGES: list[tuple[str, Stage]] = [
+    (name, _relaxed(stage))
+    for name, stage in (("language_id", language_id), ("toxicity", toxicity_filter), ("near_duplicates", near_duplicates), ("pii", pii_redaction), ("packing", pack))
 ]
 
 #: Trained models and the tokenizer have no SQL; tests compare the stages with brute force.
